@@ -109,14 +109,13 @@ def drop_lines(docs: DataFrame, store: LineRuns, doc_id: str = "doc_id", text: s
     small = fits_broadcast(frequent, BROADCAST_KEYS)
     packed = docs.select(
         F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"),
-        F.split(text_or_empty(F.col(f"`{text}`")), "\n", -1).alias("_lines"),
         F.xxhash64(F.col(f"`{doc_id}`"), F.col(f"`{text}`")).alias("_rid"),
-        F.col(f"`{doc_id}`").alias("_doc"),
     )
     keyed = lines_of(docs.select(F.xxhash64(F.col(f"`{doc_id}`"), F.col(f"`{text}`")).alias("_rid"), F.col(f"`{text}`").alias("_text")), "_rid", "_text")
     hits = keyed.join(F.broadcast(frequent) if small else frequent, ["k1", "k2"], "left_semi")
     per_row = hits.groupBy(F.col("_doc").alias("_rid")).agg(F.collect_set("k1").alias("_drop"))
-    joined = packed.join(per_row, "_rid", "left")
+    lines = F.split(text_or_empty(F.col(f"_row.`{text}`")), "\n", -1)
+    joined = packed.join(per_row, "_rid", "left").select("_row", "_drop", lines.alias("_lines"))
     key1 = lambda x: F.xxhash64(line_key(x))
     kept = F.when(
         F.col("_drop").isNull(), F.col("_lines")
