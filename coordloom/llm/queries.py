@@ -7,12 +7,17 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from coordloom.llm import chat_format, jaccard_join, license_scan, line_dedup, mixing, quality_rules, recompression
+from coordloom.llm import chat_format, decontaminate, html_labeller, jaccard_join, license_scan, line_dedup, mixing, quality_rules, recompression, warc
 from coordloom.llm.common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
+def op1_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = table(spark, sf_dir, "pages")
+    return warc.derivatives(warc.responses_from_pages(pages), "page_id").withColumnRenamed("source_key", "page_id")
+
+
 def op2_license_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.scan_licenses(table(spark, sf_dir, "documents")).select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score", "n_detections")
 
@@ -37,19 +42,28 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "n_text_lines", "n_ellipsis_lines", "n_bullet_lines", "fail_bits")
 
 
+def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The contaminated documents: one row for each with each benchmark item that it holds."""
+    return decontaminate.overlaps(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     out = line_dedup.drop_lines(docs, line_dedup.build_runs(docs))
     return out.select("doc_id", "n_lines", "n_dropped", F.sha2("text", 256).alias("kept_sha256"))
 
 
+def op9_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_labeller.extract_main_text(table(spark, sf_dir, "pages"))
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = recompression.remove_repeats(table(spark, sf_dir, "documents"))
     return out.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op2_license_scans, op3_chat_formatting, op4_source_mixing, op5_jaccard_join, op6_quality_rules, op8_line_dedup, op10_substring_dedup)}
+    return {f.__name__: f for f in (op1_warc_derivatives, op2_license_scans, op3_chat_formatting, op4_source_mixing, op5_jaccard_join, op6_quality_rules, op7_benchmark_decontamination, op8_line_dedup, op9_html_extraction, op10_substring_dedup)}
 
 
 #: Fixed text of the SQL: white space between words.
