@@ -18,16 +18,18 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Lines of ten documents or more go; ``n_chars`` follows the text. Documents left without a word go too."""
+    """Lines of ten documents or more go; ``n_chars`` follows the text."""
     out = line_dedup.drop_lines(docs, line_dedup.build_runs(docs)).drop("n_lines", "n_dropped")
     changed = out.withColumn("n_chars", F.when(F.col("text").isNotNull(), F.length("text")).cast("long"))
     return changed.select(docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document with the smallest id stays, once."""
+    """Of each group of near copies the document with the smallest id stays, once. Rows without an id stay."""
     labels = jaccard_join.jaccard_components(docs).filter("doc_id <=> component_id").select("doc_id").distinct()
     firsts = docs.join(labels, "doc_id", "left_semi")
+    again = docs.groupBy("doc_id").count().filter("count > 1").limit(1).count()
+    firsts = firsts.dropDuplicates(["doc_id", "text"]) if again else firsts  # equal rows with one id are copies too
     return firsts.unionByName(docs.filter("doc_id is null")).select(docs.columns)
 
 
