@@ -6,12 +6,13 @@ they stand for, hence global: equal substrings get equal interior symbols in all
 exchange is needed to agree on them. In each round an occurrence's parse differs from another's by at
 most one symbol at either end; symbols stop growing at ``MAX_SPAN`` words.
 
-With ``ROUNDS`` = 2 and spans up to 2, then 4 words, a run step can lose 2 and 4 words at each end and a pair step 1
-and 3, so that two equal windows of 50 words share an interior of 30 words or more, that is 8 whole symbols at
-least. Of each ``NEIGHBOURS`` = 8 symbols in a row the smallest name is an *anchor*: equal windows always share one.
-Anchors that stand in two texts reveal the candidates, and only windows around them are hashed, exchanged
-and verified. The top of the hierarchy, the name of a whole text, settles exact copies without looking inside.
-Runs that would stand for more words than the limit stay as they are, in every occurrence.
+With ``ROUNDS`` = 2, runs named in the first round only and spans up to 2, then 4 words, at most 2 + 1 + 3 words are
+lost at each end, so that two equal windows of 50 words share an interior of 38 words or more: 10 whole symbols at
+least, which hold 7 groups of 4 symbols in a row. Such a group is a high-level symbol; of each ``NEIGHBOURS`` = 7 groups in a row
+the one with the smallest name is an *anchor*: equal windows always share one, with all its words. Anchors that
+stand in two texts reveal the candidates, and only windows around them are hashed, exchanged and verified. The top of
+the hierarchy, the name of a whole text, settles exact copies without looking inside. Runs that would stand for
+more words than the limit stay as they are, in every occurrence.
 
 Both exchanges settle what they can within a slice of texts first, so that a passage in a third of all texts
 is sent once per slice and not once per text.
@@ -35,7 +36,8 @@ from coordloom.llm.common import materialise
 WINDOW = 50
 ROUNDS = 2
 MAX_SPAN = 4
-NEIGHBOURS = 8
+GROUP = 4
+NEIGHBOURS = 7
 
 
 def parse(names: np.ndarray, ends: np.ndarray, rounds: int = ROUNDS, max_span: int = MAX_SPAN) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -49,8 +51,8 @@ def parse(names: np.ndarray, ends: np.ndarray, rounds: int = ROUNDS, max_span: i
 
     names, start, span, last = names.copy(), np.arange(len(names)), np.ones(len(names), np.int64), ends.copy()
     for r in range(rounds):
-        # runs: only those that end within max_span words become one symbol; longer ones stay as they are
-        if len(names) > 1:
+        # runs, in the first round: only those that end within max_span words become one symbol; longer ones stay as they are
+        if r == 0 and len(names) > 1:
             head = np.ones(len(names), dtype=bool)
             head[1:] = (names[1:] != names[:-1]) | last[:-1]
             first = np.flatnonzero(head)
@@ -82,18 +84,23 @@ def parse(names: np.ndarray, ends: np.ndarray, rounds: int = ROUNDS, max_span: i
     return names, start, span
 
 
-def anchors(names: np.ndarray, start: np.ndarray, owner: np.ndarray) -> np.ndarray:
-    """Indices of the symbols that are the smallest of some NEIGHBOURS in a row within one text (ties: all of them)."""
-    n = len(names) - NEIGHBOURS + 1
-    chosen = np.zeros(len(names), dtype=bool)
+def anchors(names: np.ndarray, start: np.ndarray, span: np.ndarray, owner: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(name, owner, first word, words) of the groups that are the smallest of some NEIGHBOURS in a row within one text (ties: all)."""
+    from coordloom.llm.hashing import spans_of
+
+    group = spans_of(names, GROUP)
+    n = len(group) - NEIGHBOURS + 1
+    chosen = np.zeros(len(group), dtype=bool)
     if n > 0:
-        low = names[:n].copy()
+        low = group[:n].copy()
         for k in range(1, NEIGHBOURS):
-            np.minimum(low, names[k : k + n], out=low)
-        inside = owner[:n] == owner[NEIGHBOURS - 1 :]
+            np.minimum(low, group[k : k + n], out=low)
+        inside = owner[:n] == owner[NEIGHBOURS + GROUP - 2 :]
         for k in range(NEIGHBOURS):
-            chosen[k : k + n] |= inside & (names[k : k + n] == low)
-    return np.flatnonzero(chosen)
+            chosen[k : k + n] |= inside & (group[k : k + n] == low)
+    at = np.flatnonzero(chosen)
+    last = at + GROUP - 1
+    return group[at], owner[at], start[at], start[last] + span[last] - start[at]
 
 
 NULL_ID = -(1 << 62)
@@ -131,65 +138,86 @@ def text_names(docs: DataFrame) -> DataFrame:
     return docs.mapInArrow(run, "id long, n long, t1 long, t2 long")
 
 
+def _heads(*keys: np.ndarray) -> np.ndarray:
+    """True where a sorted run of equal keys begins."""
+    head = np.ones(len(keys[0]), dtype=bool)
+    if len(head):
+        head[1:] = np.logical_or.reduce([k[1:] != k[:-1] for k in keys])
+    return head
+
+
+#: A hit is a long: first word of the anchor times 64 plus its number of words.
+SPAN_BITS = 64
+
+
 def anchor_hits(docs: DataFrame, window: int = WINDOW) -> DataFrame:
-    """(id, pos): first words of the anchors that stand in two texts or more."""
+    """(id, hit) of the anchors that stand in two texts or more."""
 
     def emit(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
         for _, ids, words, bounds, ends in _slices(batches):
-            names, start, _ = parse(words, ends)
-            owner = np.searchsorted(bounds, start, side="right") - 1
-            at = anchors(names, start, owner)
-            at = at[(np.diff(bounds) >= window)[owner[at]]]
-            at = at[np.argsort(names[at], kind="stable")]
-            if not len(at):
+            symbols, start, span = parse(words, ends)
+            name, who, first_word, length = anchors(symbols, start, span, np.searchsorted(bounds, start, side="right") - 1)
+            enough = (np.diff(bounds) >= window)[who]
+            order = np.argsort(name[enough], kind="stable")
+            if not len(order):
                 continue
-            name, who, pos = names[at].view(np.int64), owner[at], (start[at] - bounds[owner[at]]).astype(np.int32)
-            head = np.append(True, name[1:] != name[:-1])
+            name, who = name[enough][order].view(np.int64), who[enough][order]
+            hit = ((first_word[enough][order] - bounds[who]) * SPAN_BITS + length[enough][order]).astype(np.int64)
+            head = _heads(name)
             first = np.flatnonzero(head)
             last = np.append(first[1:], len(name)) - 1
             many = (who[first] != who[last])[np.cumsum(head) - 1]
-            met, alone = np.flatnonzero(many), np.flatnonzero(~many)
+            # met in two texts of this slice: settled, and one row tells the others; all else goes on as it is
             signal = np.flatnonzero(many & head)
-            yield pa.RecordBatch.from_arrays([pa.nulls(len(met), pa.int64()), pa.array(ids[who[met]]), pa.array(pos[met])], names=["name", "id", "pos"])
-            yield pa.RecordBatch.from_arrays([pa.array(name[signal]), pa.nulls(len(signal), pa.int64()), pa.nulls(len(signal), pa.int32())], names=["name", "id", "pos"])
-            yield pa.RecordBatch.from_arrays([pa.array(name[alone]), pa.array(ids[who[alone]]), pa.array(pos[alone])], names=["name", "id", "pos"])
+            yield pa.RecordBatch.from_arrays([pa.array(name, mask=many), pa.array(ids[who]), pa.array(hit)], names=["name", "id", "hit"])
+            yield pa.RecordBatch.from_arrays([pa.array(name[signal]), pa.nulls(len(signal), pa.int64()), pa.nulls(len(signal), pa.int64())], names=["name", "id", "hit"])
 
     def settle(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
-        names, owners, places = [], [], []
+        parts = []
         for batch in batches:
-            if batch.num_rows:
-                names.append(np.asarray(batch.column(0)))
-                owners.append(np.asarray(batch.column(1).fill_null(NULL_ID - 1)))
-                places.append(np.asarray(batch.column(2).fill_null(0)))
-        if names:
-            name, owner, pos = np.concatenate(names), np.concatenate(owners), np.concatenate(places)
+            done = np.asarray(batch.column(0).is_null())
+            if done.any():
+                part = batch.filter(pa.array(done))
+                yield pa.RecordBatch.from_arrays([part.column(1), part.column(2)], names=["id", "hit"])
+            part = batch.filter(pa.array(~done))
+            if part.num_rows:
+                parts.append((np.asarray(part.column(0)), np.asarray(part.column(1).fill_null(NULL_ID - 1)), np.asarray(part.column(2).fill_null(0))))
+        if parts:
+            name, owner, hit = (np.concatenate(c) for c in zip(*parts, strict=True))
             order = np.lexsort((owner, name))
-            name, owner, pos = name[order], owner[order], pos[order]
-            head = np.append(True, name[1:] != name[:-1])
+            name, owner, hit = name[order], owner[order], hit[order]
+            head = _heads(name)
             first = np.flatnonzero(head)
             last = np.append(first[1:], len(name)) - 1
             met = (owner[first] != owner[last])[np.cumsum(head) - 1] & (owner != NULL_ID - 1)
-            yield pa.RecordBatch.from_arrays([pa.array(owner[met]), pa.array(pos[met])], names=["id", "pos"])
+            yield pa.RecordBatch.from_arrays([pa.array(owner[met]), pa.array(hit[met])], names=["id", "hit"])
 
-    rows = materialise(docs.mapInArrow(emit, "name long, id long, pos int"), "anchors")
-    crossing = rows.filter("name is not null").repartition("name").mapInArrow(settle, "id long, pos int")
-    return crossing.unionByName(rows.filter("name is null").select("id", "pos"))
+    rows = docs.mapInArrow(emit, "name long, id long, hit long")
+    return rows.repartition(F.coalesce("name", "id")).mapInArrow(settle, "id long, hit long")
 
 
 def _starts_near(hits: np.ndarray, n: int, window: int) -> np.ndarray:
-    """Starts of the windows of a text of ``n`` words that hold the first word of a hit."""
-    marks = np.zeros(n + 1, dtype=np.int64)
-    np.add.at(marks, np.maximum(0, hits - window + 1), 1)
-    np.add.at(marks, np.minimum(n, hits + 1), -1)
+    """Starts of the windows of a text of ``n`` words that hold a whole hit."""
+    first, length = hits // SPAN_BITS, hits % SPAN_BITS
+    fits = first + length <= n
+    first, length = first[fits], length[fits]
+    marks = np.zeros(n + 2, dtype=np.int64)
+    np.add.at(marks, np.maximum(0, first + length - window), 1)
+    np.add.at(marks, first + 1, -1)
     return np.flatnonzero(np.cumsum(marks[: max(0, n - window + 1)]) > 0)
 
 
+def _tag(words: np.ndarray) -> int:
+    """31 bits of a text's name: tells rows with the same id apart."""
+    return _top(words)[0] & 0x7FFFFFFF
+
+
 def repeated_windows(texts: DataFrame, window: int = WINDOW) -> DataFrame:
-    """(id, tag, start): windows near hits that a text with a smaller id has too. ``texts``: (id, text, hits)."""
+    """(id, tag, start): windows near hits that a text with a smaller id has too. ``texts``: (doc_id, text, id, hits, copies)."""
 
     def emit(batches: Iterator) -> Iterator:
         import pyarrow as pa
@@ -199,101 +227,102 @@ def repeated_windows(texts: DataFrame, window: int = WINDOW) -> DataFrame:
         for batch in batches:
             for part in hashing.slices(batch):
                 words, bounds = hashing.word_hashes(part.column(1), lower=False)
-                ids, tags, spans = np.asarray(part.column(0)), [], hashing.spans_of(words, window)
+                ids, tags, spans = np.asarray(part.column(2)), np.zeros(part.num_rows, dtype=np.int32), hashing.spans_of(words, window)
                 starts, who = [], []
-                for k, hits in enumerate(part.column(2)):
+                for k, (hits, copies) in enumerate(zip(part.column(3), part.column(4), strict=True)):
                     lo, n = bounds[k], bounds[k + 1] - bounds[k]
-                    near = _starts_near(np.asarray(hits.as_py(), dtype=np.int64), n, window)
+                    tags[k] = _tag(words[lo : lo + n])
+                    if tags[k] in (copies.as_py() or ()):
+                        continue  # an exact copy of a text with a smaller id has nothing that one doesn't
+                    near = _starts_near(np.asarray(hits.values.to_numpy(), dtype=np.int64), n, window)
                     starts.append(near + lo)
                     who.append(np.full(len(near), k))
-                    tags.append(_top(words[lo : lo + n])[0] & 0x7FFFFFFF)
-                at, who, tag = np.concatenate(starts), np.concatenate(who), np.array(tags, dtype=np.int32)
+                at = np.concatenate(starts) if starts else np.empty(0, np.int64)
                 if not len(at):
                     continue
+                who = np.concatenate(who)
                 name, owner, place = spans[at].view(np.int64), ids[who], (at - bounds[who]).astype(np.int32)
                 order = np.lexsort((owner, name))
-                name, owner, place, tag = name[order], owner[order], place[order], tag[who][order]
-                head = np.append(True, name[1:] != name[:-1])
-                lowest = owner[np.flatnonzero(head)][np.cumsum(head) - 1]
-                met = owner > lowest
-                send = ~met
-                yield pa.RecordBatch.from_arrays([pa.nulls(int(met.sum()), pa.int64()), pa.array(owner[met]), pa.array(tag[met]), pa.array(place[met])], names=["name", "id", "tag", "start"])
-                yield pa.RecordBatch.from_arrays([pa.array(name[send]), pa.array(owner[send]), pa.array(tag[send]), pa.array(place[send])], names=["name", "id", "tag", "start"])
+                name, owner, place, tag = name[order], owner[order], place[order], tags[who][order]
+                head = _heads(name)
+                met = owner > owner[np.flatnonzero(head)][np.cumsum(head) - 1]
+                yield pa.RecordBatch.from_arrays([pa.array(name, mask=met), pa.array(owner), pa.array(tag), pa.array(place)], names=["name", "id", "tag", "start"])
 
     def settle(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
-        parts = [b for b in batches if b.num_rows]
+        parts = []
+        for batch in batches:
+            done = np.asarray(batch.column(0).is_null())
+            if done.any():
+                part = batch.filter(pa.array(done))
+                yield pa.RecordBatch.from_arrays(part.columns[1:], names=["id", "tag", "start"])
+            part = batch.filter(pa.array(~done))
+            if part.num_rows:
+                parts.append([np.asarray(c) for c in part.columns])
         if parts:
-            name, owner, tag, place = (np.concatenate([np.asarray(b.column(k)) for b in parts]) for k in range(4))
+            name, owner, tag, place = (np.concatenate(c) for c in zip(*parts, strict=True))
             order = np.lexsort((owner, name))
             name, owner, tag, place = name[order], owner[order], tag[order], place[order]
-            head = np.append(True, name[1:] != name[:-1])
+            head = _heads(name)
             met = owner > owner[np.flatnonzero(head)][np.cumsum(head) - 1]
             yield pa.RecordBatch.from_arrays([pa.array(owner[met]), pa.array(tag[met]), pa.array(place[met])], names=["id", "tag", "start"])
 
-    rows = materialise(texts.mapInArrow(emit, "name long, id long, tag int, start int"), "windows")
-    crossing = rows.filter("name is not null").repartition("name").mapInArrow(settle, "id long, tag int, start int")
-    return crossing.unionByName(rows.filter("name is null").select("id", "tag", "start"))
+    rows = texts.mapInArrow(emit, "name long, id long, tag int, start int")
+    return rows.repartition(F.coalesce("name", "id")).mapInArrow(settle, "id long, tag int, start int")
 
 
 RESULT = "doc_id long, n_words long, n_removed long, kept string"
 
 
 def _kept(rows: DataFrame, window: int) -> DataFrame:
-    """From (doc_id, text, starts): the words outside the windows at ``starts``."""
+    """From (doc_id, text, copies, starts): the words outside the windows at ``starts``; none of an exact copy."""
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
+        from coordloom.llm import hashing
+
+        def one(text: bytes, hashes: np.ndarray, copies: list | None, starts: list | None) -> tuple[int, int, str]:
+            words = text.split()
+            n = len(words)
+            tag = _tag(hashes) if copies or starts else 0
+            if n >= window and tag in (copies or ()):
+                return n, n, ""
+            own = [s["start"] for s in starts or () if s["tag"] == tag]
+            if not own:
+                return n, 0, b" ".join(words).decode()
+            marks = np.zeros(n + 1, dtype=np.int64)
+            np.add.at(marks, own, 1)
+            np.add.at(marks, np.minimum(n, np.asarray(own) + window), -1)
+            gone = (np.cumsum(marks[:-1]) > 0).tolist()
+            return n, sum(gone), b" ".join(w for w, g in zip(words, gone, strict=True) if not g).decode()
+
         for batch in batches:
-            for lo in range(0, batch.num_rows, 256):
-                part, out = batch.slice(lo, 256), []
-                for text, starts in zip(part.column(1).cast(pa.large_binary()), part.column(2), strict=True):
-                    words, starts = (text.as_py() or b"").split(), starts.as_py()
-                    if starts:
-                        marks = np.zeros(len(words) + 1, dtype=np.int64)
-                        np.add.at(marks, starts, 1)
-                        np.add.at(marks, np.minimum(len(words), np.asarray(starts) + window), -1)
-                        gone = np.cumsum(marks[:-1]) > 0
-                        out.append((len(words), int(gone.sum()), b" ".join(w for w, g in zip(words, gone.tolist(), strict=True) if not g).decode()))
-                    else:
-                        out.append((len(words), 0, b" ".join(words).decode()))
+            for part in hashing.slices(batch):
+                hashes, bounds = hashing.word_hashes(part.column(1), lower=False)
+                texts = part.column(1).cast(pa.large_binary())
+                out = [one(t.as_py() or b"", hashes[a:b], c.as_py(), s.as_py()) for t, a, b, c, s in zip(texts, bounds[:-1], bounds[1:], part.column(2), part.column(3), strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array([o[k] for o in out], t) for k, t in enumerate((pa.int64(), pa.int64(), pa.string())))], names=["doc_id", "n_words", "n_removed", "kept"])
 
     return rows.mapInArrow(run, RESULT)
 
 
 def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", window: int = WINDOW) -> DataFrame:
-    """(doc_id, n_words, n_removed, kept) per row."""
+    """(doc_id, n_words, n_removed, kept) per row.
+
+    The texts are exchanged by id once; both uses of that exchange are in one plan, where Spark reuses it.
+    """
+    if window < WINDOW:
+        raise ValueError("the anchors are proven for windows of 50 words or more")
     rows = docs.select(F.col(f"`{doc_id}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text"))
     names = materialise(text_names(rows), "text-names")
     firsts = names.filter(F.col("n") >= window).groupBy("t1", "t2").agg(F.min("id").alias("first"), F.max("id").alias("last")).filter("first < last").select("t1", "t2", "first")
     copies = names.join(firsts, ["t1", "t2"]).filter("id > first").groupBy("id").agg(F.collect_set(F.col("t1").bitwiseAND(0x7FFFFFFF).cast("int")).alias("copies"))
-    hits = anchor_hits(rows, window).groupBy("id").agg(F.collect_set("pos").alias("hits"))
+    hits = anchor_hits(rows, window).groupBy("id").agg(F.collect_set("hit").alias("hits"))
     notes = materialise(hits.join(copies, "id", "full"), "notes")
     keyed = rows.withColumn("id", F.coalesce("doc_id", F.lit(NULL_ID)))
-    noted = keyed.join(notes, "id", "left")
-    plain = noted.filter("hits is null and copies is null")
-    found = materialise(noted.filter("hits is not null or copies is not null"), "texts")
-
-    def tag(batches: Iterator) -> Iterator:
-        """Adds the text's own tag and whether it is an exact copy of one with a smaller id."""
-        import pyarrow as pa
-
-        from coordloom.llm import hashing
-
-        for batch in batches:
-            for part in hashing.slices(batch):
-                words, bounds = hashing.word_hashes(part.column(1), lower=False)
-                tags = [_top(words[a:b])[0] & 0x7FFFFFFF for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
-                copy = [t in (c.as_py() or ()) and b - a >= window for t, c, a, b in zip(tags, part.column(3), bounds[:-1], bounds[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), part.column(2), part.column(4), pa.array(tags, pa.int32()), pa.array(copy), pa.array(np.diff(bounds).astype(np.int64))], names=["doc_id", "text", "hits", "id", "tag", "copy", "n"])
-
-    tagged = materialise(found.select("doc_id", "text", "hits", "copies", "id").mapInArrow(tag, "doc_id long, text string, hits array<int>, id long, tag int, copy boolean, n long"), "tagged")
-    whole = tagged.filter("copy").select("doc_id", F.col("n").alias("n_words"), F.col("n").alias("n_removed"), F.lit("").alias("kept"))
-    rest = tagged.filter("not copy")
-    starts = repeated_windows(rest.filter("hits is not null").select("id", "text", "hits"), window).groupBy("id", "tag").agg(F.collect_set("start").alias("starts"))
-    cut = _kept(rest.join(starts, ["id", "tag"], "left").select("doc_id", "text", "starts"), window)
-    clean = _kept(plain.select("doc_id", "text", F.lit(None).cast("array<int>").alias("starts")), window)
-    return clean.unionByName(cut).unionByName(whole)
+    noted = keyed.join(notes.hint("merge"), "id", "left").select("doc_id", "text", "id", "hits", "copies")
+    starts = repeated_windows(noted.filter("hits is not null"), window).groupBy("id").agg(F.collect_set(F.struct("tag", "start")).alias("starts"))
+    final = noted.join(starts.hint("merge"), "id", "left").select("doc_id", "text", "copies", "starts")
+    return _kept(final, window)
