@@ -1,0 +1 @@
+"""GLM training on Spark DataFrames; see README.md."""
