@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 LOSSES = ("logistic", "ridge", "hinge", "squared_hinge", "smooth_hinge")
 GAMMA = 0.5  # smoothing of smooth_hinge
-NEWTON_STEPS = 40
+NEWTON_STEPS = 80
 
 
 def _sigmoid(u):
@@ -19,14 +19,22 @@ def _sigmoid(u):
 
 
 def logit_root(c, s, b):
-    """u with u + c + s (sigmoid(u) - b) = 0. The left side rises with slope 1 or more, so Newton on u is safe."""
-    u = -np.asarray(c, dtype=float)
+    """u with u + c + s (sigmoid(u) - b) = 0.
+
+    The left side rises with slope 1 or more and the root lies between -c - s (1 - b) and -c + s b; a Newton step that
+    leaves what is left of that interval is replaced by its middle (for large s plain Newton can swing between two points).
+    """
+    c, s, b = (np.asarray(x, dtype=float) for x in (c, s, b))
+    low, high, u = -c - s * (1.0 - b), -c + s * b, -c * np.ones_like(s * b)
     for _ in range(NEWTON_STEPS):
         p = _sigmoid(u)
-        step = (u + c + s * (p - b)) / (1.0 + s * p * (1.0 - p))
-        u = np.clip(u - step, -700, 700)
-        if np.all(np.abs(step) < 1e-15 * (1 + np.abs(u))):
-            break
+        g = u + c + s * (p - b)
+        low, high = np.where(g < 0, u, low), np.where(g > 0, u, high)
+        new = u - g / (1.0 + s * p * (1.0 - p))
+        new = np.where((new < low) | (new > high), 0.5 * (low + high), new)
+        if np.all(np.abs(new - u) <= 1e-15 * (1.0 + np.abs(new))):
+            return new
+        u = new
     return u
 
 

@@ -258,8 +258,8 @@ def pl_placement_tvf(spark: SparkSession, sf_dir: str) -> DataFrame:
     from coordloom.functions import sql as functions
 
     functions.register(spark)
-    return spark.sql("""select machine, threads, data_node, p.node, p.threads as given from (values ('X', 32), ('P', 40)) m(machine, most), (values (1), (4), (8), (9), (16), (17), (32), (40)) t(threads), (values (0), (1)) d(data_node),
-      lateral plan_placement_tvf(case when threads <= most then machine else 'P' end, threads, data_node) p where threads <= most""")
+    return spark.sql("""select machine, t.threads, data_node, p.node, p.threads as given from (values ('X', 32), ('P', 40)) m(machine, most), (values (1), (4), (8), (9), (16), (17), (32), (40)) t(threads), (values (0), (1)) d(data_node),
+      lateral plan_placement_tvf(case when t.threads <= most then machine else 'P' end, least(t.threads, 40), data_node) p where t.threads <= most""")
 
 
 # Counted costs
@@ -430,7 +430,7 @@ def ev_rel_change(spark: SparkSession, sf_dir: str) -> DataFrame:
 # Baselines, first steps
 
 
-@query("bl_gradient0", f"select j::int as pos, round(sum(-y * 0.5) / (select count(*) from orders), 6) as g from (select y, unnest(idx) as j from ({sql.ORDER})) group by j")
+@query("bl_gradient0", f"select p::int as pos, coalesce(round(sum(-y * 0.5) / (select count(*) from orders), 6), 0.0) as g from range(66) r(p) left join (select y, unnest(idx) as j from ({sql.ORDER})) on j = p group by p")
 def bl_gradient0(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = features.order_sparse(spark, sf_dir)
     g = baselines.objective_gradient(blocks.pack(df, df.count(), 66, 256), _zeros(66), "logistic", 0.0)[1]
@@ -443,10 +443,10 @@ def _zeros(d: int):
     return np.zeros(d)
 
 
-@query("bl_gram", f"select i::int as i, j::int as j, round(sum(x[i + 1] * x[j + 1]), 3) as g from ({sql.LINE}), range(6) a(i), range(6) b(j) group by all")
+@query("bl_gram", f"select i::int as i, j::int as j, round(avg(x[i + 1] * x[j + 1]), 6) as g from ({sql.LINE}), range(6) a(i), range(6) b(j) group by all")
 def bl_gram(spark: SparkSession, sf_dir: str) -> DataFrame:
-    g, *_ = baselines.gram(features.line_matrix(spark, sf_dir))
-    return spark.createDataFrame([(i, j, round(float(g[i, j]), 3)) for i in range(6) for j in range(6)], "i int, j int, g double")
+    g, _, _, n = baselines.gram(features.line_matrix(spark, sf_dir))
+    return spark.createDataFrame([(i, j, round(float(g[i, j]) / n, 6)) for i in range(6) for j in range(6)], "i int, j int, g double")
 
 
 @query("bl_irls1", f"""with s as (select count(*)::double as n, sum(x[1] * x[1]) / 4 as a, sum(x[1]) / 4 as b, count(*) / 4.0::double as c, sum(y * x[1]) / 2 as p, sum(y) / 2 as q from ({sql.LINE})), t as (select a / n + {LAM}::double as a, b / n as b, c / n + {LAM}::double as c, p / n as p, q / n as q from s)
@@ -522,8 +522,8 @@ query("wk_dealing")(lambda s, d: workloads.dealing(s, packed_embed(s, d, 5), sol
 query("wk_buckets")(lambda s, d: workloads.buckets(s, d, "embed", solvers.TrainSpec("ridge", LAM, 4, 1e-3), (1, 8)))
 query("wk_hier")(lambda s, d: workloads.hierarchy(s, d, "embed", solvers.TrainSpec("ridge", LAM, 5, 1e-3, workers=4), (1, 2), 5))
 query("wk_bottlenecks")(lambda s, d: workloads.bottlenecks(s, packed_embed(s, d, 5), solvers.TrainSpec("ridge", LAM, 3, 1e-3), (4,)))
-query("wk_lock_free_dense")(lambda s, d: workloads.lock_free(s, workloads.packed_fixture(s, d, "synth_dense", n=300), solvers.TrainSpec("logistic", 1e-3, 3, 1e-3), (1, 16), (1, 4)))
-query("wk_lock_free_sparse")(lambda s, d: workloads.lock_free(s, workloads.packed_fixture(s, d, "synth_sparse", n=300), solvers.TrainSpec("logistic", 1e-3, 3, 1e-3), (1, 16), (1, 4)))
+query("wk_lock_free_dense")(lambda s, d: workloads.lock_free(s, workloads.packed_fixture(s, d, "synth_dense", n=300), solvers.TrainSpec("logistic", 2e-2, 5, 1e-3), (1, 16), (1, 4)))
+query("wk_lock_free_sparse")(lambda s, d: workloads.lock_free(s, workloads.packed_fixture(s, d, "synth_sparse", n=300), solvers.TrainSpec("logistic", 2e-2, 5, 1e-3), (1, 16), (1, 4)))
 query("wk_scaling")(lambda s, d: workloads.scaling(s, d, "order", solvers.TrainSpec("logistic", 1e-3, workers=4), (1, 2), 64, 1))
 query("wk_compare")(lambda s, d: workloads.compare(s, packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM, 5, 1e-3)))
 query("wk_label_sorted")(lambda s, d: workloads.label_sorted(s, d, solvers.TrainSpec("ridge", LAM, 6, 1e-3)))
@@ -626,7 +626,7 @@ def _session(e: DataFrame) -> DataFrame:
 
 _COUNTS = "count(*)::bigint as n, count(*) filter (event_type = 'purchase')::bigint as n_purchase"
 streamed("ss_tumbling", _tumbling, f"select epoch(date_trunc('hour', ts))::bigint as start, {_COUNTS} from events group by 1")
-streamed("ss_sliding", _sliding, f"select s as start, {_COUNTS} from (select *, unnest([epoch(ts)::bigint // 1800 * 1800, epoch(ts)::bigint // 1800 * 1800 - 1800]) as s from (select event_type, ts from events)) group by s")
+streamed("ss_sliding", _sliding, f"select s as start, {_COUNTS} from (select *, unnest([floor(epoch(ts))::bigint // 1800 * 1800, floor(epoch(ts))::bigint // 1800 * 1800 - 1800]) as s from (select event_type, ts from events)) group by s")
 streamed("ss_session", _session, "select user_id, min(t)::bigint as start, count(*)::bigint as n from (select *, sum(case when g is null or epoch_us(ts) - g >= 1800000000 then 1 else 0 end) over (partition by user_id order by ts, event_id) as s, floor(epoch(ts)) as t from (select *, epoch_us(lag(ts) over (partition by user_id order by ts, event_id)) as g from events)) group by user_id, s")
 
 
