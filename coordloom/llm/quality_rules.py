@@ -122,7 +122,12 @@ def ablate(book: DataFrame, policy: Policy) -> DataFrame:
 
 
 def filter_documents(docs: DataFrame, policy: Policy, text: str = "text") -> DataFrame:
-    """The documents that pass, with their own columns only; the rule columns live under one struct until dropped."""
+    """The documents that pass, with their own columns only; they live under one struct beside the rule columns.
+
+    The filter uses a running number, which the optimiser may not compute elsewhere: else it would push the filter
+    below the measurements, with a copy of all their expressions for every mention of one.
+    """
     packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), F.col(f"`{text}`").alias("_text"))
     judged = apply_policy(ledger(packed, "_text", ("_row",)), policy)
-    return judged.filter("kept").select("_row.*")
+    judged = judged.select("_row", "kept", F.monotonically_increasing_id().alias("_at"))
+    return judged.filter("kept and _at >= 0").select("_row.*")
