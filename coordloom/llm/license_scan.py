@@ -127,12 +127,25 @@ _PLAIN_FORMS = ("spdx license identifier {n}", "(?:licensed|released|distributed
 
 
 def _keyword(pattern: str) -> str:
-    """The longest literal run of a pattern outside groups and classes."""
-    flat, depth = [], 0
-    for ch in re.sub(r"\[[^\]]*\]\??|.\?|\.\{[^}]*\}\??", "\0", pattern):
-        depth += (ch == "(") - (ch == ")")
-        flat.append("\0" if depth or ch in "()?|*+." else ch)
-    return max("".join(flat).split("\0"), key=len)
+    """The longest run of characters that every match must hold: outside groups and classes, and not optional."""
+    runs, depth, k = [""], 0, 0
+    pattern = pattern.replace("(?:", "(")
+    while k < len(pattern):
+        ch = pattern[k]
+        if ch == "[":
+            k = pattern.index("]", k)
+            runs.append("")
+        elif ch in "()":
+            depth += 1 if ch == "(" else -1
+            runs.append("")
+        elif ch in ".?{":
+            runs[-1] = runs[-1][:-1] if ch == "?" else runs[-1]
+            k = pattern.index("}", k) if ch == "{" else k
+            runs.append("")
+        elif not depth:
+            runs[-1] += ch
+        k += 1
+    return max((r.strip() for r in runs), key=len)
 
 
 @lru_cache(maxsize=1)
