@@ -22,16 +22,20 @@ def logit_root(c, s, b):
     """u with u + c + s (sigmoid(u) - b) = 0.
 
     The left side rises with slope 1 or more and the root lies between -c - s (1 - b) and -c + s b; a Newton step that
-    leaves what is left of that interval is replaced by its middle (for large s plain Newton can swing between two points).
+    leaves what is left of that interval, or isn't half as long as the step before, goes to its middle instead (for large s plain Newton can swing between two points).
     """
     c, s, b = (np.asarray(x, dtype=float) for x in (c, s, b))
     low, high, u = -c - s * (1.0 - b), -c + s * b, -c * np.ones_like(s * b)
+    last = np.inf
     for _ in range(NEWTON_STEPS):
         p = _sigmoid(u)
         g = u + c + s * (p - b)
         low, high = np.where(g < 0, u, low), np.where(g > 0, u, high)
-        new = u - g / (1.0 + s * p * (1.0 - p))
-        new = np.where((new < low) | (new > high), 0.5 * (low + high), new)
+        move = np.abs(g / (1.0 + s * p * (1.0 - p)))
+        new = u - np.sign(g) * move
+        stuck = (move > 0.5 * last) & (move > 1e-12 * (1.0 + np.abs(u)))
+        new = np.where(stuck | (new < low) | (new > high), 0.5 * (low + high), new)
+        last = np.abs(new - u)
         if np.all(np.abs(new - u) <= 1e-15 * (1.0 + np.abs(new))):
             return new
         u = new
