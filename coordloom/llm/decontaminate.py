@@ -54,6 +54,10 @@ def seeds(rows: DataFrame, keep: list[str]) -> DataFrame:
     return flat.select(*keep, F.when(F.col("_i") == 3 * F.col("_m"), F.col("_m")).otherwise(F.col("_i") % F.greatest("_m", F.lit(1))).cast("int").alias("pos"), "seed")
 
 
+def _span(length: int):
+    return lambda i: F.xxhash64(F.slice(F.col("_w"), i, F.lit(length)))
+
+
 def _score(equal: Column) -> Column:
     """Best sum of a run of +1 (true) and -2 (false)."""
     start = F.struct(F.lit(0).alias("now"), F.lit(0).alias("best"))
@@ -77,7 +81,7 @@ def overlaps(docs: DataFrame, benchmark: DataFrame, min_score: int = MIN_SCORE)
     lengths = [r["len"] for r in shorts.select("len").distinct().collect()]
     for length in lengths:
         part = shorts.filter(F.col("len") == length).select("item_id", "seed")
-        spans = F.transform(F.sequence(F.lit(1), F.greatest(F.size("_w") - (length - 1), F.lit(1))), lambda i, length=length: F.xxhash64(F.slice(F.col("_w"), i, F.lit(length))))
+        spans = F.transform(F.sequence(F.lit(1), F.greatest(F.size("_w") - (length - 1), F.lit(1))), _span(length))
         flat = words.filter(F.size("_w") >= length).select("doc_id", F.posexplode(spans).alias("pos", "seed"))
         hits = hits.unionByName(flat.join(F.broadcast(part) if small else part, "seed").select("doc_id", "item_id", F.col("pos").alias("diagonal")))
     per_doc = hits.distinct().groupBy("doc_id").agg(F.collect_list(F.struct("item_id", "diagonal")).alias("_hits"))
