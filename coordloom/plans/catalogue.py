@@ -8,7 +8,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from coordloom.operators import baselines, blocks, deal, losses, metrics, permute, solvers, topology
+from coordloom.operators import baselines, blocks, deal, losses, metrics, permute, reports, solvers, topology
 from coordloom.plans import oracles as sql
 from coordloom.plans import workloads
 from coordloom.sources import features
@@ -644,6 +644,26 @@ def step_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return z.select("eid", F.round(losses.step_expr("ridge", F.col("margin"), F.col("q"), F.col("y"), F.lit(0.25), s), 6).alias("ridge"), F.round(losses.step_expr("hinge", F.col("margin"), F.col("q"), F.col("y"), F.col("y") * 0.25, s), 6).alias("hinge"))
 
 
+@query("ms_mean_speedup", "select against, round(avg(s), 2) as mean, max(s) as best from (values " + ", ".join(f"('{k}', {v}::double)" for k, vs in reports.PUBLISHED.items() for v in vs) + ") t(against, s) group by against")
+def ms_mean_speedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The published means recomputed from their six values."""
+    return reports.mean_speedup(spark.createDataFrame([(k, v) for k, vs in reports.PUBLISHED.items() for v in vs], "against string, speedup double"))
+
+
+REPORT = [("static", 4, 15, 3.0, "converged"), ("dynamic", 4, 10, 2.0, "converged"), ("static", 16, 27, 8.0, "converged"), ("dynamic", 16, 23, 5.0, "wrong"), ("lock-free 1", 4, 9, 4.0, "converged"), ("lock-free 16", 4, 3, 1.0, "wrong")]
+REPORT_SQL = "(values " + ", ".join(f"('{v}', {w}, {e}, {s}::double, '{t}')" for v, w, e, s, t in REPORT) + ") r(variant, workers, epochs, seconds, status)"
+
+
+def _report(spark: SparkSession) -> DataFrame:
+    return spark.createDataFrame(REPORT, "variant string, workers int, epochs int, seconds double, status string")
+
+
+query("ms_speedup", f"select r.variant, r.workers, b.seconds / r.seconds as speedup from {REPORT_SQL} join (select workers, seconds from {REPORT_SQL} where variant = 'static') b using (workers)")(lambda s, d: reports.speedup(_report(s), "static").select("variant", "workers", "speedup"))
+query("ms_reduction", f"select avg(100 * (1 - v / b)) as percent from (select workers, max(epochs) filter (variant = 'static')::double as b, max(epochs) filter (variant = 'dynamic')::double as v from {REPORT_SQL} group by workers)")(lambda s, d: reports.reduction(_report(s).filter("variant in ('static', 'dynamic')"), "static", "dynamic", "epochs"))
+query("ms_status", f"select status, count(*)::bigint as n from {REPORT_SQL} group by status")(lambda s, d: reports.status_counts(_report(s)))
+query("ms_best_valid", f"select arg_min(variant, seconds) as variant, min(seconds) as seconds from {REPORT_SQL} where variant like 'lock-free%' and status = 'converged'")(lambda s, d: reports.best_valid(_report(s)))
+
+
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The combined solver on the embeddings: history by epoch."""
     df = features.embed_matrix(spark, sf_dir)
