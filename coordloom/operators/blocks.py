@@ -44,7 +44,10 @@ def pack(df: DataFrame, n: int, d: int, bucket: int = 1, groups: int = 1, store:
     row = F.struct("eid", "y", *([F.col("x").alias("val")] if dense else ["idx", "val"]))
     grouped = df.withColumn("bid", bid.cast("long")).groupBy("bid").agg(F.sort_array(F.collect_list(row)).alias("r"))
     sizes = F.transform("r", lambda e: F.size(e["val"]))
-    indptr = F.transform(F.sequence(F.lit(0), F.size("r")), lambda k: F.aggregate(F.slice(sizes, F.lit(1), k), F.lit(0), lambda a, s: a + s))
+    if dense and d:
+        indptr = F.sequence(F.lit(0), F.size("r") * d, F.lit(d))
+    else:  # a running sum; linear in the bucket but for the copying of integers
+        indptr = F.aggregate(sizes, F.array(F.lit(0)), lambda acc, s: F.concat(acc, F.array(F.element_at(acc, -1) + s)))
     frame = grouped.select(
         F.floor(F.col("bid") * groups / n_blocks).cast("int").alias("gid"), "bid",
         F.col("r.eid").alias("eids"), F.col("r.y").alias("y"), indptr.alias("indptr"),
