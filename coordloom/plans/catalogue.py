@@ -471,10 +471,6 @@ def bl_cap_predictors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return g.orderBy(F.desc("g"), "pos").limit(50).select("pos")  # a top-k report
 
 
-def _first_workload(spark: SparkSession, sf_dir: str) -> tuple[blocks.Packed, solvers.TrainSpec]:
-    return packed_embed(spark, sf_dir, 5), solvers.TrainSpec("ridge", LAM, 6, 1e-3)
-
-
 query("bl_sag1")(lambda s, d: weights(s, baselines.fit_sag(packed_embed(s, d, 8), solvers.TrainSpec("ridge", LAM, 1, 0.0)).model.w))
 query("bl_dcd")(lambda s, d: weights(s, baselines.fit_dcd(packed_embed(s, d, 8), solvers.TrainSpec("hinge", LAM, 3, 0.0)).model.w))
 query("bl_lbfgs")(lambda s, d: weights(s, baselines.fit_lbfgs(packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM, 8)).model.w))
@@ -515,18 +511,19 @@ def sd_epoch_objective(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "epoch int, primal double, dual double, gap_ok boolean")
 
 
-# Workloads (histories: rows only)
+# Workloads (histories: rows only). Runs stop on the tolerance, or at the default of 50 epochs and then say so.
 
-query("wk_epochs_by_k")(lambda s, d: workloads.partitions_sweep(s, *_first_workload(s, d), (1, 4)))
-query("wk_dealing")(lambda s, d: workloads.dealing(s, packed_embed(s, d, 5), solvers.TrainSpec("ridge", LAM, 16, 1e-3), (4,)))
-query("wk_buckets")(lambda s, d: workloads.buckets(s, d, "embed", solvers.TrainSpec("ridge", LAM, 4, 1e-3), (1, 8)))
-query("wk_hier")(lambda s, d: workloads.hierarchy(s, d, "embed", solvers.TrainSpec("ridge", LAM, 5, 1e-3, workers=4), (1, 2), 5))
-query("wk_bottlenecks")(lambda s, d: workloads.bottlenecks(s, packed_embed(s, d, 5), solvers.TrainSpec("ridge", LAM, 3, 1e-3), (4,)))
+RIDGE = solvers.TrainSpec("ridge", LAM)
+query("wk_epochs_by_k")(lambda s, d: workloads.partitions_sweep(s, packed_embed(s, d, 5), RIDGE))
+query("wk_dealing")(lambda s, d: workloads.dealing(s, packed_embed(s, d, 5), RIDGE))
+query("wk_buckets")(lambda s, d: workloads.buckets(s, d, "embed", RIDGE))
+query("wk_hier")(lambda s, d: workloads.hierarchy(s, d, "embed", replace(RIDGE, workers=4), bucket=5))
+query("wk_bottlenecks")(lambda s, d: workloads.bottlenecks(s, packed_embed(s, d, 5), RIDGE))
 query("wk_lock_free_dense")(lambda s, d: workloads.lock_free(s, workloads.packed_fixture(s, d, "synth_dense", n=300), solvers.TrainSpec("logistic", 2e-2, 5, 1e-3), (1, 16), (1, 4)))
 query("wk_lock_free_sparse")(lambda s, d: workloads.lock_free(s, workloads.packed_fixture(s, d, "synth_sparse", n=300), solvers.TrainSpec("logistic", 2e-2, 5, 1e-3), (1, 16), (1, 4)))
-query("wk_scaling")(lambda s, d: workloads.scaling(s, d, "order", solvers.TrainSpec("logistic", 1e-3, workers=4), (1, 2), 64, 1))
+query("wk_scaling")(lambda s, d: workloads.scaling(s, d, "order", solvers.TrainSpec("logistic", 1e-3, workers=4)))
 query("wk_compare")(lambda s, d: workloads.compare(s, packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM, 5, 1e-3)))
-query("wk_label_sorted")(lambda s, d: workloads.label_sorted(s, d, solvers.TrainSpec("ridge", LAM, 6, 1e-3)))
+query("wk_label_sorted")(lambda s, d: workloads.label_sorted(s, d, RIDGE))
 query("wk_predictor_cap")(lambda s, d: workloads.predictor_cap(s, d, solvers.TrainSpec("logistic", LAM, 4), 200))
 
 
