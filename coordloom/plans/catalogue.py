@@ -342,17 +342,8 @@ lossy("ls_lossy_t4", True)
 lossy("ls_atomic_t4", False)
 
 
-@query("ls_drift")
-def ls_drift(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """|v - A alpha| by threads, dense and sparse."""
-    rows = []
-    for name, n in (("synth_dense", 400), ("synth_sparse", 400)):
-        p = workloads.packed_fixture(spark, sf_dir, name, n=n)
-        for t in (1, 16):
-            spec = solvers.TrainSpec("logistic", 1e-3, 2, 0.0)
-            r = solvers.fit_lossy_async(p, spec, t)
-            rows.append((name, t, metrics.certificate(p, r.model, spec.loss, spec.lam)["drift"], r.rows[-1][-1]))
-    return spark.createDataFrame(rows, "fixture string, threads int, drift double, lost long")
+#: |v - A alpha| by threads: synthetic dense and sparse, lineitem and orders.
+query("ls_drift")(lambda s, d: workloads.drift(s, d, ("synth_dense", "synth_sparse", "line", "order"), solvers.TrainSpec("logistic", 1e-3)))
 
 
 # Exact solutions and evaluation
@@ -519,8 +510,9 @@ query("wk_dealing")(lambda s, d: workloads.dealing(s, packed_embed(s, d, 5), RID
 query("wk_buckets")(lambda s, d: workloads.buckets(s, d, "embed", RIDGE))
 query("wk_hier")(lambda s, d: workloads.hierarchy(s, d, "embed", replace(RIDGE, workers=4), bucket=5))
 query("wk_bottlenecks")(lambda s, d: workloads.bottlenecks(s, packed_embed(s, d, 5), RIDGE))
-query("wk_lock_free_dense")(lambda s, d: workloads.lock_free(s, workloads.packed_fixture(s, d, "synth_dense", n=300), solvers.TrainSpec("logistic", 2e-2, 5, 1e-3), (1, 16), (1, 4)))
-query("wk_lock_free_sparse")(lambda s, d: workloads.lock_free(s, workloads.packed_fixture(s, d, "synth_sparse", n=300), solvers.TrainSpec("logistic", 2e-2, 5, 1e-3), (1, 16), (1, 4)))
+# W1 on F6a and F1, W2 on F6b and F3
+for _name, _fixture in {"wk_lock_free_dense": "synth_dense", "wk_lock_free_line": "line", "wk_lock_free_sparse": "synth_sparse", "wk_lock_free_order": "order"}.items():
+    query(_name)(lambda s, d, f=_fixture: workloads.lock_free(s, workloads.packed_fixture(s, d, f, n=workloads.synthetic_rows(s, d)), solvers.TrainSpec("logistic", 2e-2)))
 query("wk_scaling")(lambda s, d: workloads.scaling(s, d, "order", solvers.TrainSpec("logistic", 1e-3, workers=4)))
 query("wk_compare")(lambda s, d: workloads.compare(s, packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM, 5, 1e-3)))
 query("wk_label_sorted")(lambda s, d: workloads.label_sorted(s, d, RIDGE))

@@ -13,16 +13,30 @@ from coordloom.operators.solvers import FitResult, TrainSpec
 from coordloom.sources import features
 
 
-def packed_fixture(spark: SparkSession, sf_dir: str, name: str, bucket: int = 1, groups: int = 1, n: int = 1000) -> Packed:
+#: Threads of the lock-free runs.
+THREADS = (1, 2, 4, 8, 16, 32)
+
+
+def fixture(spark: SparkSession, sf_dir: str, name: str, n: int = 1000) -> tuple[DataFrame, int]:
+    """(examples, number of columns)."""
     makers = {
         "line": (lambda: features.line_matrix(spark, sf_dir).select("eid", "y", "x"), 6), "embed": (lambda: features.embed_matrix(spark, sf_dir), 64), "order": (lambda: features.order_sparse(spark, sf_dir), 66), "text": (lambda: features.text_hash(spark, sf_dir).drop("y_toxic"), features.TEXT_DIM),
         "event": (lambda: features.event_sparse(spark, sf_dir), 107), "wide": (lambda: features.wide_line(spark, sf_dir), features.WIDE_DIM), "synth_dense": (lambda: features.synth_dense(spark, n), 100), "synth_sparse": (lambda: features.synth_sparse(spark, n), 1000),
     }
     make, d = makers[name]
-    df = make()
+    return make(), d
+
+
+def packed_fixture(spark: SparkSession, sf_dir: str, name: str, bucket: int = 1, groups: int = 1, n: int = 1000) -> Packed:
+    df, d = fixture(spark, sf_dir, name, n)
     return blocks.pack(df, df.count(), d, bucket, groups)
 
 
+def synthetic_rows(spark: SparkSession, sf_dir: str) -> int:
+    """1k, 10k or 100k by scale: a sixth of ``lineitem``."""
+    return max(1, round(features.read(spark, sf_dir, "lineitem").count() / 6))
+
+
 def summary(spark: SparkSession, results: list[tuple[str, Packed, FitResult]], loss: str, lam: float) -> DataFrame:
     """One row per run: epochs, seconds, status, objective, drift."""
     rows = []
@@ -38,12 +52,23 @@ def judged(report: DataFrame, reference: float, margin: float = 0.01) -> DataFra
     return report.withColumn("status", F.when((F.col("status") == "converged") & off, "wrong").otherwise(F.col("status")))
 
 
-def lock_free(spark: SparkSession, packed: Packed, spec: TrainSpec, threads: tuple[int, ...] = (1, 4, 16), nodes: tuple[int, ...] = (1, 4)) -> DataFrame:
+def lock_free(spark: SparkSession, packed: Packed, spec: TrainSpec, threads: tuple[int, ...] = THREADS, nodes: tuple[int, ...] = (1, 4)) -> DataFrame:
     """The emulator by threads and nodes."""
     runs = [(f"lock-free t{t} n{g}", packed, solvers.fit_lossy_async(packed, spec, t, staleness_nodes=g)) for t in threads for g in nodes]
     return judged(summary(spark, runs, spec.loss, spec.lam), _reference(packed, spec))
 
 
+def drift(spark: SparkSession, sf_dir: str, fixtures: tuple[str, ...], spec: TrainSpec, threads: tuple[int, ...] = THREADS) -> DataFrame:
+    """|v - A alpha| and lost updates of the lock-free runs, by fixture and threads."""
+    rows = []
+    for name in fixtures:
+        p = packed_fixture(spark, sf_dir, name, n=synthetic_rows(spark, sf_dir))
+        for t in threads:
+            r = solvers.fit_lossy_async(p, spec, t)
+            rows.append((name, t, metrics.certificate(p, r.model, spec.loss, spec.lam)["drift"], r.rows[-1][-1], r.epochs, r.status))
+    return spark.createDataFrame(rows, "fixture string, threads int, drift double, lost long, epochs int, status string")
+
+
 def _reference(packed: Packed, spec: TrainSpec) -> float:
     w = baselines.fit_lbfgs(packed, replace(spec, max_epochs=60)).model.w
     return baselines.objective_gradient(packed, w, spec.loss, spec.lam)[0]

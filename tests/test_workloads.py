@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 
 from coordloom.operators import solvers
-from coordloom.plans import catalogue
+from coordloom.plans import catalogue, workloads
 
 
 @pytest.fixture
@@ -14,7 +14,7 @@ def asked(monkeypatch):
 
     def fit(packed, spec, warm=None, variant=None):
         runs.append((spec, packed))
-        return solvers.FitResult(solvers.Model(np.zeros(packed.d), None, {}), [("", spec.threads or spec.workers, packed.groups, packed.bucket, 1, 0.5)])
+        return solvers.FitResult(solvers.Model(np.zeros(packed.d), None, {}), [("", spec.threads or spec.workers, packed.groups, packed.bucket, 1, 0.5, 0)])
 
     monkeypatch.setattr(solvers, "fit", fit)
     return runs
@@ -37,3 +37,18 @@ def test_sweeps_are_whole_and_not_cut(spark, data_dir, asked, name):
 def test_epochs_by_workers_reach_the_tolerance(spark, data_dir):
     rows = {r["workers"]: r for r in catalogue.QUERIES["wk_epochs_by_k"](spark, data_dir).collect()}
     assert rows[1]["status"] == rows[4]["status"] == "converged" and rows[1]["epochs"] < rows[4]["epochs"]
+
+
+@pytest.mark.parametrize(("name", "rows"), [("wk_lock_free_dense", 1000), ("wk_lock_free_sparse", 1000), ("wk_lock_free_line", 6000), ("wk_lock_free_order", 1500)])
+def test_lock_free_runs_take_all_threads_and_the_rows_of_the_scale(spark, data_dir, asked, monkeypatch, name, rows):
+    monkeypatch.setattr(workloads, "_reference", lambda packed, spec: 1.0)
+    catalogue.QUERIES[name](spark, data_dir)
+    assert sorted((s.threads, s.staleness) for s, _ in asked) == [(t, g) for t in (1, 2, 4, 8, 16, 32) for g in (1, 4)]
+    assert all(s.max_epochs == 50 and s.tol == 1e-3 and p.n == rows for s, p in asked)
+
+
+def test_drift_takes_all_threads_and_fixtures(spark, data_dir, asked, monkeypatch):
+    monkeypatch.setattr(workloads.metrics, "certificate", lambda *_: {"drift": 0.0})
+    catalogue.QUERIES["ls_drift"](spark, data_dir)
+    assert [(p.n, s.threads) for s, p in asked] == [(n, t) for n in (1000, 1000, 6000, 1500) for t in (1, 2, 4, 8, 16, 32)]
+    assert all(s.max_epochs == 50 and s.tol == 1e-3 for s, _ in asked)
