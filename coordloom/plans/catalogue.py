@@ -514,7 +514,9 @@ query("wk_bottlenecks")(lambda s, d: workloads.bottlenecks(s, packed_embed(s, d,
 for _name, _fixture in {"wk_lock_free_dense": "synth_dense", "wk_lock_free_line": "line", "wk_lock_free_sparse": "synth_sparse", "wk_lock_free_order": "order"}.items():
     query(_name)(lambda s, d, f=_fixture: workloads.lock_free(s, workloads.packed_fixture(s, d, f, n=workloads.synthetic_rows(s, d)), solvers.TrainSpec("logistic", 2e-2)))
 query("wk_scaling")(lambda s, d: workloads.scaling(s, d, "order", solvers.TrainSpec("logistic", 1e-3, workers=4)))
-query("wk_compare")(lambda s, d: workloads.compare(s, packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM, 5, 1e-3)))
+# W5 and W10 on F2, F1, F3 and F8
+for _name, _fixture in {"wk_compare": "embed", "wk_compare_line": "line", "wk_compare_order": "order", "wk_compare_wide": "wide"}.items():
+    query(_name)(lambda s, d, f=_fixture: workloads.test_loss(s, *workloads.fixture(s, d, f), solvers.TrainSpec("logistic", LAM)))
 query("wk_label_sorted")(lambda s, d: workloads.label_sorted(s, d, RIDGE))
 query("wk_predictor_cap")(lambda s, d: workloads.predictor_cap(s, d, solvers.TrainSpec("logistic", LAM, 4), 200))
 

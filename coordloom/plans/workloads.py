@@ -11,6 +11,7 @@ from coordloom.operators import baselines, blocks, metrics, solvers, topology
 from coordloom.operators.blocks import Packed
 from coordloom.operators.solvers import FitResult, TrainSpec
 from coordloom.sources import features
+from coordloom.storage import materialise
 
 
 #: Threads of the lock-free runs.
@@ -112,7 +113,7 @@ def hierarchy(spark: SparkSession, sf_dir: str, fixture: str, spec: TrainSpec, g
 
 
 def compare(spark: SparkSession, packed: Packed, spec: TrainSpec, workers: int = 4) -> DataFrame:
-    """All solvers on one fixture."""
+    """All solvers on one fixture."""
     runs = [
         ("ours 1 worker", packed, solvers.fit_sequential(packed, spec)), (f"ours {workers} workers", packed, solvers.fit(packed, replace(spec, workers=workers))), ("lock-free 16", packed, solvers.fit_lossy_async(packed, spec, 16)),
         ("dcd", packed, baselines.fit_dcd(packed, spec)), ("lbfgs", packed, baselines.fit_lbfgs(packed, spec)), ("sag", packed, baselines.fit_sag(packed, spec)), ("auto", packed, baselines.fit_auto(packed, spec)),
@@ -120,15 +121,23 @@ def compare(spark: SparkSession, packed: Packed, spec: TrainSpec, workers: int =
     return summary(spark, runs, spec.loss, spec.lam)
 
 
-def test_loss(spark: SparkSession, examples: DataFrame, d: int, spec: TrainSpec, workers: int = 4, bucket: int = 1) -> dict[str, float]:
-    """Held-out mean loss by solver."""
+def held_out(examples: DataFrame, d: int, bucket: int = 1) -> tuple[Packed, DataFrame]:
+    """(packed training examples, held-out examples)."""
     from coordloom.sources.ids import densify
 
+    examples = materialise(examples, "examples")
     train = densify(examples.filter(~metrics.is_test(F.col("eid"))).withColumnRenamed("eid", "_e"), ["_e"], "eid").drop("_e")
-    held = examples.filter(metrics.is_test(F.col("eid")))
-    p = blocks.pack(train, train.count(), d, bucket)
-    fits = {"ours": solvers.fit(p, replace(spec, workers=workers)), "lbfgs": baselines.fit_lbfgs(p, spec), "dcd": baselines.fit_dcd(p, spec)}
-    return {k: metrics.evaluate(held, r.model)["logloss"] for k, r in fits.items()}
+    return blocks.pack(train, train.count(), d, bucket), examples.filter(metrics.is_test(F.col("eid")))
+
+
+def test_loss(spark: SparkSession, examples: DataFrame, d: int, spec: TrainSpec, workers: tuple[int, ...] = (1, 2, 4, 8, 16), bucket: int = 8) -> DataFrame:
+    """Time to convergence and held-out mean loss of every solver, ours and the lock-free one by workers."""
+    p, held = held_out(examples, d, bucket)
+    runs = [(f"ours {k} workers", p, solvers.fit(p, replace(spec, workers=k))) for k in workers] + [(f"lock-free {k}", p, solvers.fit_lossy_async(p, spec, k)) for k in workers]
+    runs += [(f.__name__.removeprefix("fit_"), p, f(p, spec)) for f in (baselines.fit_dcd, baselines.fit_lbfgs, baselines.fit_sag, baselines.fit_sgd, baselines.fit_auto)]
+    losses = [(name, metrics.evaluate(held, r.model)["logloss"]) for name, _, r in runs]
+    report = judged(summary(spark, runs, spec.loss, spec.lam), _reference(p, spec))
+    return report.join(F.broadcast(spark.createDataFrame(losses, "variant string, test_loss double")), "variant")
 
 
 def predictor_cap(spark: SparkSession, sf_dir: str, spec: TrainSpec, cap: int = 200) -> DataFrame:

@@ -3,8 +3,9 @@
 import numpy as np
 import pytest
 
-from coordloom.operators import solvers
+from coordloom.operators import baselines, metrics, solvers
 from coordloom.plans import catalogue, workloads
+from coordloom.sources import features
 
 
 @pytest.fixture
@@ -52,3 +53,19 @@ def test_drift_takes_all_threads_and_fixtures(spark, data_dir, asked, monkeypatc
     catalogue.QUERIES["ls_drift"](spark, data_dir)
     assert [(p.n, s.threads) for s, p in asked] == [(n, t) for n in (1000, 1000, 6000, 1500) for t in (1, 2, 4, 8, 16, 32)]
     assert all(s.max_epochs == 50 and s.tol == 1e-3 for s, _ in asked)
+
+
+def test_comparison_has_all_solvers_workers_and_held_out_loss(spark, data_dir):
+    examples = features.embed_matrix(spark, data_dir)
+    rows = {r["variant"]: r for r in catalogue.QUERIES["wk_compare"](spark, data_dir).collect()}
+    assert set(rows) == {f"ours {k} workers" for k in (1, 2, 4, 8, 16)} | {f"lock-free {k}" for k in (1, 2, 4, 8, 16)} | {"dcd", "lbfgs", "sag", "sgd", "auto"}
+    assert {rows[k]["status"] for k in ("ours 1 workers", "ours 16 workers", "dcd", "lbfgs", "sag", "auto")} == {"converged"}
+    packed, held = workloads.held_out(examples, 64, 8)
+    assert packed.n + held.count() == examples.count() and 0 < held.count() < packed.n
+    best = metrics.evaluate(held, baselines.fit_newton(packed, solvers.TrainSpec("logistic", 0.01)).model)["logloss"]
+    assert all(abs(rows[k]["test_loss"] - best) < 1e-3 for k in ("ours 16 workers", "dcd", "lbfgs", "auto"))
+
+
+@pytest.mark.parametrize("fixture", ["line", "order", "wide"])
+def test_comparison_is_registered_on_the_large_tables(fixture):
+    assert f"wk_compare_{fixture}" in catalogue.QUERIES
