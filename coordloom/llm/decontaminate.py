@@ -6,8 +6,8 @@ verified along the whole diagonal: the best run with +1 for an equal and -2 for
 ``MIN_SCORE`` (or the length of a shorter item), so copies with some words replaced are found and chance hits are not.
 
 Defined cases: null or empty texts have no seeds; items of fewer than ``MIN_ITEM_WORDS`` words are compared as whole
-word sequences of their own length instead of by masks, and not at all if they have none; repeated rows give equal results,
-once; empty tables give empty results; other columns pass through ``drop_contaminated``.
+word sequences of their own length instead of by masks, and not at all if they have none; equal rows give one result;
+null or repeated ids: rows are told apart by id and text, each with results (and dropped or kept) of its own; empty tables give empty results; other columns pass through ``drop_contaminated``.
 """
 
 from __future__ import annotations
@@ -69,38 +69,55 @@ def _score(equal: Column) -> Column:
     return F.aggregate(equal, start, step, lambda acc: acc["best"])
 
 
+def _row(name: str, key: str) -> tuple[Column, Column]:
+    """The id and, as it may be null or repeat, a hash of the text."""
+    return F.col(name), F.xxhash64("text").alias(key)
+
+
+def _join(a: DataFrame, b: DataFrame, name: str, key: str, how: str = "inner") -> DataFrame:
+    """Equal ids (null too) and keys; ``b``'s copies of both columns go."""
+    b = b.withColumnsRenamed({name: "_b_id", key: "_b_key"})
+    return a.join(b, F.col(name).eqNullSafe(F.col("_b_id")) & (F.col(key) == F.col("_b_key")), how).drop("_b_id", "_b_key")
+
+
 def overlaps(docs: DataFrame, benchmark: DataFrame, min_score: int = MIN_SCORE) -> DataFrame:
     """(doc_id, item_id, score, n_equal, doc_first, n_compared): verified overlaps, the best of each document and item."""
-    words = docs.select("doc_id", plain_words(text_or_empty("text")).alias("_w"))
-    items = benchmark.select("item_id", plain_words(text_or_empty("text")).alias("_w"))
-    tests = seeds(items.filter(F.size("_w") >= MIN_ITEM_WORDS), ["item_id"]).select("item_id", F.col("pos").alias("item_pos"), "seed")
+    return _verified(docs, benchmark, min_score).drop("_doc", "_key")
+
+
+def _verified(docs: DataFrame, benchmark: DataFrame, min_score: int) -> DataFrame:
+    """``overlaps`` with the key of the document's row. Rows are told apart by id and text, so that ids may be null or repeat."""
+    words = docs.select(*_row("doc_id", "_doc"), plain_words(text_or_empty("text")).alias("_w"))
+    items = benchmark.select(*_row("item_id", "_key"), plain_words(text_or_empty("text")).alias("_w"))
+    tests = seeds(items.filter(F.size("_w") >= MIN_ITEM_WORDS), ["item_id", "_key"]).select("item_id", "_key", F.col("pos").alias("item_pos"), "seed")
     small = fits_broadcast(tests, BROADCAST_SEEDS)
-    hits = seeds(words, ["doc_id"]).join(F.broadcast(tests) if small else tests, "seed").select("doc_id", "item_id", (F.col("pos") - F.col("item_pos")).alias("diagonal"))
+    hits = seeds(words, ["doc_id", "_doc"]).join(F.broadcast(tests) if small else tests, "seed").select("doc_id", "_doc", "item_id", "_key", (F.col("pos") - F.col("item_pos")).alias("diagonal"))
     # short items: all their words, hashed in one; lengths that occur are few and fixed by the constant
-    shorts = items.filter((F.size("_w") > 0) & (F.size("_w") < MIN_ITEM_WORDS)).select("item_id", F.size("_w").alias("len"), F.xxhash64("_w").alias("seed"))
+    shorts = items.filter((F.size("_w") > 0) & (F.size("_w") < MIN_ITEM_WORDS)).select("item_id", "_key", F.size("_w").alias("len"), F.xxhash64("_w").alias("seed"))
     lengths = [r["len"] for r in shorts.select("len").distinct().collect()]
     for length in lengths:
-        part = shorts.filter(F.col("len") == length).select("item_id", "seed")
+        part = shorts.filter(F.col("len") == length).select("item_id", "_key", "seed")
         spans = F.transform(F.sequence(F.lit(1), F.greatest(F.size("_w") - (length - 1), F.lit(1))), _span(length))
-        flat = words.filter(F.size("_w") >= length).select("doc_id", F.posexplode(spans).alias("pos", "seed"))
-        hits = hits.unionByName(flat.join(F.broadcast(part) if small else part, "seed").select("doc_id", "item_id", F.col("pos").alias("diagonal")))
-    per_doc = hits.distinct().groupBy("doc_id").agg(F.collect_list(F.struct("item_id", "diagonal")).alias("_hits"))
-    texts = docs.select("doc_id", "text").join(per_doc, "doc_id")
-    texts = texts.select("doc_id", "_hits", plain_words(text_or_empty("text")).alias("_w"))
+        flat = words.filter(F.size("_w") >= length).select("doc_id", "_doc", F.posexplode(spans).alias("pos", "seed"))
+        hits = hits.unionByName(flat.join(F.broadcast(part) if small else part, "seed").select("doc_id", "_doc", "item_id", "_key", F.col("pos").alias("diagonal")))
+    per_doc = hits.distinct().groupBy("doc_id", "_doc").agg(F.collect_list(F.struct("item_id", "_key", "diagonal")).alias("_hits"))
+    texts = _join(docs.select(*_row("doc_id", "_doc"), "text"), per_doc, "doc_id", "_doc")
+    texts = texts.select("doc_id", "_doc", "_hits", plain_words(text_or_empty("text")).alias("_w"))
     longest = items.agg(F.max(F.size("_w"))).first()[0] or 0
-    cut = F.transform("_hits", lambda h: F.struct(h["item_id"].alias("item_id"), h["diagonal"].alias("diagonal"), F.slice(F.col("_w"), F.greatest(h["diagonal"], F.lit(0)) + 1, F.lit(longest)).alias("words")))
-    cases = texts.select("doc_id", F.explode(cut).alias("c")).select("doc_id", "c.*")
+    cut = F.transform("_hits", lambda h: F.struct(h["item_id"].alias("item_id"), h["_key"].alias("_key"), h["diagonal"].alias("diagonal"), F.slice(F.col("_w"), F.greatest(h["diagonal"], F.lit(0)) + 1, F.lit(longest)).alias("words")))
+    cases = texts.select("doc_id", "_doc", F.explode(cut).alias("c")).select("doc_id", "_doc", "c.*")
     known = items.withColumnRenamed("_w", "_item")
-    cases = cases.join(F.broadcast(known) if small else known, "item_id")
+    cases = _join(cases, F.broadcast(known) if small else known, "item_id", "_key")
     item = F.slice("_item", F.greatest(-F.col("diagonal"), F.lit(0)) + 1, F.greatest(F.size("_item"), F.lit(1)))
     equal = F.zip_with(item, F.slice("words", F.lit(1), F.size(item)), lambda x, y: F.coalesce(x == y, F.lit(False)))
-    scored = cases.select("doc_id", "item_id", F.size("_item").alias("item_words"), F.greatest("diagonal", F.lit(0)).alias("doc_first"), equal.alias("_e"))
-    scored = scored.select("doc_id", "item_id", "item_words", "doc_first", _score(F.col("_e")).alias("score"), F.size(F.filter("_e", lambda e: e)).alias("n_equal"), F.size("_e").alias("n_compared"))
+    scored = cases.select("doc_id", "_doc", "item_id", "_key", F.size("_item").alias("item_words"), F.greatest("diagonal", F.lit(0)).alias("doc_first"), equal.alias("_e"))
+    scored = scored.select("doc_id", "_doc", "item_id", "_key", "item_words", "doc_first", _score(F.col("_e")).alias("score"), F.size(F.filter("_e", lambda e: e)).alias("n_equal"), F.size("_e").alias("n_compared"))
     good = scored.filter(F.col("score") >= F.least(F.lit(min_score), F.col("item_words")))
     best = F.max(F.struct("score", "n_equal", (-F.col("doc_first")).alias("minus_first"), "n_compared")).alias("b")
-    return good.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", F.col("b.score").cast("long").alias("score"), F.col("b.n_equal").cast("long").alias("n_equal"), (-F.col("b.minus_first")).cast("long").alias("doc_first"), F.col("b.n_compared").cast("long").alias("n_compared"))
+    return good.groupBy("doc_id", "_doc", "item_id", "_key").agg(best).select("doc_id", "_doc", "item_id", "_key", F.col("b.score").cast("long").alias("score"), F.col("b.n_equal").cast("long").alias("n_equal"), (-F.col("b.minus_first")).cast("long").alias("doc_first"), F.col("b.n_compared").cast("long").alias("n_compared"))
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    found = overlaps(docs.select("doc_id", "text"), benchmark.select("item_id", "text")).select("doc_id").distinct()
-    return docs.join(found, "doc_id", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
+    found = _verified(docs.select("doc_id", "text"), benchmark.select("item_id", "text"), MIN_SCORE).select("doc_id", "_doc").distinct()
+    keyed = docs.select(*[F.col(f"`{c}`") for c in docs.columns], _row("doc_id", "_doc")[1])
+    return _join(keyed, found, "doc_id", "_doc", "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])

@@ -476,3 +476,14 @@ def test_pipeline_against_brute_force(spark, tmp_path):
     assert {r["doc_id"] for r in c.collect()} - {r["doc_id"] for r in d.collect()} == {2}
     e = stage["mixing sources to target weights"](spark, d, "")
     assert e.count() == d.count()
+
+
+def test_decontamination_without_unique_ids(spark):
+    rng = random.Random(4)
+    words = lambda k: [f"t{rng.randrange(5000)}" for _ in range(k)]
+    items = [words(30) for _ in range(3)]
+    text = lambda *parts: " ".join(w for p in parts for w in p)
+    docs = docs_of(spark, [(None, text(words(9), items[0]), "s"), (None, text(words(40)), "s"), (7, text(items[1], words(9)), "s"), (7, text(words(40)), "s"), (8, text(words(5), items[2]), "s")])
+    bench = spark.createDataFrame([(0, text(items[0])), (None, text(items[1])), (None, text(items[2]))], "item_id long, text string")
+    assert sorted(((r["doc_id"], r["item_id"]) for r in decontaminate.overlaps(docs, bench).collect()), key=str) == [(7, None), (8, None), (None, 0)]
+    assert sorted((r["doc_id"] is None, len(r["text"].split())) for r in decontaminate.drop_contaminated(docs, bench).collect()) == [(False, 40), (True, 40)]
