@@ -3,7 +3,8 @@
 Fixed masks select 8 of 12 or 13 consecutive words; substitutions at the other positions leave a seed as it is.
 Seeds of the benchmark and of the documents are joined by hash. Each (document, item, diagonal) that was hit is
 verified along the whole diagonal: the best run with +1 for an equal and -2 for an unequal word must reach
-``MIN_SCORE`` (or the length of a shorter item), so copies with some words replaced are found and chance hits are not.
+``MIN_SCORE``, or half the words of an item of under twice as many, so copies with some words replaced are found and
+chance hits are not.
 
 Defined cases: null or empty texts have no seeds; items of fewer than ``MIN_ITEM_WORDS`` words are compared as whole
 word sequences of their own length instead of by masks, and not at all if they have none; equal rows give one result;
@@ -112,7 +113,7 @@ def _verified(docs: DataFrame, benchmark: DataFrame, min_score: int) -> DataFram
     equal = F.zip_with(item, F.slice("words", F.lit(1), F.size(item)), lambda x, y: F.coalesce(x == y, F.lit(False)))
     scored = cases.select("doc_id", "_doc", "item_id", "_key", F.size("_item").alias("item_words"), F.greatest("diagonal", F.lit(0)).alias("doc_first"), equal.alias("_e"))
     scored = scored.select("doc_id", "_doc", "item_id", "_key", "item_words", "doc_first", _score(F.col("_e")).alias("score"), F.size(F.filter("_e", lambda e: e)).alias("n_equal"), F.size("_e").alias("n_compared"))
-    good = scored.filter(F.col("score") >= F.least(F.lit(min_score), F.col("item_words")))
+    good = scored.filter(F.col("score") >= F.least(F.lit(min_score), F.ceil(F.col("item_words") / 2)))
     best = F.max(F.struct("score", "n_equal", (-F.col("doc_first")).alias("minus_first"), "n_compared")).alias("b")
     return good.groupBy("doc_id", "_doc", "item_id", "_key").agg(best).select("doc_id", "_doc", "item_id", "_key", F.col("b.score").cast("long").alias("score"), F.col("b.n_equal").cast("long").alias("n_equal"), (-F.col("b.minus_first")).cast("long").alias("doc_first"), F.col("b.n_compared").cast("long").alias("n_compared"))
 

@@ -487,3 +487,16 @@ def test_decontamination_without_unique_ids(spark):
     bench = spark.createDataFrame([(0, text(items[0])), (None, text(items[1])), (None, text(items[2]))], "item_id long, text string")
     assert sorted(((r["doc_id"], r["item_id"]) for r in decontaminate.overlaps(docs, bench).collect()), key=str) == [(7, None), (8, None), (None, 0)]
     assert sorted((r["doc_id"] is None, len(r["text"].split())) for r in decontaminate.drop_contaminated(docs, bench).collect()) == [(False, 40), (True, 40)]
+
+
+def test_short_items_with_replaced_words(spark):
+    rng = random.Random(5)
+    words = lambda k: [f"t{rng.randrange(5000)}" for _ in range(k)]
+    cases = [(13, (7,)), (14, (7,)), (15, (4, 9)), (17, (4, 9)), (18, (4, 9, 14)), (20, (4, 9, 14))]
+    items, docs = [words(n) for n, _ in cases], []
+    for item, (_, replaced) in zip(items, cases, strict=True):
+        docs.append(" ".join(words(9) + ["other" if k in replaced else w for k, w in enumerate(item)] + words(9)))
+    parts = [" ".join(words(9) + item[: len(item) // 2] + words(20)) for item in items]
+    bench = spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate(items)], "item_id long, text string")
+    found = {(r["doc_id"], r["item_id"]) for r in decontaminate.overlaps(docs_of(spark, docs + parts), bench).collect()}
+    assert found == {(k, k) for k in range(len(cases))}
