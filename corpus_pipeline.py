@@ -25,12 +25,16 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the document with the smallest id stays, once. Rows without an id stay."""
-    labels = jaccard_join.jaccard_components(docs).filter("doc_id <=> component_id").select("doc_id").distinct()
-    firsts = docs.join(labels, "doc_id", "left_semi")
-    again = docs.groupBy("doc_id").count().filter("count > 1").limit(1).count()
-    firsts = firsts.dropDuplicates(["doc_id", "text"]) if again else firsts  # equal rows with one id are copies too
-    return firsts.unionByName(docs.filter("doc_id is null")).select(docs.columns)
+    """Of each group of near copies the row with the smallest id stays, once; one without an id only if none has one."""
+    if not docs.groupBy("doc_id").count().filter("count > 1 or doc_id is null").limit(1).count():
+        labels = jaccard_join.jaccard_components(docs).filter("doc_id = component_id").select("doc_id")
+        return docs.join(labels, "doc_id", "left_semi").select(docs.columns)
+    rows = materialise(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
+    labels = jaccard_join.jaccard_components(rows, "_row").select(F.col("doc_id").alias("_row"), "component_id")
+    first = F.min(F.struct(F.col("doc_id").isNull(), "doc_id", "_row"))["_row"]
+    firsts = rows.join(rows.select("_row", "doc_id").join(labels, "_row").groupBy("component_id").agg(first.alias("_row")), "_row", "left_semi")
+    named = firsts.filter("doc_id is not null").dropDuplicates(["doc_id", "text"])  # equal rows with one id are copies too, however short
+    return named.unionByName(firsts.filter("doc_id is null")).select(docs.columns)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -500,3 +500,15 @@ def test_short_items_with_replaced_words(spark):
     bench = spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate(items)], "item_id long, text string")
     found = {(r["doc_id"], r["item_id"]) for r in decontaminate.overlaps(docs_of(spark, docs + parts), bench).collect()}
     assert found == {(k, k) for k in range(len(cases))}
+
+
+def test_near_duplicates_without_unique_ids(spark):
+    import corpus_pipeline as cp
+
+    a, b, c = (" ".join(f"{x}{k}" for k in range(60)) for x in "abc")
+    near = lambda t: t.rsplit(" ", 1)[0] + " end"
+    rows = [(None, a, "s"), (None, a, "s"), (None, near(a), "s"), (5, b, "s"), (5, near(b), "s"), (5, c, "s"), (3, near(c), "s"), (None, c, "s"), (None, None, "s"), (9, "", "s"), (9, "", "s")]
+    out = cp.near_duplicates(spark, docs_of(spark, rows), "")
+    got = [(r["doc_id"], r["text"]) for r in out.collect()]
+    assert len(got) == 5 and sum(i is None and t in (a, near(a)) for i, t in got) == 1
+    assert sum(t in (b, near(b)) for _, t in got) == 1 and {(3, near(c)), (None, None), (9, "")} <= set(got)
