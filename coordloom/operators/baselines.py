@@ -11,20 +11,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from coordloom.operators import kernels, losses
-from coordloom.operators.blocks import Packed
-from coordloom.operators.solvers import FitResult, Model, TrainSpec, _plan, fit, sweep_frame
-from coordloom.storage import materialise
+from coordloom.operators.blocks import Packed, regroup
+from coordloom.operators.solvers import FitResult, Model, TrainSpec, _plan, _run, fit, sweep_frame
+from coordloom.storage import CO_LOCATED, settings
 
 GRAM_FEATURES = 2000
-
-
-def _examples(batch) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """(row, idx, val, y) of each block."""
-    for r in batch.to_pylist():
-        bounds, val = np.asarray(r["indptr"]), np.asarray(r["val"], float)
-        sizes = np.diff(bounds)
-        idx = np.asarray(r["idx"]) if r["idx"] is not None else np.arange(len(val)) - np.repeat(bounds[:-1], sizes)
-        yield np.repeat(np.arange(len(sizes)), sizes), idx, val, np.asarray(r["y"], float)
+#: Numbers of a dense slice of examples in the sum for a Hessian.
+HESSIAN_CELLS = 1 << 22
 
 
 def objective_gradient(packed: Packed, w: np.ndarray, loss: str, lam: float, hessian: bool = False) -> tuple:
@@ -36,17 +29,20 @@ def objective_gradient(packed: Packed, w: np.ndarray, loss: str, lam: float, hes
 
         v, total, grad, hess = shared.value, 0.0, np.zeros(d), np.zeros((d, d)) if hessian else None
         for batch in batches:
-            for row, idx, val, y in _examples(batch):
-                z = np.bincount(row, weights=val * v[idx], minlength=len(y))
-                total += float(np.sum(losses.value(loss, z, y)))
-                np.add.at(grad, idx, val * losses.slope(loss, z, y)[row])
-                if hessian:
-                    x = np.zeros((len(y), d))
-                    x[row, idx] = val
-                    hess += x.T @ (losses.curvature(loss, z, y)[:, None] * x)
+            row, idx, val, y = kernels.examples_of(batch)
+            z = np.bincount(row, weights=val * v[idx], minlength=len(y))
+            total += float(np.sum(losses.value(loss, z, y)))
+            grad += np.bincount(idx, weights=val * losses.slope(loss, z, y)[row], minlength=d)
+            if hessian:
+                curved, step = losses.curvature(loss, z, y), max(1, HESSIAN_CELLS // max(1, d))
+                for lo in range(0, len(y), step):  # a slice of examples at a time in dense form
+                    a, b = np.searchsorted(row, (lo, lo + step))
+                    x = np.zeros((min(step, len(y) - lo), d))
+                    x[row[a:b] - lo, idx[a:b]] = val[a:b]
+                    hess += x.T @ (curved[lo : lo + step, None] * x)
         yield pa.RecordBatch.from_arrays([pa.array([total]), pa.array([grad], pa.list_(pa.float64())), pa.array([hess.ravel() if hessian else None], pa.list_(pa.float64()))], names=["f", "g", "h"])
 
-    rows = packed.frame.mapInArrow(run, "f double, g array<double>, h array<double>").collect()  # one row per task
+    rows = packed.plain().select("y", "indptr", "idx", "val").mapInArrow(run, "f double, g array<double>, h array<double>").collect()  # one row per task
     grad = sum((np.array(r["g"]) for r in rows), np.zeros(d)) / n + lam * w
     hess = sum((np.array(r["h"]).reshape(d, d) for r in rows), np.zeros((d, d))) / n + lam * np.eye(d) if hessian else None
     return sum(r["f"] for r in rows) / n + lam / 2 * float(w @ w), grad, hess
@@ -129,47 +125,45 @@ def largest_norm(packed: Packed) -> float:
     """The largest squared norm of an example."""
     squares = F.transform("val", lambda v: v * v)
     per = F.transform(F.sequence(F.lit(1), F.size("y")), lambda k: F.aggregate(F.slice(squares, F.col("indptr")[k - 1] + 1, F.col("indptr")[k] - F.col("indptr")[k - 1]), F.lit(0.0), lambda a, v: a + v))
-    return packed.frame.select(F.array_max(per).alias("q")).agg(F.max("q")).first()[0] or 0.0
+    return packed.plain().select(F.array_max(per).alias("q")).agg(F.max("q")).first()[0] or 0.0
 
 
 def fit_sag(packed: Packed, spec: TrainSpec) -> FitResult:
     """Sequential, in one task per epoch: step 1 / (L + lam) with L the largest curvature."""
-    one = replace_groups(packed, 1)
+    one = regroup(packed, 1)
     top = largest_norm(packed) * (0.25 if spec.loss == "logistic" else 1.0)
-    w, average, alpha, rows, status = np.zeros(packed.d), np.zeros(packed.d), None, [], "max_epochs"
-    for epoch in range(spec.max_epochs):
-        began = time.time()
-        plan = _plan(one, alpha, replace(spec, deal="dynamic"), epoch, 1)
-        sweep = kernels.Sweep(spec.loss, spec.lam, packed.n, packed.d, 1, kind="sag", rate=1.0 / (top + spec.lam))
-        out = materialise(sweep_frame(plan, 1, sweep, w, average), "sag")
-        moves = {r["kind"]: np.array(r["vec"]) for r in out.filter("kind <> 1").collect()}
-        alpha = out.filter("kind = 1").select(F.lit(0).alias("gid"), "bid", F.col("vec").alias("alpha"))
-        w, average = w + moves[0], average + moves[2]
-        rel = float(np.linalg.norm(moves[0]) / max(1e-300, np.linalg.norm(w)))
-        status = "converged" if rel < spec.tol else status
-        rows.append(("sag", 1, 1, packed.bucket, epoch + 1, time.time() - began, rel, "converged" if rel < spec.tol else "running", 16 * packed.d, 16 * packed.d, 0, 0))
-        if rel < spec.tol:
-            break
+    w, average, alpha, held, rows, status = np.zeros(packed.d), np.zeros(packed.d), None, None, [], "max_epochs"
+    own = replace(spec, deal="dynamic")
+    with settings(packed.frame.sparkSession, CO_LOCATED):
+        for epoch in range(spec.max_epochs):
+            began = time.time()
+            sweep = kernels.Sweep(spec.loss, spec.lam, packed.n, packed.d, 1, kind="sag", rate=1.0 / (top + spec.lam), unit=packed.unit, seed=1009 * spec.seed + epoch)
+            table, alpha, moves = _run(one, _plan(one, alpha, own, epoch, 1), sweep, w, "sag", average)
+            if held:
+                held.drop()
+            held, moves = table, {r["kind"]: np.array(r["vec"]) for r in moves}
+            w, average = w + moves[0], average + moves[2]
+            rel = float(np.linalg.norm(moves[0]) / max(1e-300, np.linalg.norm(w)))
+            status = "converged" if rel < spec.tol else status
+            rows.append(("sag", 1, 1, packed.bucket, epoch + 1, time.time() - began, rel, "converged" if rel < spec.tol else "running", 16 * packed.d, 16 * packed.d, 0, 0))
+            if rel < spec.tol:
+                break
+    if held:
+        held.drop()
     return FitResult(Model(w, None, {"solver": "sag"}), rows, status)
 
 
-def replace_groups(packed: Packed, groups: int) -> Packed:
-    """The same blocks under other groups."""
-    frame = packed.frame.withColumn("gid", F.floor(F.col("bid") * groups / packed.n_blocks).cast("int"))
-    return replace(packed, frame=frame, groups=groups)
-
-
 def fit_dcd(packed: Packed, spec: TrainSpec, shrinking: bool = True) -> FitResult:
-    """Single-threaded dual coordinate descent; with shrinking for the losses that have bounds."""
-    bounded = spec.loss in ("hinge", "smooth_hinge")
-    return fit(replace_groups(packed, 1), replace(spec, workers=1, shrinking=shrinking and bounded), None, "dcd")
+    """The libraries' single-threaded dual descent: examples permuted one by one, truncated inner solves, its own shrinking."""
+    return fit(regroup(packed, 1), replace(spec, workers=1, deal="dynamic", dual_pass=True, shrinking=shrinking and spec.loss in ("logistic", "hinge", "smooth_hinge")), None, "dcd")
 
 
 def fit_sgd(packed: Packed, spec: TrainSpec, rate: float = 0.5) -> FitResult:
     """One online pass."""
-    began, one = time.time(), replace_groups(packed, 1)
-    sweep = kernels.Sweep(spec.loss, spec.lam, packed.n, packed.d, 1, kind="sgd", rate=rate)
-    row = sweep_frame(_plan(one, None, spec, 0, 1), 1, sweep, np.zeros(packed.d)).collect()[0]
+    began, one = time.time(), regroup(packed, 1)
+    sweep = kernels.Sweep(spec.loss, spec.lam, packed.n, packed.d, 1, kind="sgd", rate=rate, unit=packed.unit, seed=1009 * spec.seed)
+    with settings(packed.frame.sparkSession, CO_LOCATED):
+        row = sweep_frame(_plan(one, None, replace(spec, deal="dynamic"), 0, 1), sweep, np.zeros(packed.d)).collect()[0]
     return _result("sgd", packed, np.array(row["vec"]), [(time.time() - began, 1.0)], True)
 
 
@@ -181,9 +175,9 @@ def fit_auto(packed: Packed, spec: TrainSpec, small: int = 200) -> FitResult:
 
 
 def top_predictors(packed: Packed, p: int, loss: str) -> list[int]:
-    """Columns with the largest gradient at 0; ties by number."""
+    """Columns with the largest gradient at 0 (to nine digits); ties by number."""
     _, g, _ = objective_gradient(packed, np.zeros(packed.d), loss, 0.0)
-    return sorted(sorted(range(packed.d), key=lambda j: (-abs(g[j]), j))[:p])
+    return sorted(sorted(range(packed.d), key=lambda j: (-abs(round(float(g[j]), 9)), j))[:p])
 
 
 def keep_columns(examples: DataFrame, columns: list[int]) -> DataFrame:
@@ -194,13 +188,25 @@ def keep_columns(examples: DataFrame, columns: list[int]) -> DataFrame:
 
 
 def gram(examples: DataFrame, target: str = "y") -> tuple[np.ndarray, np.ndarray, float, int]:
-    """(X'X, X'y, y'y, n) of dense examples, as one distributed aggregate of d (d + 1) / 2 sums."""
-    d = len(examples.select("x").first()[0])
-    xs = [F.col("x")[j] for j in range(d)]
-    sums = [F.sum(xs[i] * xs[j]).alias(f"g{i}_{j}") for i in range(d) for j in range(i, d)] + [F.sum(xs[i] * F.col(target)).alias(f"b{i}") for i in range(d)]
-    r = examples.agg(*sums, F.sum(F.col(target) * F.col(target)).alias("yy"), F.count("*").alias("n")).first()
-    g = np.array([[r[f"g{min(i, j)}_{max(i, j)}"] for j in range(d)] for i in range(d)])
-    return g, np.array([r[f"b{i}"] for i in range(d)]), r["yy"], r["n"]
+    """(X'X, X'y, y'y, n) of dense examples: each task adds up its own, one row leaves it."""
+    first = examples.select(F.size("x")).first()
+    d = first[0] if first else 0
+    if d > GRAM_FEATURES:
+        raise ValueError("too many features for a Gram matrix on the driver")
+
+    def run(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+
+        g, b, yy, n = np.zeros((d, d)), np.zeros(d), 0.0, 0
+        for batch in batches:
+            at, flat = kernels.lists(batch.column(0))
+            x, y = flat[at[0] : at[-1]].reshape(-1, d), np.asarray(batch.column(1))
+            g, b, yy, n = g + x.T @ x, b + x.T @ y, yy + float(y @ y), n + len(y)
+        yield pa.RecordBatch.from_arrays([pa.array([g.ravel()], pa.list_(pa.float64())), pa.array([b], pa.list_(pa.float64())), pa.array([yy]), pa.array([n], pa.int64())], names=["g", "b", "yy", "n"])
+
+    rows = examples.select(F.col("x").cast("array<double>"), F.col(target).cast("double")).mapInArrow(run, "g array<double>, b array<double>, yy double, n long").collect()  # one row per task
+    total = lambda c: sum((np.array(r[c]) for r in rows), 0.0)
+    return total("g").reshape(d, d), total("b"), float(sum(r["yy"] for r in rows)), sum(r["n"] for r in rows)
 
 
 def fit_elastic_net(examples: DataFrame, l1: float, l2: float = 0.0, max_epochs: int = 100, tol: float = 1e-10, target: str = "y") -> tuple[np.ndarray, list[np.ndarray]]:

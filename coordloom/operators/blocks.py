@@ -1,18 +1,22 @@
-"""Buckets: runs of consecutive examples as one row, the unit of order, of dealing and of training."""
+"""Rows of consecutive examples, the unit of dealing; buckets inside a row are the unit of its order."""
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from coordloom.storage import materialise
+from coordloom.storage import Bucketed
 
 
 @dataclass
 class Packed:
-    """Block rows (gid, bid, eids, y, indptr, idx, val) of ``n`` examples with ``d`` features; idx is null for dense ones."""
+    """Block rows (slot, gid, bid, eids, y, indptr, idx, val) of ``n`` examples with ``d`` features; idx is null for dense ones.
+
+    ``bucket`` is the number of examples of a row; ``unit`` that of the buckets which are permuted inside it (the whole row if 0).
+    A stored frame is a bucketed table: one bucket, one file and one task per group.
+    """
 
     frame: DataFrame
     n: int
@@ -21,6 +25,9 @@ class Packed:
     bucket: int
     groups: int
     dense: bool
+    slots: tuple[int, ...] = (0,)
+    unit: int = 0
+    table: Bucketed | None = None
 
     def group_first(self, gid) -> int:
         """The first block of a group: gid = floor(bid * G / nb)."""
@@ -29,20 +36,49 @@ class Packed:
     def group_blocks(self, gid: int) -> int:
         return self.group_first(gid + 1) - self.group_first(gid)
 
+    def plain(self) -> DataFrame:
+        """The rows for passes in any order: split by size, so that they use all cores whatever the number of groups."""
+        return self.table.plain() if self.table else self.frame
+
+    def release(self) -> None:
+        """Delete the stored blocks."""
+        if self.table:
+            self.table.drop()
+
 
 def by_group(df: DataFrame, groups: int) -> DataFrame:
     """One partition per group, gid 0 to 0 and so on: hash partitioning would put two groups in one."""
     return df.repartitionById(groups, "gid")
 
 
-def pack(df: DataFrame, n: int, d: int, bucket: int = 1, groups: int = 1, store: bool = True) -> Packed:
-    """``df``: (eid, y, x) or (eid, y, idx, val) with eid 0..n-1. One shuffle; afterwards the data stays with its group."""
+def group_slots(spark: SparkSession, groups: int) -> tuple[int, ...]:
+    """One integer per group, such that Spark's bucketing by it puts each group in a bucket of its own."""
+    found: dict[int, int] = {}
+    size = 8 * groups + 64
+    lo = 0
+    while len(found) < groups:
+        for k, bucket in spark.range(lo, lo + size, 1, 1).select("id", F.pmod(F.hash(F.col("id").cast("int")), F.lit(groups))).collect():
+            found.setdefault(bucket, k)
+        lo, size = lo + size, 2 * size
+    return tuple(found[b] for b in range(groups))
+
+
+def with_slots(frame: DataFrame, slots: tuple[int, ...]) -> DataFrame:
+    return frame.withColumn("slot", F.element_at(F.array(*map(F.lit, slots)), F.col("gid") + 1).cast("int"))
+
+
+def pack(df: DataFrame, n: int, d: int, bucket: int = 1, groups: int = 1, store: bool = True, unit: int = 0) -> Packed:
+    """``df``: (eid, y, x) or (eid, y, idx, val) with eid 0..n-1, which is checked. One shuffle; afterwards the data stays with its group."""
     dense = "x" in df.columns
     n_blocks = max(1, -(-n // bucket))
     groups = max(1, min(groups, n_blocks))
     bid = F.floor(F.col("eid") / bucket)
     row = F.struct("eid", "y", *([F.col("x").alias("val")] if dense else ["idx", "val"]))
     grouped = df.withColumn("bid", bid.cast("long")).groupBy("bid").agg(F.sort_array(F.collect_list(row)).alias("r"))
+    first = F.col("bid") * bucket
+    whole = F.col("r.eid") == F.sequence(first, F.least(first + bucket, F.lit(n)) - 1)
+    in_range = (F.col("bid") >= 0) & (F.col("bid") < n_blocks)
+    checked = F.when(in_range & F.coalesce(whole, F.lit(False)), F.col("r.eid")).otherwise(F.raise_error(F.format_string("the numbers of block %d are not the consecutive ones of 0..n-1", "bid")))
     sizes = F.transform("r", lambda e: F.size(e["val"]))
     if dense and d:
         indptr = F.sequence(F.lit(0), F.size("r") * d, F.lit(d))
@@ -50,16 +86,36 @@ def pack(df: DataFrame, n: int, d: int, bucket: int = 1, groups: int = 1, store:
         indptr = F.aggregate(sizes, F.array(F.lit(0)), lambda acc, s: F.concat(acc, F.array(F.element_at(acc, -1) + s)))
     frame = grouped.select(
         F.floor(F.col("bid") * groups / n_blocks).cast("int").alias("gid"), "bid",
-        F.col("r.eid").alias("eids"), F.col("r.y").alias("y"), indptr.alias("indptr"),
+        checked.alias("eids"), F.col("r.y").alias("y"), indptr.alias("indptr"),
         (F.lit(None).cast("array<int>") if dense else F.flatten("r.idx")).alias("idx"), F.flatten("r.val").cast("array<double>").alias("val"),
     )
-    frame = by_group(frame, groups)
-    return Packed(materialise(frame, "blocks") if store else frame, n, d, n_blocks, bucket, groups, dense)
+    out = Packed(by_group(frame, groups), n, d, n_blocks, bucket, groups, dense, unit=unit)
+    if not store:
+        return out
+    out = _stored(out, out.frame)
+    if n and out.plain().count() != n_blocks:
+        raise ValueError("some of the numbers 0..n-1 have no example")
+    return out
+
+
+def _stored(packed: Packed, grouped: DataFrame) -> Packed:
+    slots = group_slots(grouped.sparkSession, packed.groups)
+    table = Bucketed(with_slots(grouped, slots), "blocks", packed.groups)
+    return replace(packed, frame=table.frame(), slots=slots, table=table)
+
+
+def regroup(packed: Packed, groups: int) -> Packed:
+    """The same blocks stored once more for other groups."""
+    groups = max(1, min(groups, packed.n_blocks))
+    if groups == packed.groups and packed.table:
+        return packed
+    frame = packed.plain().drop("slot").withColumn("gid", F.floor(F.col("bid") * groups / packed.n_blocks).cast("int"))
+    return _stored(replace(packed, groups=groups), by_group(frame, groups))
 
 
 def unpack(packed: Packed) -> DataFrame:
     """(eid, y, idx, val) per example; dense examples get idx 0..d-1."""
-    one = packed.frame.select("*", F.posexplode("eids").alias("k", "eid"))
+    one = packed.plain().select("*", F.posexplode("eids").alias("k", "eid"))
     start, size = F.col("indptr")[F.col("k")], F.col("indptr")[F.col("k") + 1] - F.col("indptr")[F.col("k")]
     idx = F.when(F.col("idx").isNull(), F.sequence(F.lit(0), size - 1)).otherwise(F.slice("idx", start + 1, size))
     return one.select("eid", F.col("y")[F.col("k")].alias("y"), idx.alias("idx"), F.slice("val", start + 1, size).alias("val"))

@@ -1,26 +1,31 @@
-"""What one task does in an epoch: sweeps over its group's buckets, streamed in the order in which they were dealt.
+"""What one task does in an epoch: a pass over its group's rows, streamed in the order in which they were drawn.
 
-Rows come sorted by (pos, wid). Workers of a group run in lock step: the buckets of one pos are stepped example
-by example, all workers at once, each on its own replica of w = v / (lam n). With one worker this is the plain
-sequential solver. Memory: the replicas and one bucket per worker. A kernel is a function of its input alone, so
-retried tasks give the same rows.
+Rows come sorted by the epoch's key (dynamic dealing) or by worker and key (static, global). Under dynamic dealing the
+rank of a row in its group is the number of rows that came before it, and worker k of m gets the ranks from k nb / m on: a run
+of neighbours, so one replica of w = v / (lam n) is held at a time and no rank is computed by Spark. With one worker this
+is the plain sequential solver. Memory: one replica, the group's sum of changes and one row. A kernel is a function of
+its input alone, so retried tasks give the same rows. Numbers are read as views of the Arrow buffers.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 
 from coordloom.operators import losses
 
-OUT = "kind int, gid int, wid int, bid long, vec array<double>, s0 double, s1 double, s2 double"
+OUT = "kind int, slot int, gid int, bid long, vec array<double>, s0 double, s1 double, s2 double, s3 double"
+#: Examples that are stepped against one product with w; their influence on each other goes through their Gram matrix.
+CHUNK = 64
+#: Cells of a chunk's dense form for sparse examples; above it they are stepped one by one.
+CHUNK_CELLS = 1 << 16
 
 
 @dataclass(frozen=True)
 class Sweep:
-    """Parameters of a sweep; ``kind`` is coordinate, lossy, sag or sgd."""
+    """Parameters of a pass; ``kind`` is coordinate, dcd, lossy, sag or sgd."""
 
     loss: str
     lam: float
@@ -35,204 +40,385 @@ class Sweep:
     lost: bool = True
     loss_rate: float = 1.0
     staleness: int = 1
+    nodes: int = 1
     shrink: tuple[float, float] | None = None
     rate: float = 0.0
-    slices: tuple[int, int] = (0, 1)  # slice r of p of each worker's list
+    part: tuple[int, int] = (0, 1)  # slice r of p of each worker's list
+    deal: str = "dynamic"
+    n_blocks: int = 1
+    groups: int = 1
+    unit: int = 0
+    seed: int = 0  # of the order inside rows
+    ordered: bool = False  # rows keep their own order inside
 
 
-class Bucket:
-    __slots__ = ("alpha", "bid", "gid", "idx", "indptr", "val", "wid", "y")
+class Block:
+    __slots__ = ("alpha", "bid", "gid", "idx", "indptr", "old", "slot", "val", "wid", "y")
 
-    def __init__(self, row: dict):
-        self.gid, self.wid, self.bid = row["gid"], row["wid"], row["bid"]
-        self.y, self.indptr, self.val = np.asarray(row["y"], float), np.asarray(row["indptr"]), np.asarray(row["val"], float)
-        self.idx = None if row["idx"] is None else np.asarray(row["idx"])
-        self.alpha = np.zeros(len(self.y)) if row["alpha"] is None else np.asarray(row["alpha"], float)
+    def order(self, sweep: Sweep) -> Iterator[np.ndarray]:
+        """The row's examples: its buckets of ``unit`` in drawn order, in chunks of whole buckets or parts of one."""
+        m, unit = len(self.y), sweep.unit or len(self.y)
+        if unit >= m or sweep.ordered:
+            for lo in range(0, m, CHUNK):
+                yield np.arange(lo, min(m, lo + CHUNK))
+            return
+        drawn = np.random.default_rng((sweep.seed, self.bid)).permutation(-(-m // unit))
+        places = (drawn[:, None] * unit + np.arange(unit)).ravel()
+        places = places[places < m]
+        for lo in range(0, m, CHUNK):
+            yield places[lo : lo + CHUNK]
 
-    def columns(self, k: int) -> np.ndarray:
-        lo, hi = self.indptr[k], self.indptr[k + 1]
-        return np.arange(hi - lo) if self.idx is None else self.idx[lo:hi]
 
-    def values(self, k: int) -> np.ndarray:
-        return self.val[self.indptr[k] : self.indptr[k + 1]]
+def lists(column) -> tuple[np.ndarray, np.ndarray]:
+    """(offsets, flat values) of an Arrow list column, without copies."""
+    return np.asarray(column.offsets), np.asarray(column.values)
 
 
-def rounds(batches: Iterator) -> Iterator[list[Bucket]]:
-    """Buckets of one pos at a time."""
-    now, at = [], None
+def blocks_of(batches: Iterator) -> Iterator[Block]:
     for batch in batches:
-        for row in batch.to_pylist():
-            if row["pos"] != at and now:
-                yield now
-                now = []
-            at = row["pos"]
-            now.append(Bucket(row))
-    if now:
-        yield now
-
-
-def coordinate_sweep(sweep: Sweep, w0: np.ndarray, group: list[Bucket], replicas: dict[int, np.ndarray], bounds: list[float]) -> list[tuple]:
-    """Steps all buckets of one pos; returns (bid, new alpha, sums)."""
-    scale = 1.0 / (sweep.lam * sweep.n)
-    for b in group:
-        if b.wid not in replicas:
-            replicas[b.wid] = w0.copy()
-    old = [b.alpha.copy() for b in group]
-    local = [b.alpha.copy() for b in group]
-    dense = all(b.idx is None for b in group) and len(group) > 1
-    longest = max(len(b.y) for b in group)
-    stack = np.stack([replicas[b.wid] for b in group]) if dense else None
-    for k in range(longest):
-        live = [j for j, b in enumerate(group) if k < len(b.y)]
-        if dense:
-            x = np.stack([group[j].values(k) for j in live])
-            w = stack[live]
-            z, q = np.einsum("ij,ij->i", x, w), np.einsum("ij,ij->i", x, x)
-            y, a = np.array([group[j].y[k] for j in live]), np.array([local[j][k] for j in live])
-            delta = losses.step(sweep.loss, z, q, y, a, sweep.sigma * q * scale)
-            if sweep.shared_updates:
-                stack[live] = w + (sweep.sigma * scale) * delta[:, None] * x
-            for j, dl in zip(live, delta, strict=True):
-                local[j][k] += dl
-        else:
-            for j in live:
-                b, w = group[j], replicas[group[j].wid]
-                c, x = b.columns(k), b.values(k)
-                z, q, y, a = float(w[c] @ x), float(x @ x), b.y[k], local[j][k]
-                if sweep.shrink is not None and _shrunk(sweep, z, y, a, bounds):
-                    continue
-                delta = float(losses.step(sweep.loss, z, q, y, a, sweep.sigma * q * scale))
-                if sweep.shared_updates:
-                    w[c] += (sweep.sigma * scale * delta) * x
-                local[j][k] += delta
-    if dense:
-        for b, w in zip(group, stack, strict=True):
-            replicas[b.wid] = w
-    out = []
-    for b, a0, a1 in zip(group, old, local, strict=True):
-        new = a0 + sweep.gamma * (a1 - a0)
-        out.append((1, b.gid, b.wid, b.bid, new, float(((new - a0) ** 2).sum()), float((new**2).sum()), 0.0))
+        names = batch.schema.names
+        column = {c: batch.column(c) for c in names}
+        gid, bid = np.asarray(column["gid"]), np.asarray(column["bid"])
+        slot = np.asarray(column["slot"])
+        wid = np.asarray(column["wid"]) if "wid" in column else None
+        dense, fresh = bool(column["idx"].null_count), np.asarray(column["alpha"].is_null())
+        (y_at, y), (p_at, p), (v_at, v), (a_at, a) = (lists(column[c]) for c in ("y", "indptr", "val", "alpha"))
+        i_at, i = (None, None) if dense else lists(column["idx"])
+        for k in range(batch.num_rows):
+            b = Block()
+            b.gid, b.bid, b.slot, b.wid = int(gid[k]), int(bid[k]), int(slot[k]), -1 if wid is None else int(wid[k])
+            b.y, b.indptr, b.val = y[y_at[k] : y_at[k + 1]], p[p_at[k] : p_at[k + 1]], v[v_at[k] : v_at[k + 1]]
+            b.idx = None if dense else i[i_at[k] : i_at[k + 1]]
+            b.old = np.zeros(len(b.y)) if fresh[k] else np.array(a[a_at[k] : a_at[k + 1]])
+            b.alpha = b.old.copy()
+            yield b
+
+
+def examples_of(batch) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(example of each value, column of each value, value, y) of all rows of a batch at once."""
+    (p_at, p), (v_at, v), (y_at, y) = (lists(batch.column(c)) for c in ("indptr", "val", "y"))
+    p, v, y = p[p_at[0] : p_at[-1]], v[v_at[0] : v_at[-1]], y[y_at[0] : y_at[-1]]
+    sizes = np.delete(np.diff(p), (p_at[1:-1] - p_at[0] - 1)) if len(p) else np.empty(0, np.int64)
+    row = np.repeat(np.arange(len(sizes)), sizes)
+    if batch.column("idx").null_count:
+        idx = np.arange(len(v)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+    else:
+        i_at, i = lists(batch.column("idx"))
+        idx = i[i_at[0] : i_at[-1]]
+    return row, idx, v, y
+
+
+def alphas_of(batch, n: int) -> np.ndarray:
+    """alpha of all examples of a batch, 0 where a row has none yet."""
+    column = batch.column("alpha")
+    if not column.null_count:
+        at, a = lists(column)
+        return a[at[0] : at[-1]]
+    y_at, _ = lists(batch.column("y"))
+    out, at = np.zeros(n), np.asarray(column.offsets)
+    flat = np.asarray(column.values)
+    for k in np.flatnonzero(~np.asarray(column.is_null())):
+        out[y_at[k] - y_at[0] : y_at[k + 1] - y_at[0]] = flat[at[k] : at[k + 1]]
     return out
 
 
-def _shrunk(sweep: Sweep, z: float, y: float, a: float, bounds: list[float]) -> bool:
-    """At a bound with a projected gradient beyond the last pass's extremes: left out of this pass. Records this pass's extremes."""
-    b, g = y * a, y * z - 1.0
-    high, low = sweep.shrink
-    skip = (b <= 1e-12 and g > high) or (b >= 1 - 1e-12 and g < low)
-    pg = min(g, 0.0) if b <= 1e-12 else max(g, 0.0) if b >= 1 - 1e-12 else g
-    if not skip:
-        bounds[0], bounds[1] = max(bounds[0], pg), min(bounds[1], pg)
-    return skip
+def _share(k: int, of: int, n: int) -> int:
+    """First of n places that belongs to part k of ``of`` (and later parts)."""
+    return -(-k * n // of)
 
 
-def lossy_sweep(sweep: Sweep, w0: np.ndarray, buckets: Iterator[list[Bucket]]) -> Iterator[tuple]:
-    """Rounds of ``threads`` examples that read one snapshot. Lost mode: of the writers of a component in a round only the last one's
-    change survives; ``loss_rate`` below 1 loses each other change with that chance, drawn by a hash. ``staleness``: rounds between refreshes."""
-    scale, w, snap, done, collisions, lost = 1.0 / (sweep.lam * sweep.n), w0.copy(), w0.copy(), 0, 0, 0
-    waiting: list[tuple[Bucket, int]] = []
-    new: dict[int, np.ndarray] = {}
+class Dealer:
+    """Says which worker gets the next row, and whether its place is in the slice at hand."""
 
-    def run() -> None:
-        nonlocal w, snap, done, collisions, lost
-        if done % sweep.staleness == 0:
-            snap = w.copy()
-        writer: dict[int, int] = {}
-        changes = []
-        for r, (b, k) in enumerate(waiting):
-            c, x = b.columns(k), b.values(k)
-            delta = float(losses.step(sweep.loss, float(snap[c] @ x), float(x @ x), b.y[k], new[b.bid][k], float(x @ x) * scale))
-            new[b.bid][k] += delta
-            changes.append((c, scale * delta * x))
-            for i in c[x != 0]:
-                collisions += i in writer
-                writer[i] = r
-        before = w.copy()
-        for r, (c, change) in enumerate(changes):
-            if not sweep.lost:
-                w[c] += change
+    def __init__(self, sweep: Sweep):
+        self.sweep, self.rank, self.places = sweep, 0, {}
+
+    def __call__(self, b: Block) -> tuple[int, bool]:
+        s = self.sweep
+        if s.deal == "dynamic":
+            first = _share(b.gid, s.groups, s.n_blocks)
+            nb = _share(b.gid + 1, s.groups, s.n_blocks) - first
+            own = self.rank * s.workers // nb
+            place, size = self.rank - _share(own, s.workers, nb), _share(own + 1, s.workers, nb) - _share(own, s.workers, nb)
+            self.rank += 1
+            worker = b.gid * s.workers + own
+        else:
+            worker = b.wid
+            if s.deal == "static":
+                first = _share(b.gid, s.groups, s.n_blocks)
+                nb, of, own = _share(b.gid + 1, s.groups, s.n_blocks) - first, s.workers, worker - b.gid * s.workers
+            else:
+                nb, of, own = s.n_blocks, s.workers * s.groups, worker
+            size = _share(own + 1, of, nb) - _share(own, of, nb)
+            place = self.places.get(worker, 0)
+            self.places = {worker: place + 1}
+        r, p = s.part
+        return worker, size * r // p <= place < size * (r + 1) // p
+
+
+def step_block(sweep: Sweep, b: Block, w: np.ndarray, step: Callable) -> None:
+    """Exact steps on the row's examples; changes ``b.alpha`` and the replica ``w``."""
+    scale = sweep.sigma / (sweep.lam * sweep.n)
+    for take in b.order(sweep):
+        inside = None
+        if b.idx is None:
+            x = b.val.reshape(len(b.y), -1)[take]
+        else:
+            starts, sizes = b.indptr[take], b.indptr[take + 1] - b.indptr[take]
+            flat = np.repeat(starts - np.cumsum(sizes) + sizes, sizes) + np.arange(int(sizes.sum()))
+            inside, where = np.unique(b.idx[flat], return_inverse=True)
+            if len(take) * len(inside) > CHUNK_CELLS or len(take) == 1:
+                _one_by_one(sweep, b, w, step, take, scale)
                 continue
-            last = np.array([writer.get(i, r) == r for i in c], dtype=bool)
-            if sweep.loss_rate < 1.0:
-                draw = ((c.astype(np.int64) * 2654435761 + done * 40503 + r * 9176) % 100003) / 100003.0
-                keep = last | (draw >= sweep.loss_rate)
-                w[c[keep]] += change[keep]
+            x = np.zeros((len(take), len(inside)))
+            x[np.repeat(np.arange(len(take)), sizes), where] = b.val[flat]
+        z = x @ (w if inside is None else w[inside])
+        if len(take) == 1:
+            k = take[0]
+            q = float(x[0] @ x[0])
+            delta = step(float(z[0]), q, float(b.y[k]), float(b.alpha[k]), q * scale)
+            b.alpha[k] += delta
+            if sweep.shared_updates:
+                w += (scale * delta) * x[0]
+            continue
+        gram = x @ x.T
+        q, y, a = gram.diagonal().tolist(), b.y[take].tolist(), b.alpha[take].tolist()
+        moved = gram * scale
+        changes = np.empty(len(take))
+        for k in range(len(take)):
+            delta = step(float(z[k]), q[k], y[k], a[k], q[k] * scale)
+            changes[k] = delta
+            if sweep.shared_updates:
+                z += delta * moved[k]
+        b.alpha[take] += changes
+        if sweep.shared_updates:
+            move = (scale * changes) @ x
+            if inside is None:
+                w += move
             else:
-                keep = last
-                w[c[keep]] = before[c[keep]] + change[keep]
-            lost += int((~keep & (change != 0)).sum())
+                w[inside] += move
+
+
+def _one_by_one(sweep: Sweep, b: Block, w: np.ndarray, step: Callable, take: np.ndarray, scale: float) -> None:
+    for k in take.tolist():
+        c, x = b.idx[b.indptr[k] : b.indptr[k + 1]], b.val[b.indptr[k] : b.indptr[k + 1]]
+        q = float(x @ x)
+        delta = step(float(w[c] @ x), q, float(b.y[k]), float(b.alpha[k]), q * scale)
+        b.alpha[k] += delta
+        if sweep.shared_updates:
+            w[c] += (scale * delta) * x
+
+
+def _row(b: Block, new: np.ndarray) -> tuple:
+    return (1, b.slot, b.gid, b.bid, new, 0.0, 0.0, 0.0, 0.0)
+
+
+def coordinate_sweep(sweep: Sweep, w0: np.ndarray, blocks: Iterator[Block]) -> Iterator[tuple]:
+    """All workers of a group, one after another, each on a replica of its own; their changes are added up for the group."""
+    step, dealer = losses.scalar_step(sweep.loss), Dealer(sweep)
+    pass_over = dual_pass(sweep) if sweep.kind == "dcd" else None
+    total, w, at, change, norm, slot, gid = np.zeros_like(w0), None, None, 0.0, 0.0, 0, -1
+    for b in blocks:
+        slot, gid = b.slot, b.gid
+        worker, inside = dealer(b)
+        if inside:
+            if worker != at:
+                if w is not None:
+                    total += (w - w0) / sweep.sigma
+                w, at = w0.copy(), worker
+            if pass_over:
+                pass_over(b, w)
+            else:
+                step_block(sweep, b, w, step)
+        new = b.old + sweep.gamma * (b.alpha - b.old)
+        change, norm = change + float(((new - b.old) ** 2).sum()), norm + float((new**2).sum())
+        yield _row(b, new)
+    if w is not None:
+        total += (w - w0) / sweep.sigma
+    extremes = pass_over.extremes if pass_over else (0.0, 0.0)
+    yield (0, slot, gid, -1, total, change, norm, *extremes)
+
+
+class dual_pass:  # noqa: N801  a callable with state
+    """The dual descent of the libraries: examples permuted one by one, inner problems solved to a tolerance that follows the
+    worst gradient of the last pass, examples that were near their optimum left out until the others are there too.
+
+    Logistic: Newton on b itself, towards the nearer end of (0, 1), a tenth of the way to an end that a step would cross.
+    Bounded losses: an example at a bound whose gradient points outwards beyond the last pass's extremes is left out. ``shrink`` is
+    (threshold, -) for logistic and (highest, lowest projected gradient) for bounded losses; None leaves nothing out.
+    """
+
+    INNER = 8
+
+    def __init__(self, sweep: Sweep):
+        self.sweep, self.step = sweep, losses.scalar_step(sweep.loss)
+        self.extremes = (0.0, 0.0) if sweep.loss == "logistic" else (-np.inf, np.inf)
+
+    def __call__(self, b: Block, w: np.ndarray) -> None:
+        s = self.sweep
+        scale = s.sigma / (s.lam * s.n)
+        for k in np.random.default_rng((s.seed, b.bid, 1)).permutation(len(b.y)).tolist():
+            x = b.val[b.indptr[k] : b.indptr[k + 1]]
+            c = slice(None) if b.idx is None else b.idx[b.indptr[k] : b.indptr[k + 1]]
+            z, q, y, a = float(w[c] @ x), float(x @ x), float(b.y[k]), float(b.alpha[k])
+            delta = self._logistic(z, q * scale, y, a) if s.loss == "logistic" else self._bounded(z, q, y, a, q * scale)
+            if delta:
+                b.alpha[k] += delta
+                w[c] += (scale * delta) * x
+
+    def _logistic(self, z: float, s: float, y: float, a: float) -> float:
+        old = y * a
+        b = min(max(old, 1e-8), 1.0 - 1e-8)
+        slope = y * z + s * (b - old) + np.log(b / (1.0 - b))
+        self.extremes = (max(self.extremes[0], abs(slope)), 0.0)
+        threshold = self.sweep.shrink[0] if self.sweep.shrink else 0.0
+        if abs(slope) <= threshold:
+            return 0.0
+        for _ in range(self.INNER):
+            new = b - slope / (s + 1.0 / (b * (1.0 - b)))
+            b = 0.1 * b if new <= 0.0 else 1.0 - 0.1 * (1.0 - b) if new >= 1.0 else new
+            slope = y * z + s * (b - old) + np.log(b / (1.0 - b))
+            if abs(slope) <= max(1e-10, 0.1 * threshold):
+                break
+        return float(y * (b - old))
+
+    def _bounded(self, z: float, q: float, y: float, a: float, s: float) -> float:
+        if self.sweep.shrink is not None and self.sweep.loss in ("hinge", "smooth_hinge"):
+            b, g = y * a, y * z - 1.0
+            high, low = self.sweep.shrink
+            if (b <= 1e-12 and g > high) or (b >= 1 - 1e-12 and g < low):
+                return 0.0
+            projected = min(g, 0.0) if b <= 1e-12 else max(g, 0.0) if b >= 1 - 1e-12 else g
+            self.extremes = (max(self.extremes[0], projected), min(self.extremes[1], projected))
+        return self.step(z, q, y, a, s)
+
+
+def lossy_sweep(sweep: Sweep, w0: np.ndarray, blocks: Iterator[Block]) -> Iterator[tuple]:
+    """Rounds of ``threads`` examples. Thread r runs on node r nodes / threads; a node sees the writes of its own threads after the round and
+    all others' only every ``staleness`` rounds.
+
+    Lost mode: a thread writes back what its node sees plus its change, so of the writers of a component in a round the last one
+    wins, and what other nodes wrote since the last refresh is overwritten. ``loss_rate`` below 1 loses an overwritten
+    change with that chance, drawn by a hash. Otherwise reads are stale and no change is lost."""
+    scale, w, done, collisions, lost = 1.0 / (sweep.lam * sweep.n), w0.copy(), 0, 0, 0
+    threads, nodes = sweep.threads, max(1, min(sweep.nodes, sweep.threads))
+    node_of = [r * nodes // threads for r in range(threads)]
+    views = np.repeat(w[None, :], nodes, axis=0)
+    step = losses.scalar_step(sweep.loss)
+    waiting: list[tuple[Block, int]] = []
+
+    def run() -> None:
+        nonlocal done, collisions, lost
+        if nodes == 1 or done % sweep.staleness == 0:
+            views[:] = w
+        cols, moves, owner, seats = [], [], [], []
+        turn = done % len(waiting) if nodes > 1 else 0  # no node is always the last to write
+        for r, (b, k) in [*enumerate(waiting)][turn:] + [*enumerate(waiting)][:turn]:
+            x = b.val[b.indptr[k] : b.indptr[k + 1]]
+            c = np.arange(len(x)) if b.idx is None else b.idx[b.indptr[k] : b.indptr[k + 1]]
+            view = views[node_of[r]]
+            q = float(x @ x)
+            delta = step(float(view[c] @ x), q, float(b.y[k]), float(b.alpha[k]), q * scale)
+            b.alpha[k] += delta
+            here = x != 0
+            cols.append(c[here])
+            moves.append((scale * delta) * x[here])
+            owner.append(np.full(int(here.sum()), r))
+            seats.append(r)
+        col, move, who = np.concatenate(cols), np.concatenate(moves), np.concatenate(owner)
+        back, first = np.unique(col[::-1], return_index=True)
+        last = len(col) - 1 - first  # the last writer of each component
+        collisions += len(col) - len(back)
+        if not sweep.lost:
+            np.add.at(w, col, move)
+        else:
+            node = np.asarray(node_of)[who]
+            beaten = np.ones(len(col), dtype=bool)
+            beaten[last] = False
+            stale = views[node[last], back] != w[back]
+            kept = np.zeros(len(col), dtype=bool)
+            if sweep.loss_rate < 1.0:
+                draw = ((col.astype(np.int64) * 2654435761 + done * 40503 + who * 9176) % 100003) / 100003.0
+                kept = beaten & (draw >= sweep.loss_rate)
+            lost += int((beaten & ~kept & (move != 0)).sum()) + int(stale.sum())
+            w[back] = views[node[last], back] + move[last]
+            np.add.at(w, col[kept], move[kept])
+        if nodes > 1:
+            seen = views.copy()
+            for r, c, own in zip(seats, cols, moves, strict=True):
+                views[node_of[r]][c] = seen[node_of[r]][c] + own
         done += 1
         waiting.clear()
 
-    held: list[tuple[Bucket, np.ndarray]] = []
-    for group in buckets:
-        for b in group:
-            new[b.bid] = b.alpha.copy()
-            held.append((b, b.alpha))
-            for k in range(len(b.y)):
+    change = norm = 0.0
+    held: list[Block] = []
+    slot, gid = 0, -1
+
+    def out(b: Block) -> tuple:
+        nonlocal change, norm
+        change, norm = change + float(((b.alpha - b.old) ** 2).sum()), norm + float((b.alpha**2).sum())
+        return _row(b, b.alpha)
+
+    for b in blocks:
+        slot, gid = b.slot, b.gid
+        held.append(b)
+        for take in b.order(sweep):
+            for k in take.tolist():
                 waiting.append((b, k))
-                if len(waiting) == sweep.threads:
+                if len(waiting) == threads:
                     run()
-        while held and not any(b is held[0][0] for b, _ in waiting):  # a bucket whose examples are all done goes out
-            b, a0 = held.pop(0)
-            a1 = new.pop(b.bid)
-            yield (1, b.gid, b.wid, b.bid, a1, float(((a1 - a0) ** 2).sum()), float((a1**2).sum()), 0.0)
+        while held and not any(x is held[0] for x, _ in waiting):  # a row whose examples are all done goes out
+            yield out(held.pop(0))
     if waiting:
         run()
-    for b, a0 in held:
-        a1 = new.pop(b.bid)
-        yield (1, b.gid, b.wid, b.bid, a1, float(((a1 - a0) ** 2).sum()), float((a1**2).sum()), 0.0)
-    yield (0, -1, 0, -1, w - w0, float(collisions), float(lost), 0.0)
+    for b in held:
+        yield out(b)
+    yield (0, slot, gid, -1, w - w0, change, norm, float(collisions), float(lost))
+
+
+def _each(sweep: Sweep, b: Block) -> Iterator[tuple]:
+    for take in b.order(sweep):
+        for k in take.tolist():
+            x = b.val[b.indptr[k] : b.indptr[k + 1]]
+            yield k, slice(None) if b.idx is None else b.idx[b.indptr[k] : b.indptr[k + 1]], x
 
 
-def sag_sweep(sweep: Sweep, w0: np.ndarray, average: np.ndarray, buckets: Iterator[list[Bucket]]) -> Iterator[tuple]:
+def sag_sweep(sweep: Sweep, w0: np.ndarray, average: np.ndarray, blocks: Iterator[Block]) -> Iterator[tuple]:
     """Stochastic average gradient: one scalar slope per example (kept where alpha is kept) and their average direction."""
-    w, g = w0.copy(), average.copy()
-    for group in buckets:
-        for b in group:
-            slopes = b.alpha.copy()
-            for k in range(len(b.y)):
-                c, x = b.columns(k), b.values(k)
-                new = float(losses.slope(sweep.loss, float(w[c] @ x), b.y[k]))
-                g[c] += (new - slopes[k]) / sweep.n * x
-                slopes[k] = new
-                w -= sweep.rate * (g + sweep.lam * w)
-            yield (1, b.gid, b.wid, b.bid, slopes, float(((slopes - b.alpha) ** 2).sum()), float((slopes**2).sum()), 0.0)
-    yield (0, -1, 0, -1, w - w0, 0.0, 0.0, 0.0)
-    yield (2, -1, 0, -1, g - average, 0.0, 0.0, 0.0)
-
-
-def sgd_sweep(sweep: Sweep, w0: np.ndarray, buckets: Iterator[list[Bucket]]) -> Iterator[tuple]:
+    w, g, slot = w0.copy(), average.copy(), 0
+    for b in blocks:
+        slot = b.slot
+        for k, c, x in _each(sweep, b):
+            new = float(losses.slope(sweep.loss, float(w[c] @ x), b.y[k]))
+            g[c] += (new - b.alpha[k]) / sweep.n * x
+            b.alpha[k] = new
+            w -= sweep.rate * (g + sweep.lam * w)
+        yield _row(b, b.alpha)
+    yield (0, slot, -1, -1, w - w0, 0.0, 0.0, 0.0, 0.0)
+    yield (2, slot, -1, -1, g - average, 0.0, 0.0, 0.0, 0.0)
+
+
+def sgd_sweep(sweep: Sweep, w0: np.ndarray, blocks: Iterator[Block]) -> Iterator[tuple]:
     """One online pass with a falling rate."""
     w, t = w0.copy(), 0
-    for group in buckets:
-        for b in group:
-            for k in range(len(b.y)):
-                c, x = b.columns(k), b.values(k)
-                rate = sweep.rate / (1 + sweep.rate * sweep.lam * t)
-                slope = float(losses.slope(sweep.loss, float(w[c] @ x), b.y[k]))
-                w *= 1 - rate * sweep.lam
-                w[c] -= rate * slope * x
-                t += 1
-    yield (0, -1, 0, -1, w - w0, 0.0, 0.0, 0.0)
+    for b in blocks:
+        for k, c, x in _each(sweep, b):
+            rate = sweep.rate / (1 + sweep.rate * sweep.lam * t)
+            slope = float(losses.slope(sweep.loss, float(w[c] @ x), b.y[k]))
+            w *= 1 - rate * sweep.lam
+            w[c] -= rate * slope * x
+            t += 1
+    yield (0, 0, -1, -1, w - w0, 0.0, 0.0, 0.0, 0.0)
 
 
 def run_sweep(sweep: Sweep, w0: np.ndarray, extra: np.ndarray | None, batches: Iterator) -> Iterator[tuple]:
-    """All output rows of one task: kind 1 the buckets' new alpha, kind 0 each worker's change of w, kind 2 further state."""
-    buckets = rounds(batches)
+    """All output rows of one task: kind 1 the rows' new alpha, kind 0 the group's change of w and its sums, kind 2 further state."""
+    blocks = blocks_of(batches)
     if sweep.kind == "lossy":
-        yield from lossy_sweep(sweep, w0, buckets)
+        yield from lossy_sweep(sweep, w0, blocks)
     elif sweep.kind == "sag":
-        yield from sag_sweep(sweep, w0, extra, buckets)
+        yield from sag_sweep(sweep, w0, extra, blocks)
     elif sweep.kind == "sgd":
-        yield from sgd_sweep(sweep, w0, buckets)
+        yield from sgd_sweep(sweep, w0, blocks)
     else:
-        replicas: dict[int, np.ndarray] = {}
-        bounds, gid = [-np.inf, np.inf], -1
-        for group in buckets:
-            gid = group[0].gid
-            yield from coordinate_sweep(sweep, w0, group, replicas, bounds)
-        # workers are merged within the task: one row per group leaves it
-        if replicas:
-            total = sum(((replicas[k] - w0) / sweep.sigma for k in sorted(replicas)), np.zeros_like(w0))
-            yield (0, gid, len(replicas), -1, total, bounds[0], bounds[1], 0.0)
+        yield from coordinate_sweep(sweep, w0, blocks)

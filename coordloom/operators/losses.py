@@ -5,6 +5,8 @@ Written for labels y, margin z = x.w, dual value alpha (b = y alpha), s = sigma
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -61,6 +63,48 @@ def step(loss: str, z, q, y, alpha, s):
     return y * (new - b)
 
 
+def scalar_root(c: float, s: float, b: float) -> float:
+    """``logit_root`` for plain floats: the same interval and the same safeguard."""
+    low, high, u, last = -c - s * (1.0 - b), -c + s * b, -c, math.inf
+    for _ in range(NEWTON_STEPS):
+        p = 1.0 / (1.0 + math.exp(-u)) if u > -700.0 else 0.0
+        g = u + c + s * (p - b)
+        if g < 0:
+            low = u
+        elif g > 0:
+            high = u
+        move = g / (1.0 + s * p * (1.0 - p))
+        new, size = u - move, abs(move)
+        near = 1e-14 * (1.0 + abs(u))
+        if size <= near:
+            return new
+        if new < low or new > high or size > 0.5 * last:
+            new = 0.5 * (low + high)
+        last, u = abs(new - u), new
+    return u
+
+
+def scalar_step(loss: str):
+    """``step`` for plain floats: (z, q, y, alpha, s) to the change of alpha."""
+    if loss == "ridge":
+        return lambda z, q, y, a, s: (y - z - a) / (1.0 + s)
+    if loss == "logistic":
+
+        def logistic(z: float, q: float, y: float, a: float, s: float) -> float:
+            b = y * a
+            u = scalar_root(y * z, s, b)
+            return y * ((1.0 / (1.0 + math.exp(-u)) if u > -700.0 else 0.0) - b)
+
+        return logistic
+    if loss == "hinge":
+        return lambda z, q, y, a, s: y * ((min(1.0, max(0.0, y * a + (1.0 - y * z) / s)) if s > 0 else 1.0) - y * a)
+    if loss == "squared_hinge":
+        return lambda z, q, y, a, s: y * (max(0.0, (1.0 - y * z + s * y * a) / (s + 0.5)) - y * a)
+    if loss == "smooth_hinge":
+        return lambda z, q, y, a, s: y * (min(1.0, max(0.0, (1.0 - y * z + s * y * a) / (s + GAMMA))) - y * a)
+    raise ValueError(f"unknown loss {loss!r}")
+
+
 def value(loss: str, z, y):
     m = y * z
     if loss == "ridge":

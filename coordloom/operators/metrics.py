@@ -8,9 +8,10 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from coordloom.operators import losses
-from coordloom.operators.blocks import Packed
+from coordloom.operators import kernels, losses
+from coordloom.operators.blocks import Packed, with_slots
 from coordloom.operators.solvers import Model
+from coordloom.storage import CO_LOCATED, materialise, settings
 
 #: A hash split: rows with md5 prefix mod 5 = 0 are held out.
 
@@ -71,14 +72,25 @@ def confusion(df: DataFrame) -> DataFrame:
 
 
 def auc(df: DataFrame) -> DataFrame:
-    """Rank sum with average ranks of ties. Scores are counted first, so the running sum goes over distinct scores."""
+    """Rank sum with average ranks of ties. Scores are counted, dealt to ranges and summed up inside each; ranges add the totals of those before."""
+    spark = df.sparkSession
     tied = df.groupBy("margin").agg(F.count("*").alias("c"), F.count_if(F.col("y") > 0).alias("p"))
-    w = Window.orderBy("margin").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    ranked = tied.select("c", "p", (F.sum("c").over(w) - (F.col("c") - 1) / 2).alias("rank"))
-    total = ranked.agg(F.sum(F.col("rank") * F.col("p")).alias("s"), F.sum("p").alias("p"), F.sum("c").alias("n"))
+    parts = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    ranged = materialise(tied.repartitionByRange(parts, "margin").withColumn("_part", F.spark_partition_id()), "scores")
+    sums = ranged.groupBy("_part").agg(F.sum("c").alias("_c"))  # one row per partition
+    before = sums.select("_part", F.coalesce(F.sum("_c").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    inside = Window.partitionBy("_part").orderBy("margin").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    ranked = ranged.withColumn("_sum", F.sum("c").over(inside)).join(F.broadcast(before), "_part")
+    rank = F.col("_before") + F.col("_sum") - (F.col("c") - 1) / 2
+    total = ranked.agg(F.sum(rank * F.col("p")).alias("s"), F.sum("p").alias("p"), F.sum("c").alias("n"))
     return total.select(((F.col("s") - F.col("p") * (F.col("p") + 1) / 2) / (F.col("p") * (F.col("n") - F.col("p")))).alias("auc"))
 
 
+def rel_change(pairs: DataFrame, now: str, before: str) -> DataFrame:
+    """|now - before| / |now| over the numbers in two columns: the test of convergence."""
+    return pairs.agg(F.sqrt(F.sum((F.col(now) - F.col(before)) ** 2) / F.sum(F.col(now) ** 2)).alias("rel_change"))
+
+
 def evaluate(df: DataFrame, model: Model) -> dict[str, float]:
     scored = predict(df, model)
     hit = F.when((F.col("margin") >= 0) == (F.col("y") > 0), 1.0).otherwise(0.0)
@@ -88,26 +100,25 @@ def evaluate(df: DataFrame, model: Model) -> dict[str, float]:
 
 def certificate(packed: Packed, model: Model, loss: str, lam: float) -> dict[str, float]:
     """primal, dual, gap, and the largest |w - A alpha / (lam n)| (0 unless updates were lost)."""
-    shared, n, d = packed.frame.sparkSession.sparkContext.broadcast(model.w), packed.n, packed.d
-    frame = packed.frame.join(model.alpha, ["gid", "bid"], "left") if model.alpha is not None else packed.frame.withColumn("alpha", F.lit(None).cast("array<double>"))
+    spark = packed.frame.sparkSession
+    shared, n, d = spark.sparkContext.broadcast(model.w), packed.n, packed.d
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
         w, primal, dual, v = shared.value, 0.0, 0.0, np.zeros(d)
         for batch in batches:
-            for r in batch.to_pylist():
-                bounds, val, y = np.asarray(r["indptr"]), np.asarray(r["val"]), np.asarray(r["y"])
-                sizes = np.diff(bounds)
-                idx = np.asarray(r["idx"]) if r["idx"] is not None else np.arange(len(val)) - np.repeat(bounds[:-1], sizes)
-                row = np.repeat(np.arange(len(y)), sizes)
-                a = np.zeros(len(y)) if r["alpha"] is None else np.asarray(r["alpha"])
-                primal += float(losses.value(loss, np.bincount(row, weights=val * w[idx], minlength=len(y)), y).sum())
-                dual -= float(np.sum(losses.conjugate(loss, y, a)))
-                np.add.at(v, idx, val * a[row])
+            row, idx, val, y = kernels.examples_of(batch)
+            a = kernels.alphas_of(batch, len(y))
+            primal += float(np.sum(losses.value(loss, np.bincount(row, weights=val * w[idx], minlength=len(y)), y)))
+            dual -= float(np.sum(losses.conjugate(loss, y, a)))
+            v += np.bincount(idx, weights=val * a[row], minlength=d)
         yield pa.RecordBatch.from_arrays([pa.array([primal]), pa.array([dual]), pa.array([v], pa.list_(pa.float64()))], names=["primal", "dual", "v"])
 
-    rows = frame.mapInArrow(run, "primal double, dual double, v array<double>").collect()  # one row per task
+    with settings(spark, CO_LOCATED):
+        frame = packed.frame if "slot" in packed.frame.columns else with_slots(packed.frame, packed.slots)
+        frame = frame.join(model.alpha.hint("merge"), ["slot", "bid"], "left") if model.alpha is not None else frame.withColumn("alpha", F.lit(None).cast("array<double>"))
+        rows = frame.select("y", "indptr", "idx", "val", "alpha").mapInArrow(run, "primal double, dual double, v array<double>").collect()  # one row per task
     v = sum((np.array(r["v"]) for r in rows), np.zeros(d)) / (lam * n)
     primal = sum(r["primal"] for r in rows) / n + lam / 2 * float(model.w @ model.w)
     dual = sum(r["dual"] for r in rows) / n - lam / 2 * float(v @ v)

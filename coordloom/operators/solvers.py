@@ -12,14 +12,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from coordloom.operators import kernels, topology
-from coordloom.operators.blocks import Packed, by_group
-from coordloom.operators.deal import assign, busy_workers
-from coordloom.storage import materialise
+from coordloom.operators.blocks import Packed, by_group, with_slots
+from coordloom.operators.deal import busy_workers, global_ranks, own_worker
+from coordloom.operators.permute import key
+from coordloom.storage import CO_LOCATED, Bucketed, settings
 
 #: Above this many features w is no longer kept on the driver.
 MAX_DRIVER_FEATURES = 10_000_000
-#: ``global`` dealing moves all data each epoch; it is refused above this many blocks unless asked for.
-MAX_GLOBAL_BLOCKS = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -30,7 +29,7 @@ class TrainSpec:
     tol: float = 1e-3
     seed: int = 42
     workers: int = 1
-    deal: str = "dynamic"  # static, dynamic (inside groups), global
+    deal: str = "dynamic"  # static, dynamic (inside groups), global (moves all blocks every epoch)
     order: str = "md5"  # md5, feistel, affine, none
     merge: str | float = "add"  # add, average, or a factor gamma with sigma = 1
     syncs_per_epoch: int = 1
@@ -39,9 +38,10 @@ class TrainSpec:
     threads: int = 0  # over 0: the lock-free emulator
     lost: bool = True
     loss_rate: float = 1.0
-    staleness: int = 1
+    staleness: int = 1  # rounds between two looks of a node at the writes of other nodes
+    nodes: int = 1  # of the emulator's threads
+    dual_pass: bool = False  # the libraries' dual descent instead of ours
     shrinking: bool = False
-    allow_global: bool = False
 
     def scales(self, busy: int) -> tuple[float, float]:
         """(sigma, gamma) for so many workers that have data."""
@@ -55,8 +55,15 @@ class TrainSpec:
 @dataclass
 class Model:
     w: np.ndarray
-    alpha: DataFrame | None  # (gid, bid, alpha)
+    alpha: DataFrame | None  # (slot, bid, alpha)
     meta: dict
+    stored: Bucketed | None = None
+
+    def release(self) -> None:
+        """Delete the stored dual model; w stays."""
+        if self.stored:
+            self.stored.drop()
+            self.alpha = self.stored = None
 
     def save(self, spark: SparkSession, path: str) -> None:
         rows = [(k, float(x)) for k, x in enumerate(self.w)]
@@ -70,7 +77,7 @@ class Model:
         rows = spark.read.parquet(f"{path}/w.parquet").orderBy("pos").collect()
         meta = json.loads(spark.read.text(f"{path}/meta.json").first()[0])
         try:
-            alpha = spark.read.parquet(f"{path}/alpha.parquet")
+            alpha = Bucketed(spark.read.parquet(f"{path}/alpha.parquet"), "alpha", int(meta.get("groups", 1))).frame()
         except Exception as error:  # noqa: BLE001  a model of a primal solver has none
             if "PATH_NOT_FOUND" not in str(error):
                 raise
@@ -99,113 +106,134 @@ class FitResult:
         return spark.createDataFrame(self.rows, HISTORY)
 
 
-def sweep_frame(planned: DataFrame, groups: int, sweep: kernels.Sweep, w: np.ndarray, extra: np.ndarray | None = None) -> DataFrame:
-    """One task per group over rows sorted by (pos, wid); w goes out as a broadcast of 8 d bytes."""
+def sweep_frame(planned: DataFrame, sweep: kernels.Sweep, w: np.ndarray, extra: np.ndarray | None = None) -> DataFrame:
+    """One task per group over rows in their order; w goes out as a broadcast of 8 d bytes, d bound by MAX_DRIVER_FEATURES."""
     shared = planned.sparkSession.sparkContext.broadcast((w, extra))
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
         w0, more = shared.value
-        kinds = (pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.list_(pa.float64()), pa.float64(), pa.float64(), pa.float64())
-        names, rows = [c.split()[0] for c in kernels.OUT.split(", ")], []
+        kinds = (pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.list_(pa.float64()), *[pa.float64()] * 4)
+        names, rows, cells = [c.split()[0] for c in kernels.OUT.split(", ")], [], 0
 
         def pack() -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)], names=names)
+            flat = np.concatenate([r[4] for r in rows])
+            bounds = np.concatenate(([0], np.cumsum([len(r[4]) for r in rows]))).astype(np.int32)
+            columns = [pa.ListArray.from_arrays(pa.array(bounds), pa.array(flat)) if k == 4 else pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)]
+            return pa.RecordBatch.from_arrays(columns, names=names)
 
         for row in kernels.run_sweep(sweep, w0, more, batches):
             rows.append(row)
-            if len(rows) >= 1024:
+            cells += len(row[4]) + 8
+            if cells >= 1 << 18:
                 yield pack()
-                rows = []
+                rows, cells = [], 0
         if rows:
             yield pack()
 
-    return planned.sortWithinPartitions("pos", "wid").mapInArrow(run, kernels.OUT)
+    return planned.mapInArrow(run, kernels.OUT)
 
 
 def _plan(packed: Packed, alpha: DataFrame | None, spec: TrainSpec, epoch: int, per_group: int) -> DataFrame:
-    frame = packed.frame
+    """The rows of an epoch in the order in which their tasks take them.
+
+    Blocks and alpha are bucketed by their group and sorted by block, so the join needs neither an exchange nor a sort, and the
+    order of the epoch is one sort inside each task. Run it under ``CO_LOCATED``. Only ``global`` dealing moves blocks.
+    """
+    frame = packed.frame.drop("eids")
+    if "slot" not in frame.columns:
+        frame = with_slots(frame, packed.slots)
     if alpha is None:
         frame = frame.withColumn("alpha", F.lit(None).cast("array<double>"))
+    elif spec.deal == "global":
+        frame = frame.join(alpha.drop("slot"), "bid", "left")
     else:
-        frame = frame.join(alpha, ["gid", "bid"], "left")
-    if spec.threads:
-        dealt = assign(frame, packed.n_blocks, packed.groups, 1, "dynamic", epoch, spec.seed, spec.order)
-    else:
-        dealt = assign(frame, packed.n_blocks, packed.groups, per_group, spec.deal, epoch, spec.seed, spec.order)
-    if spec.deal == "global":
-        dealt = dealt.withColumn("gid", F.floor(F.col("wid") / per_group).cast("int"))
-    return by_group(dealt, packed.groups)
+        frame = frame.join(alpha.hint("merge"), ["slot", "bid"], "left")
+    if spec.deal == "global" and not spec.threads:
+        workers = per_group * packed.groups
+        dealt = global_ranks(packed.frame.sparkSession, packed.n_blocks, epoch, spec.seed, spec.order)
+        wid = F.floor(F.col("rank") * workers / packed.n_blocks).cast("int")
+        # alpha goes back to the block's own group, so the row keeps its slot
+        moved = frame.join(dealt.hint("shuffle_hash"), "bid").withColumn("wid", wid).withColumn("gid", F.floor(F.col("wid") / per_group).cast("int"))
+        return by_group(moved, packed.groups).sortWithinPartitions("wid", "rank").drop("rank")
+    keyed = frame.withColumn("_key", key(F.col("bid"), epoch, spec.seed, spec.order, packed.n_blocks))
+    if packed.table is None:
+        keyed = by_group(keyed, packed.groups)
+    if spec.deal == "static" and not spec.threads:
+        return keyed.withColumn("wid", own_worker(packed.n_blocks, packed.groups, per_group)).sortWithinPartitions("wid", "_key", "bid").drop("_key")
+    return keyed.sortWithinPartitions("_key", "bid").drop("_key")
+
+
+def _run(packed: Packed, plan: DataFrame, sweep: kernels.Sweep, w: np.ndarray, tag: str, extra: np.ndarray | None = None) -> tuple[Bucketed, DataFrame, list]:
+    """Run a pass: (its table, the new alpha as (slot, bid, alpha), the rows of the other kinds, one or two per group)."""
+    out = sweep_frame(plan, sweep, w, extra)
+    if sweep.deal == "global":
+        out = out.repartition(packed.groups, "slot")
+    table = Bucketed(out, tag, packed.groups, ("kind",))
+    alpha = table.frame().filter("kind = 1").select("slot", "bid", F.col("vec").alias("alpha"))
+    return table, alpha, sorted(table.plain().filter("kind <> 1").collect(), key=lambda r: (r["kind"], r["gid"]))
 
 
 def fit(packed: Packed, spec: TrainSpec, warm: Model | None = None, variant: str | None = None) -> FitResult:
     """Epochs until the model's relative change falls under ``tol``."""
     if packed.d > MAX_DRIVER_FEATURES:
         raise ValueError("too many features for a model on the driver; hash them to fewer")
-    if spec.deal == "global" and packed.n_blocks > MAX_GLOBAL_BLOCKS and not spec.allow_global:
-        raise ValueError("global dealing moves all data every epoch; set allow_global to do so all the same")
+    with settings(packed.frame.sparkSession, CO_LOCATED):
+        return _fit(packed, spec, warm, variant)
+
+
+def _fit(packed: Packed, spec: TrainSpec, warm: Model | None, variant: str | None) -> FitResult:
     per_group = max(1, spec.workers // packed.groups)
-    busy = 1 if spec.threads else busy_workers(packed.n_blocks, packed.groups, per_group, spec.deal)
-    if spec.threads:
-        busy = packed.groups
+    busy = packed.groups if spec.threads else busy_workers(packed.n_blocks, packed.groups, per_group, spec.deal)
     sigma, gamma = spec.scales(busy) if busy > 1 else (1.0, 1.0)
     w = np.zeros(packed.d) if warm is None else warm.w.copy()
-    alpha = None if warm is None else warm.alpha
+    alpha, held = (None, None) if warm is None else (warm.alpha, None)
     result = FitResult(Model(w, alpha, asdict(spec)))
     name = variant or ("lock-free" if spec.threads else f"{spec.deal}")
-    shrink = None
+    kind = "lossy" if spec.threads else "dcd" if spec.dual_pass else "coordinate"
+    full = None if spec.loss == "logistic" else (np.inf, -np.inf)  # leaves nothing out
+    shrink = full
     for epoch in range(spec.max_epochs):
         began, w_before, change, norm, collisions, lost, reduced = time.time(), w.copy(), 0.0, 0.0, 0, 0, 0
         for part in range(spec.syncs_per_epoch):
-            plan = _plan(packed, alpha, spec, epoch, per_group)
-            rest = None
-            if spec.syncs_per_epoch > 1:
-                counts = plan.groupBy("wid").agg(F.count("*").alias("_m"))
-                marked = plan.join(F.broadcast(counts), "wid").withColumn("_part", F.floor(F.col("pos") * spec.syncs_per_epoch / F.col("_m")))
-                # slice r of p of m: positions from r m / p on
-                low, high = F.col("_m") * part / spec.syncs_per_epoch, F.col("_m") * (part + 1) / spec.syncs_per_epoch
-                inside = (F.col("pos") >= F.floor(low)) & (F.col("pos") < F.floor(high))
-                rest = marked.filter(~inside).select("gid", "bid", "alpha")
-                plan = by_group(marked.filter(inside).drop("_m", "_part"), packed.groups)
             sweep = kernels.Sweep(
-                spec.loss, spec.lam, packed.n, packed.d, per_group, sigma, gamma, spec.shared_updates, "lossy" if spec.threads else "coordinate",
-                spec.threads or 1, spec.lost, spec.loss_rate, spec.staleness, shrink if spec.shrinking else None,
+                spec.loss, spec.lam, packed.n, packed.d, per_group, sigma, gamma, spec.shared_updates, kind, spec.threads or 1, spec.lost, spec.loss_rate, spec.staleness, spec.nodes,
+                shrink if spec.shrinking else None, 0.0, (part, spec.syncs_per_epoch), spec.deal, packed.n_blocks, packed.groups, packed.unit, 1009 * spec.seed + epoch, spec.order == "none",
             )
-            out = materialise(sweep_frame(plan, packed.groups, sweep, w), "epoch")
-            deltas = out.filter("kind = 0").orderBy("gid").collect()  # one row per group
+            table, alpha, deltas = _run(packed, _plan(packed, alpha, spec, epoch, per_group), sweep, w, "epoch")
+            if held:
+                held.drop()
+            held = table
             w = w + gamma * sum((np.array(r["vec"]) for r in deltas), np.zeros(packed.d))
             reduced += 8 * packed.d * len(deltas)
-            new_alpha = out.filter("kind = 1").select(packed_gid(packed).alias("gid"), "bid", F.col("vec").alias("alpha"))
-            sums = out.filter("kind = 1").agg(F.sum("s0"), F.sum("s1")).first()
-            change, norm = change + (sums[0] or 0.0), norm + (sums[1] or 0.0)
+            change, norm = change + sum(r["s0"] for r in deltas), sum(r["s1"] for r in deltas)
             if spec.threads:
-                collisions, lost = collisions + int(sum(r["s0"] for r in deltas)), lost + int(sum(r["s1"] for r in deltas))
-            if spec.shrinking and deltas:
-                extremes = max(r["s0"] for r in deltas), min(r["s1"] for r in deltas)
-                shrink = tuple(x if np.isfinite(x) else y for x, y in zip(extremes, (np.inf, -np.inf), strict=True))
-            alpha = new_alpha if rest is None else materialise(new_alpha.unionByName(rest.filter("alpha is not null")), "alpha")
-        if spec.shrinking and shrink is None:
-            shrink = (np.inf, -np.inf)
+                collisions, lost = collisions + int(sum(r["s2"] for r in deltas)), lost + int(sum(r["s3"] for r in deltas))
         if spec.tol_on == "w":
             change, norm = float(((w - w_before) ** 2).sum()), float((w**2).sum())
         rel = float(np.sqrt(change / norm)) if norm > 0 else 0.0
         bad = not np.all(np.isfinite(w))
         status = "diverged" if bad else "converged" if rel < spec.tol else "running"
         result.rows.append((name, spec.threads or per_group * packed.groups, packed.groups, packed.bucket, epoch + 1, time.time() - began, rel if not bad else float("inf"), status, 8 * packed.d * spec.syncs_per_epoch, reduced, collisions, lost))
+        if status == "converged" and spec.shrinking and shrink != full:
+            shrink = full  # look at all examples once more before stopping
+            continue
         if status != "running":
-            if status == "converged" and spec.shrinking and shrink != (np.inf, -np.inf):
-                shrink = (np.inf, -np.inf)  # look at all examples once more before stopping
-                continue
             result.status = status
             break
-    result.model = Model(w, alpha, asdict(spec) | {"epochs": result.epochs, "status": result.status})
+        if spec.shrinking:
+            shrink = _next_shrink(spec.loss, deltas)
+    result.model = Model(w, alpha, asdict(spec) | {"epochs": result.epochs, "status": result.status, "groups": packed.groups}, held)
     return result
 
 
-def packed_gid(packed: Packed):
-    """The group that holds a block, whatever worker it was dealt to."""
-    return F.floor(F.col("bid") * packed.groups / packed.n_blocks).cast("int")
+def _next_shrink(loss: str, deltas: list) -> tuple[float, float]:
+    """What the next pass leaves out: logistic: slopes under a tenth of the worst; else beyond the extremes of this pass."""
+    if loss == "logistic":
+        return (0.1 * max(r["s2"] for r in deltas), 0.0)
+    high, low = max(r["s2"] for r in deltas), min(r["s3"] for r in deltas)
+    return (high if np.isfinite(high) else np.inf, low if np.isfinite(low) else -np.inf)
 
 
 def fit_sequential(packed: Packed, spec: TrainSpec, warm: Model | None = None) -> FitResult:
@@ -222,8 +250,9 @@ def fit_hierarchical(packed: Packed, spec: TrainSpec, warm: Model | None = None)
 
 
 def fit_lossy_async(packed: Packed, spec: TrainSpec, threads: int, lost: bool = True, loss_rate: float = 1.0, staleness_nodes: int = 1) -> FitResult:
-    """The lock-free solver, emulated. ``staleness_nodes``: with more nodes a snapshot is refreshed after as many rounds only."""
-    return fit(packed, replace(spec, threads=threads, lost=lost, loss_rate=loss_rate, staleness=max(1, staleness_nodes)), None, "lock-free" if lost else "atomic")
+    """The lock-free solver, emulated. ``staleness_nodes``: the threads sit on so many nodes, which see each other's writes after as many rounds only."""
+    nodes = max(1, staleness_nodes)
+    return fit(packed, replace(spec, threads=threads, lost=lost, loss_rate=loss_rate, nodes=nodes, staleness=nodes), None, "lock-free" if lost else "atomic")
 
 
 def fit_auto_spec(n: int, threads: int, machine: topology.Topology | None = None, **spec) -> tuple[TrainSpec, int, int]:

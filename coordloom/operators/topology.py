@@ -17,7 +17,8 @@ class Topology:
     llc_bytes: int = 32 << 20
 
 
-#: The two machines of the evaluation; the second one's cores are our assumption.
+#: The two machines of the evaluation. Their numbers of nodes and the first one's cores. Line and cache sizes
+#: and the second one's cores aren't stated; they are our assumptions.
 MACHINES = {"X": Topology(4, 8, 64, 16 << 20), "P": Topology(2, 20, 128, 10 << 20)}
 
 

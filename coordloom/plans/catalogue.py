@@ -15,6 +15,7 @@ from coordloom.sources import features
 from coordloom.sources.bounded import small
 from coordloom.sources.features import read
 from coordloom.sources.ids import densify
+from coordloom.storage import Bucketed
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -324,12 +325,19 @@ trajectory("rp_merge_add", "logistic", 5, 1, 4, "dynamic", "add")
 trajectory("rp_merge_avg", "ridge", 5, 1, 4, "dynamic", "average")
 
 
-@query("rp_sync2")
+@query("rp_sync2", sql.trajectory_sql("ridge", LAM, 5, 2, "md5", 42, 1, 4, syncs=2))
 def rp_sync2(spark: SparkSession, sf_dir: str) -> DataFrame:
     spec = solvers.TrainSpec("ridge", LAM, 2, 0.0, workers=4, syncs_per_epoch=2)
     return weights(spark, solvers.fit(packed_embed(spark, sf_dir, 5), spec).model.w)
 
 
+@query("rp_global", sql.trajectory_sql("ridge", LAM, 5, 2, "md5", 42, 1, 4))
+def rp_global(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Global dealing over two groups: the workers of one group that held all blocks."""
+    spec = solvers.TrainSpec("ridge", LAM, 2, 0.0, workers=4, deal="global")
+    return weights(spark, solvers.fit(packed_embed(spark, sf_dir, 5, 2), spec).model.w)
+
+
 def lossy(name: str, lost: bool) -> None:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         spec = solvers.TrainSpec("ridge", LAM, 1, 0.0)
@@ -370,7 +378,7 @@ def ex_ridge_optimum(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("ex_solver_agreement")
 def ex_solver_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
-    spec = solvers.TrainSpec("logistic", LAM, 8, 1e-3)
+    spec = solvers.TrainSpec("logistic", LAM)
     return workloads.compare(spark, packed_embed(spark, sf_dir, 8), spec).select("variant", "status", F.round("objective", 3).alias("objective"))
 
 
@@ -415,7 +423,19 @@ def ev_consistency(spark: SparkSession, sf_dir: str) -> DataFrame:
 def ev_rel_change(spark: SparkSession, sf_dir: str) -> DataFrame:
     a = F.aggregate(F.col("embedding").cast("array<double>"), F.lit(0.0), lambda s, v: s + v)
     two = read(spark, sf_dir, "embeddings").select(a.alias("a"), (a * 0.9).alias("b"))
-    return two.agg(F.round(F.sqrt(F.sum((F.col("a") - F.col("b")) ** 2) / F.sum(F.col("a") ** 2)), 6).alias("rel_change"))
+    return metrics.rel_change(two, "a", "b").withColumn("rel_change", F.round("rel_change", 6))
+
+
+@query("ev_certificate", f"""with data as materialized ({sql.EMBED}), n as (select count(*)::double as n from data),
+v as (select i, sum(y * 0.5 * xi) / ({LAM}::double * any_value(n)) as w from (select y, n, unnest(range(len(x))) as i, unnest(x) as xi from data, n) group by i), w as (select list(w order by i) as w from v)
+select round(avg((list_dot_product(x, w) - y) ** 2) / 2 + {LAM / 2}::double * any_value(list_dot_product(w, w)), 6) as primal, round(-avg(0.125 - 0.5) - {LAM / 2}::double * any_value(list_dot_product(w, w)), 6) as dual, true as consistent from data, w""")
+def ev_certificate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The library's certificate of the model with alpha = y / 2 and w = A alpha / (lam n)."""
+    p = packed_embed(spark, sf_dir, 8, 2)
+    half = p.plain().select("slot", "bid", F.transform("y", lambda y: y * 0.5).alias("alpha"))
+    at_zero = baselines.objective_gradient(p, _zeros(64), "ridge", 0.0)[1]  # - A y / n
+    c = metrics.certificate(p, solvers.Model(-0.5 / LAM * at_zero, Bucketed(half.repartition("slot"), "half", p.groups).frame(), {}), "ridge", LAM)
+    return spark.createDataFrame([(round(c["primal"], 6), round(c["dual"], 6), c["drift"] < 1e-9)], "primal double, dual double, consistent boolean")
 
 
 # Baselines, first steps
@@ -455,18 +475,17 @@ def bl_gd1(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("bl_cap_predictors", f"with g as (select j, abs(round(sum(-y * 0.5 * v) / any_value(n), 9)) as g from (select eid, y, i as j, v, n from ({sql.TEXT}), (select count(*)::double as n from labels join documents using (doc_id))) where j is not null group by j) select j::int as pos from g order by g desc, j limit 50")
 def bl_cap_predictors(spark: SparkSession, sf_dir: str) -> DataFrame:
-    df = features.text_hash(spark, sf_dir)
-    n = df.count()
-    long = df.select("y", F.explode(F.arrays_zip("idx", "val")).alias("e"))
-    g = long.groupBy(F.col("e.idx").alias("pos")).agg(F.abs(F.round(F.sum(-F.col("y") * 0.5 * F.col("e.val")) / n, 9)).alias("g"))
-    return g.orderBy(F.desc("g"), "pos").limit(50).select("pos")  # a top-k report
+    df = features.text_hash(spark, sf_dir).drop("y_toxic")
+    best = baselines.top_predictors(blocks.pack(df, df.count(), features.TEXT_DIM, 16), 50, "logistic")  # a top-k report
+    return spark.createDataFrame([(j,) for j in best], "pos int")
 
 
-query("bl_sag1")(lambda s, d: weights(s, baselines.fit_sag(packed_embed(s, d, 8), solvers.TrainSpec("ridge", LAM, 1, 0.0)).model.w))
-query("bl_dcd")(lambda s, d: weights(s, baselines.fit_dcd(packed_embed(s, d, 8), solvers.TrainSpec("hinge", LAM, 3, 0.0)).model.w))
-query("bl_lbfgs")(lambda s, d: weights(s, baselines.fit_lbfgs(packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM, 8)).model.w))
+query("bl_sag1", sql.sag_sql(LAM, 8))(lambda s, d: weights(s, baselines.fit_sag(packed_embed(s, d, 8), solvers.TrainSpec("ridge", LAM, 1, 0.0)).model.w))
+query("bl_dcd")(lambda s, d: weights(s, baselines.fit_dcd(packed_embed(s, d, 8), solvers.TrainSpec("hinge", LAM)).model.w))
+query("bl_dcd_logistic")(lambda s, d: weights(s, baselines.fit_dcd(packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM)).model.w))
+query("bl_lbfgs")(lambda s, d: weights(s, baselines.fit_lbfgs(packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM)).model.w))
 query("bl_sgd")(lambda s, d: weights(s, baselines.fit_sgd(packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM, 1)).model.w))
-query("bl_auto")(lambda s, d: weights(s, baselines.fit_auto(packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM, 8)).model.w))
+query("bl_auto")(lambda s, d: weights(s, baselines.fit_auto(packed_embed(s, d, 8), solvers.TrainSpec("logistic", LAM)).model.w))
 
 LASSO_COLS = (0, 2, 3, 5)
 _lasso_x = "[x[1], x[3], x[4], x[6]]"
@@ -491,7 +510,7 @@ def sd_lasso_path(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([tuple(round(float(b), 6) for b in beta)], "w0 double, w1 double, w2 double, w3 double")
 
 
-@query("sd_epoch_objective")
+@query("sd_epoch_objective", sql.objective_sql(LAM, 2, 42))
 def sd_epoch_objective(spark: SparkSession, sf_dir: str) -> DataFrame:
     p, rows, model = packed_embed(spark, sf_dir), [], None
     for e in range(2):
@@ -513,12 +532,23 @@ query("wk_bottlenecks")(lambda s, d: workloads.bottlenecks(s, packed_embed(s, d,
 # W1 on F6a and F1, W2 on F6b and F3
 for _name, _fixture in {"wk_lock_free_dense": "synth_dense", "wk_lock_free_line": "line", "wk_lock_free_sparse": "synth_sparse", "wk_lock_free_order": "order"}.items():
     query(_name)(lambda s, d, f=_fixture: workloads.lock_free(s, workloads.packed_fixture(s, d, f, n=workloads.synthetic_rows(s, d)), solvers.TrainSpec("logistic", 2e-2)))
-query("wk_scaling")(lambda s, d: workloads.scaling(s, d, "order", solvers.TrainSpec("logistic", 1e-3, workers=4)))
+# Seconds per epoch; two epochs each, as that is the measure
+for _name, _fixture in {"wk_scaling": "order", "wk_scaling_line": "line", "wk_scaling_wide": "wide"}.items():
+    query(_name)(lambda s, d, f=_fixture: workloads.scaling(s, d, f, solvers.TrainSpec("logistic", 1e-3, workers=4)))
+# W3 on F6a; W7, W8 and W9 on the stand-ins of the paper's data: F1 dense, F3 and F8 sparse
+LOGIT = solvers.TrainSpec("logistic", LAM)
+query("wk_bottlenecks_synth")(lambda s, d: workloads.bottlenecks(s, workloads.packed_fixture(s, d, "synth_dense", 8, n=workloads.synthetic_rows(s, d)), LOGIT))
+for _fixture in ("line", "order", "wide"):
+    query(f"wk_dealing_{_fixture}")(lambda s, d, f=_fixture: workloads.dealing(s, workloads.packed_fixture(s, d, f, 8), LOGIT))
+    query(f"wk_buckets_{_fixture}")(lambda s, d, f=_fixture: workloads.buckets(s, d, f, LOGIT))
+    query(f"wk_hier_{_fixture}")(lambda s, d, f=_fixture: workloads.hierarchy(s, d, f, replace(LOGIT, workers=4), bucket=8))
+# C4, C4a, C7 and C16 over the histories of W7
+query("wk_measures")(lambda s, d: workloads.measures(workloads.dealing(s, packed_embed(s, d, 5), RIDGE, (1, 4, 16))))
 # W5 and W10 on F2, F1, F3 and F8
 for _name, _fixture in {"wk_compare": "embed", "wk_compare_line": "line", "wk_compare_order": "order", "wk_compare_wide": "wide"}.items():
     query(_name)(lambda s, d, f=_fixture: workloads.test_loss(s, *workloads.fixture(s, d, f), solvers.TrainSpec("logistic", LAM)))
 query("wk_label_sorted")(lambda s, d: workloads.label_sorted(s, d, RIDGE))
-query("wk_predictor_cap")(lambda s, d: workloads.predictor_cap(s, d, solvers.TrainSpec("logistic", LAM, 4), 200))
+query("wk_predictor_cap")(lambda s, d: workloads.predictor_cap(s, d, solvers.TrainSpec("logistic", LAM), 200))
 
 
 @query("wk_cutoffs", "select n, case when n > 500000 then 8 else 1 end as by_cutoff from (select count(*)::bigint as n from lineitem union all select count(*) from orders union all select 500000 union all select 500001)")
@@ -543,14 +573,13 @@ def jn_range_bucket(spark: SparkSession, sf_dir: str) -> DataFrame:
     return o.join(small(bounds), (F.col("o_orderkey") >= F.col("a")) & (F.col("o_orderkey") < F.col("b"))).groupBy("g").agg(F.count("*").alias("n"), F.min("o_orderkey").alias("lo"), F.max("o_orderkey").alias("hi"))
 
 
-@query("jn_asof_model", "select version, count(*)::bigint as n from (select e.event_id, max(m.version) as version from events e left join (select event_id as version, user_id, ts from events where event_type = 'purchase') m on m.user_id = e.user_id and (m.ts < e.ts or (m.ts = e.ts and m.version <= e.event_id)) and m.version <= e.event_id group by e.event_id) group by version")
+@query("jn_asof_model", "select version, count(*)::bigint as n from (select e.event_id, arg_max(m.version, struct_pack(t := m.ts, v := m.version)) as version from events e left join (select event_id as version, user_id, ts from events where event_type = 'purchase') m on m.user_id = e.user_id and (m.ts < e.ts or (m.ts = e.ts and m.version <= e.event_id)) group by e.event_id) group by version")
 def jn_asof_model(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Last purchase of the same user up to each event (both by time and number): a running value, no join."""
+    """Last purchase of the same user up to each event, by time and then number: a running value, no join and no list."""
     e = read(spark, sf_dir, "events").select("event_id", "user_id", "ts", "event_type")
     w = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     own = F.when(F.col("event_type") == "purchase", F.col("event_id"))
-    seen = F.array_max(F.filter(F.collect_list(own).over(w), lambda v: v <= F.col("event_id")))
-    return e.select(seen.alias("version")).groupBy("version").agg(F.count("*").alias("n"))
+    return e.select(F.last(own, ignorenulls=True).over(w).alias("version")).groupBy("version").agg(F.count("*").alias("n"))
 
 
 @query("jn_theta", "select a.pos as a, b.pos as b from (select j as pos, count(*) as c from (select unnest(idx) as j from (" + sql.ORDER + ")) group by j) a join (select j as pos, count(*) as c from (select unnest(idx) as j from (" + sql.ORDER + ")) group by j) b on a.pos < b.pos and a.c < b.c and b.c < 2 * a.c")
@@ -656,12 +685,14 @@ query("ms_best_valid", f"select arg_min(variant, seconds) as variant, min(second
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The combined solver on the embeddings: history by epoch."""
-    df = features.embed_matrix(spark, sf_dir)
+    """The combined solver on the orders, on its own choice of buckets and groups: history by epoch, to the tolerance."""
+    df, d = workloads.fixture(spark, sf_dir, "order")
     n = df.count()
-    spec, bucket, groups = solvers.fit_auto_spec(n, 4, loss="logistic", lam=LAM, max_epochs=6)
-    p = blocks.pack(df, n, 64, max(bucket, 5), max(groups, 2))
-    return solvers.fit(p, replace(spec, workers=4), variant="combined").history(spark)
+    spec, unit, groups = solvers.fit_auto_spec(n, spark.sparkContext.defaultParallelism, loss="logistic", lam=LAM)
+    packed = blocks.pack(df, n, d, workloads.rows_per_block(n, spec.workers, unit), groups, unit=unit)
+    result = solvers.fit(packed, spec, variant="combined")
+    packed.release()
+    return result.history(spark)
 
 
 query("flagship")(flagship)

@@ -100,50 +100,70 @@ def step_sql(loss: str, z: str, q: str, y: str, a: str, s: str) -> str:
     return f"({y} * (1 / (1 + exp(-({newton}))) - {b}))"
 
 
-def sequential_sql(loss: str, lam: float, bucket: int, epochs: int, order: str, seed: int, data: str = EMBED) -> str:
-    """CTEs that end in ``final(w, alphas)``: a single worker over all examples. States are rows of a recursive query."""
-    parts = [f"with recursive data as materialized ({data}), n as (select count(*)::bigint as n from data)"]
-    return ", ".join(parts) + _epochs(loss, lam, bucket, epochs, order, seed, 1, 1, "dynamic", "add", "n")
+def _epochs(loss: str, lam: float, bucket: int, epochs: int, order: str, seed: int, groups: int, workers: int, deal: str, merge: str, _n: str, nb: int = 0, syncs: int = 1, seeds: tuple[int, ...] = ()) -> str:
+    """Recursion over the places in the workers' lists: one row of state per worker, merged after each slice of an epoch.
 
-
-def _epochs(loss: str, lam: float, bucket: int, epochs: int, order: str, seed: int, groups: int, workers: int, deal: str, merge: str, _n: str, nb: int = 0) -> str:
-    """Recursion over the places in the workers' lists: one row of state per worker, merged after each epoch."""
+    w{t} and al{t} are the state after t slices. With ``seeds`` every epoch is a first one with a seed of its own."""
     out = f", blocks as (select *, eid // {bucket} as bid, eid % {bucket} as k from data), nb as (select max(bid) + 1 as nb from blocks)"
     out += ", w0 as (select list_transform(range((select len(x) from data limit 1)), lambda i: 0.0::double) as w)"
     per = workers // groups
     prev_w, prev_a = "w0", "(select eid, 0.0::double as alpha from data)"
-    for e in range(epochs):
-        key = f"md5(bid || ':{e}:{seed}')" if order == "md5" else "bid" if order == "none" else None
+    for t in range(epochs * syncs):
+        epoch, part = divmod(t, syncs)
+        drawn = (0, seeds[epoch]) if seeds else (epoch, seed)
+        key = f"md5(bid || ':{drawn[0]}:{drawn[1]}')" if order == "md5" else "bid" if order == "none" else None
         if key is None:
-            a, c = affine_constants(nb, e, seed)
+            a, c = affine_constants(nb, epoch, seed)
             key = f"((bid * {a} + {c}) % {nb})"
-        out += f""", bk{e} as (select distinct bid, bid * {groups} // nb as gid, {key} as key, nb from blocks, nb),
-rk{e} as (select *, count(*) over (partition by gid) as gnb, row_number() over (partition by gid order by key, bid) - 1 as r, row_number() over (partition by gid order by bid) - 1 as r0 from bk{e}),
-dl{e} as (select *, gid * {per} + ({'r0' if deal == 'static' else 'r'} * {per}) // gnb as wid from rk{e}),
-ps{e} as (select bid, wid, row_number() over (partition by wid order by key, bid) - 1 as pos from dl{e}),
-ex{e} as materialized (select p.wid, row_number() over (partition by p.wid order by p.pos, b.k) - 1 as t, b.eid, b.y, b.x, list_dot_product(b.x, b.x) as q, a.alpha from ps{e} p join blocks b using (bid) join {prev_a} a using (eid)),
-busy{e} as (select count(distinct wid)::double as kk from ex{e}),
-sc{e} as (select {'kk' if merge == 'add' else '1.0::double'} as sigma, {'1.0::double' if merge == 'add' else '1.0 / kk'} as gamma from busy{e}),
-run{e} as (
-  select wid, -1::bigint as t, (select w from {prev_w}) as w, null::bigint as eid, null::double as alpha from (select distinct wid from ex{e})
+        out += f""", bk{t} as (select distinct bid, bid * {groups} // nb as gid, {key} as key, nb from blocks, nb),
+rk{t} as (select *, count(*) over (partition by gid) as gnb, row_number() over (partition by gid order by key, bid) - 1 as r, row_number() over (partition by gid order by bid) - 1 as r0 from bk{t}),
+dl{t} as (select *, gid * {per} + ({'r0' if deal == 'static' else 'r'} * {per}) // gnb as wid from rk{t}),
+pl{t} as (select bid, wid, row_number() over (partition by wid order by key, bid) - 1 as pos, count(*) over (partition by wid) as m from dl{t}),
+busy{t} as (select count(distinct wid)::double as kk from pl{t}),
+ps{t} as (select * from pl{t} where pos >= m * {part} // {syncs} and pos < m * {part + 1} // {syncs}),
+ex{t} as materialized (select p.wid, row_number() over (partition by p.wid order by p.pos, b.k) - 1 as t, b.eid, b.y, b.x, list_dot_product(b.x, b.x) as q, a.alpha from ps{t} p join blocks b using (bid) join {prev_a} a using (eid)),
+sc{t} as (select {'kk' if merge == 'add' else '1.0::double'} as sigma, {'1.0::double' if merge == 'add' else '1.0 / kk'} as gamma from busy{t}),
+run{t} as (
+  select wid, -1::bigint as t, (select w from {prev_w}) as w, null::bigint as eid, null::double as alpha from (select distinct wid from ex{t})
   union all
   select wid, t, list_transform(list_zip(w, x), lambda p: p[1] + sigma * delta / ({lam}::double * n) * p[2]) as w, eid, alpha + gamma * delta as alpha from (
     select r.wid, e.t, r.w, e.x, e.eid, e.alpha, sc.sigma, sc.gamma, n.n, {step_sql(loss, "list_dot_product(e.x, r.w)", "e.q", "e.y", "e.alpha", f"(sc.sigma * e.q / ({lam}::double * n.n))")} as delta
-    from run{e} r join ex{e} e on e.wid = r.wid and e.t = r.t + 1, sc{e} sc, n)),
-last{e} as (select w from run{e} qualify t = max(t) over (partition by wid)),
-pos{e} as (select unnest(range(len(w))) as i, w from {prev_w}),
-w{e + 1} as (select list(v order by i) as w from (
-  select p.i, any_value(p.w[p.i + 1]) + any_value(gamma) * sum((l.w[p.i + 1] - p.w[p.i + 1]) / sigma) as v from pos{e} p, last{e} l, sc{e} group by p.i)),
-al{e + 1} as (select eid, alpha from run{e} where eid is not null)"""
-        prev_w, prev_a = f"w{e + 1}", f"al{e + 1}"
+    from run{t} r join ex{t} e on e.wid = r.wid and e.t = r.t + 1, sc{t} sc, n)),
+last{t} as (select w from run{t} qualify t = max(t) over (partition by wid)),
+pos{t} as (select unnest(range(len(w))) as i, w from {prev_w}),
+w{t + 1} as (select list(v order by i) as w from (
+  select p.i, any_value(p.w[p.i + 1]) + any_value(gamma) * sum((l.w[p.i + 1] - p.w[p.i + 1]) / sigma) as v from pos{t} p, last{t} l, sc{t} group by p.i)),
+al{t + 1} as materialized (select eid, alpha from run{t} where eid is not null{f" union all select eid, alpha from {prev_a} a where eid not in (select eid from ex{t})" if syncs > 1 else ""})"""
+        prev_w, prev_a = f"w{t + 1}", f"al{t + 1}"
     return out
 
 
-def trajectory_sql(loss: str, lam: float, bucket: int = 1, epochs: int = 2, order: str = "md5", seed: int = 42, groups: int = 1, workers: int = 1, deal: str = "dynamic", merge: str = "add", nb: int = 0) -> str:
+def trajectory_sql(loss: str, lam: float, bucket: int = 1, epochs: int = 2, order: str = "md5", seed: int = 42, groups: int = 1, workers: int = 1, deal: str = "dynamic", merge: str = "add", nb: int = 0, syncs: int = 1) -> str:
     """(pos, value) of w after some epochs on the dense embeddings."""
     head = f"with recursive data as materialized ({EMBED}), n as (select count(*)::bigint as n from data)"
-    body = _epochs(loss, lam, bucket, epochs, order, seed, groups, workers, deal, merge, "n", nb)
-    return head + body + f" select i::int as pos, round(w[i + 1], 6) as value from (select unnest(range(len(w))) as i, w from w{epochs})"
+    body = _epochs(loss, lam, bucket, epochs, order, seed, groups, workers, deal, merge, "n", nb, syncs)
+    return head + body + f" select i::int as pos, round(w[i + 1], 6) as value from (select unnest(range(len(w))) as i, w from w{epochs * syncs})"
+
+
+def objective_sql(lam: float, epochs: int, seed: int) -> str:
+    """(epoch, primal, dual, gap_ok) of ridge after each of some first epochs with seeds of their own; w = A alpha / (lam n) holds, so the dual is taken at w."""
+    head = f"with recursive data as materialized ({EMBED}), n as (select count(*)::bigint as n from data)"
+    body = _epochs("ridge", lam, 1, epochs, "md5", seed, 1, 1, "dynamic", "add", "n", 0, 1, tuple(seed + e for e in range(epochs)))
+    one = "select {e}::int as epoch, avg((list_dot_product(x, w) - y) ** 2) / 2 + {half}::double * any_value(list_dot_product(w, w)) as primal, -avg(alpha * alpha / 2 - alpha * y) - {half}::double * any_value(list_dot_product(w, w)) as dual from data join al{e} using (eid), w{e}"
+    rows = " union all ".join(one.format(e=e + 1, half=lam / 2) for e in range(epochs))
+    return head + body + f" select epoch, round(primal, 6) as primal, round(dual, 6) as dual, primal - dual >= -1e-12 as gap_ok from ({rows})"
+
+
+def sag_sql(lam: float, bucket: int, seed: int = 42) -> str:
+    """(pos, value) of w after one pass of the average-gradient solver on the embeddings, ridge."""
+    return f"""with recursive data as materialized ({EMBED}), n as (select count(*)::double as n, 1.0 / (max(list_dot_product(x, x)) + {lam}::double) as rate from data),
+ex as materialized (select row_number() over (order by md5((eid // {bucket}) || ':0:{seed}'), eid) - 1 as t, y, x from data),
+run as (
+  select -1::bigint as t, list_transform(range((select len(x) from data limit 1)), lambda i: 0.0::double) as w, list_transform(range((select len(x) from data limit 1)), lambda i: 0.0::double) as g
+  union all
+  select t, list_transform(list_zip(w, g), lambda p: p[1] - rate * (p[2] + {lam}::double * p[1])) as w, g from (
+    select e.t, r.w, rate, list_transform(list_zip(r.g, e.x), lambda p: p[1] + (list_dot_product(e.x, r.w) - e.y) / n * p[2]) as g from run r join ex e on e.t = r.t + 1, n))
+select i::int as pos, round(w[i + 1], 6) as value from (select unnest(range(len(w))) as i, w from (select w from run order by t desc limit 1))"""
 
 
 def lossy_sql(lam: float, threads: int, lost: bool, seed: int = 42) -> str:

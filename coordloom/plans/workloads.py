@@ -7,7 +7,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from coordloom.operators import baselines, blocks, metrics, solvers, topology
+from coordloom.operators import baselines, blocks, metrics, reports, solvers, topology
 from coordloom.operators.blocks import Packed
 from coordloom.operators.solvers import FitResult, TrainSpec
 from coordloom.sources import features
@@ -28,6 +28,9 @@ def fixture(spark: SparkSession, sf_dir: str, name: str, n: int = 1000) -> tuple
     return make(), d
 
 
+fixture_of = fixture
+
+
 def packed_fixture(spark: SparkSession, sf_dir: str, name: str, bucket: int = 1, groups: int = 1, n: int = 1000) -> Packed:
     df, d = fixture(spark, sf_dir, name, n)
     return blocks.pack(df, df.count(), d, bucket, groups)
@@ -38,10 +41,17 @@ def synthetic_rows(spark: SparkSession, sf_dir: str) -> int:
     return max(1, round(features.read(spark, sf_dir, "lineitem").count() / 6))
 
 
+def rows_per_block(n: int, workers: int, unit: int) -> int:
+    """Examples of a stored row: many buckets, so that few rows pass between the JVM and Python, yet 32 rows or more for every worker to deal."""
+    most = max(1, n // (32 * max(1, workers)))
+    return max(unit, min(4096, most) // unit * unit)
+
+
 def summary(spark: SparkSession, results: list[tuple[str, Packed, FitResult]], loss: str, lam: float) -> DataFrame:
     """One row per run: epochs, seconds, status, objective, drift."""
     rows = []
     for name, packed, r in results:
+        r.model.release()
         objective = baselines.objective_gradient(packed, r.model.w, loss, lam)[0]
         rows.append((name, r.rows[-1][1] if r.rows else 0, packed.groups, packed.bucket, r.epochs, r.status, r.seconds, r.seconds / max(1, r.epochs), objective))
     return spark.createDataFrame(rows, "variant string, workers int, groups int, bucket int, epochs int, status string, seconds double, seconds_per_epoch double, objective double")
@@ -95,7 +105,7 @@ def dealing(spark: SparkSession, packed: Packed, spec: TrainSpec, workers: tuple
 
 
 def buckets(spark: SparkSession, sf_dir: str, fixture: str, spec: TrainSpec, sizes: tuple[int, ...] = (1, 8, 16, 64)) -> DataFrame:
-    """Bucket sizes."""
+    """Bucket sizes, each bucket a stored row."""
     runs = []
     for b in sizes:
         p = packed_fixture(spark, sf_dir, fixture, b)
@@ -130,14 +140,41 @@ def held_out(examples: DataFrame, d: int, bucket: int = 1) -> tuple[Packed, Data
     return blocks.pack(train, train.count(), d, bucket), examples.filter(metrics.is_test(F.col("eid")))
 
 
-def test_loss(spark: SparkSession, examples: DataFrame, d: int, spec: TrainSpec, workers: tuple[int, ...] = (1, 2, 4, 8, 16), bucket: int = 8) -> DataFrame:
-    """Time to convergence and held-out mean loss of every solver, ours and the lock-free one by workers."""
+def test_loss(spark: SparkSession, examples: DataFrame, d: int, spec: TrainSpec, workers: tuple[int, ...] = (1, 2, 4, 8, 16), bucket: int = 8, groups: int = 4) -> DataFrame:
+    """Time to convergence and held-out mean loss of every solver, ours and the lock-free one by workers; ours also on the second configuration, of several groups."""
     p, held = held_out(examples, d, bucket)
     runs = [(f"ours {k} workers", p, solvers.fit(p, replace(spec, workers=k))) for k in workers] + [(f"lock-free {k}", p, solvers.fit_lossy_async(p, spec, k)) for k in workers]
+    spread = blocks.regroup(p, groups)
+    runs.append((f"ours {max(workers)} workers {groups} groups", spread, solvers.fit_hierarchical(spread, replace(spec, workers=max(workers)))))
     runs += [(f.__name__.removeprefix("fit_"), p, f(p, spec)) for f in (baselines.fit_dcd, baselines.fit_lbfgs, baselines.fit_sag, baselines.fit_sgd, baselines.fit_auto)]
     losses = [(name, metrics.evaluate(held, r.model)["logloss"]) for name, _, r in runs]
     report = judged(summary(spark, runs, spec.loss, spec.lam), _reference(p, spec))
-    return report.join(F.broadcast(spark.createDataFrame(losses, "variant string, test_loss double")), "variant")
+    return report.join(F.broadcast(spark.createDataFrame(losses, "variant string, test_loss double")), "variant")  # a row per run
+
+
+def predictor_cap(spark: SparkSession, sf_dir: str, spec: TrainSpec, cap: int = 200) -> DataFrame:
+    """The automatic solver and L-BFGS with all columns and with the strongest ``cap`` only, and their held-out loss."""
+    df = features.text_hash(spark, sf_dir).drop("y_toxic")
+    full, held = held_out(df, features.TEXT_DIM, 16)
+    best = baselines.top_predictors(full, cap, spec.loss)
+    few = blocks.pack(baselines.keep_columns(blocks.unpack(full), best), full.n, cap, 16)
+    sides = (("all", full, held), (f"cap {cap}", few, baselines.keep_columns(held, best)))
+    runs = [(f"{name} {k}", p, f(p, spec)) for k, p, _ in sides for name, f in (("lbfgs", baselines.fit_lbfgs), ("auto", baselines.fit_auto))]
+    tests = {k: h for k, _, h in sides}
+    losses = [(name, metrics.evaluate(tests[name.split(" ", 1)[1]], r.model)["logloss"]) for name, _, r in runs]
+    return summary(spark, runs, spec.loss, spec.lam).join(F.broadcast(spark.createDataFrame(losses, "variant string, test_loss double")), "variant")  # a row per run
+
+
+def measures(report: DataFrame) -> DataFrame:
+    """C4, C4a, C7 and C16 over the history of W7: (measure, variant, workers, value)."""
+    report = materialise(report.withColumn("variant", F.split("variant", " ")[0]), "report")
+    rows = lambda df, name, value: df.select(F.lit(name).alias("measure"), *[F.col(c) if c in df.columns else F.lit(None).cast(t).alias(c) for c, t in (("variant", "string"), ("workers", "int"))], value.cast("double").alias("value"))
+    out = rows(reports.speedup(report, "static"), "speed-up", F.col("speedup"))
+    for column in ("epochs", "seconds"):
+        out = out.unionByName(rows(reports.reduction(report, "static", "dynamic", column), f"fewer {column}, percent", F.col("percent")))
+    out = out.unionByName(rows(reports.scaling_efficiency(report.filter("variant = 'dynamic'")), "efficiency", F.col("efficiency")))
+    out = out.unionByName(rows(reports.best_valid(report, "static"), "best right run, seconds", F.col("seconds")))
+    return out.unionByName(rows(reports.status_counts(report).withColumnRenamed("status", "variant"), "runs by status", F.col("n")))
 
 
 def predictor_cap(spark: SparkSession, sf_dir: str, spec: TrainSpec, cap: int = 200) -> DataFrame:
@@ -149,14 +186,16 @@ def predictor_cap(spark: SparkSession, sf_dir: str, spec: TrainSpec, cap: int =
     return summary(spark, [("all", full, baselines.fit_lbfgs(full, spec)), (f"cap {cap}", small, baselines.fit_lbfgs(small, spec))], spec.loss, spec.lam)
 
 
-def scaling(spark: SparkSession, sf_dir: str, fixture: str, spec: TrainSpec, groups: tuple[int, ...] = (1, 2, 4), bucket: int = 64, epochs: int = 2) -> DataFrame:
+def scaling(spark: SparkSession, sf_dir: str, fixture: str, spec: TrainSpec, groups: tuple[int, ...] = (1, 2, 4, 8), unit: int = 8, epochs: int = 2) -> DataFrame:
     """Seconds per epoch by groups, each a task of its own, with speed-up and efficiency."""
-    runs = []
+    df, d = fixture_of(spark, sf_dir, fixture)
+    n, runs = df.count(), []
+    first = blocks.pack(df, n, d, rows_per_block(n, spec.workers * max(groups), unit), 1, unit=unit)
     for g in groups:
-        p = packed_fixture(spark, sf_dir, fixture, bucket, g)
+        p = blocks.regroup(first, g)
         runs.append((f"groups {g}", p, solvers.fit(p, replace(spec, workers=spec.workers * g, max_epochs=epochs, tol=0.0))))
     out = summary(spark, runs, spec.loss, spec.lam)
-    base = out.filter("groups = 1").agg(F.first("seconds_per_epoch").alias("base"))
+    base = out.filter("groups = 1").agg(F.first("seconds_per_epoch").alias("base"))  # one row
     return out.join(F.broadcast(base)).withColumn("speedup", F.col("base") / F.col("seconds_per_epoch")).withColumn("efficiency", F.col("speedup") / F.col("groups")).drop("base")
 
 

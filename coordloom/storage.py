@@ -2,20 +2,26 @@
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession, tag: str) -> str:
-    """A fresh folder under ``spark.checkpoint.dir``; only where that is unset (local tests) a temporary one is set."""
+    """A fresh folder under ``spark.checkpoint.dir``. Where that is unset a temporary folder serves on a local master only: elsewhere executors wouldn't share it."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         current = spark.sparkContext._jsc.sc().getCheckpointDir()
-        root = current.get() if current.isDefined() else tempfile.mkdtemp(prefix="coordloom-")
-        if not current.isDefined():
+        if current.isDefined():
+            root = current.get()
+        elif spark.sparkContext.master.startswith("local"):
+            root = tempfile.mkdtemp(prefix="coordloom-")
             spark.sparkContext.setCheckpointDir(root)
+        else:
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return f"{root.rstrip('/')}/{tag}-{uuid.uuid4().hex}"
 
 
@@ -24,3 +30,54 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
     path = shared_dir(df.sparkSession, tag)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def discard(spark: SparkSession, path: str) -> None:
+    """Delete a folder of the shared storage."""
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
+@contextlib.contextmanager
+def settings(spark: SparkSession, values: dict[str, str]) -> Iterator[None]:
+    """Runtime SQL settings for what is planned and run inside; the session's own come back afterwards."""
+    before = {k: spark.conf.get(k, None) for k in values}
+    for k, v in values.items():
+        spark.conf.set(k, v)
+    try:
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
+#: What keeps a join and a sort of bucketed tables within their buckets: one file a bucket, already sorted, joined as it lies.
+CO_LOCATED = {
+    "spark.sql.sources.bucketing.autoBucketedScan.enabled": "false",
+    "spark.sql.requireAllClusterKeysForCoPartition": "false",
+    "spark.sql.legacy.bucketedTableScan.outputOrdering": "true",
+    "spark.sql.autoBroadcastJoinThreshold": "-1",
+    "spark.sql.adaptive.autoBroadcastJoinThreshold": "-1",
+}
+
+
+class Bucketed:
+    """A table of the shared folder with one bucket per slot, sorted by (slot, bid) inside."""
+
+    def __init__(self, df: DataFrame, tag: str, buckets: int, parts: tuple[str, ...] = ()):
+        self.spark, self.path = df.sparkSession, shared_dir(df.sparkSession, tag)
+        self.name = f"coordloom_{tag}_{uuid.uuid4().hex}"
+        self.schema = df.schema
+        writer = df.write.bucketBy(buckets, "slot").sortBy("slot", "bid").option("path", self.path).option("parquet.block.size", str(8 << 20))
+        (writer.partitionBy(*parts) if parts else writer).saveAsTable(self.name)
+
+    def frame(self) -> DataFrame:
+        return self.spark.table(self.name)
+
+    def plain(self) -> DataFrame:
+        """The same rows read as files, split by size and not by bucket."""
+        return self.spark.read.schema(self.schema).parquet(self.path)
+
+    def drop(self) -> None:
+        self.spark.sql(f"DROP TABLE IF EXISTS {self.name}")
+        discard(self.spark, self.path)

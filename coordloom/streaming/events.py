@@ -58,12 +58,21 @@ def user_statistics(events: DataFrame) -> DataFrame:
 
 
 def run_available(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there and give back the result table."""
-    spark = df.sparkSession
-    where = shared_dir(spark, f"stream-{name}")
-    q = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", where).trigger(availableNow=True).start()
+    """Run a stream over what is there into files of the shared folder and give back the result. Each batch is a folder; in mode
+    ``complete`` the last one is the result, otherwise all of them."""
+    spark, out = df.sparkSession, shared_dir(df.sparkSession, f"stream-{name}")
+    written: list[int] = []
+
+    def store(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/batch={batch_id}")  # a batch that is repeated replaces itself
+        written.append(batch_id)
+
+    q = df.writeStream.foreachBatch(store).outputMode(mode).option("checkpointLocation", f"{out}-log").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    if not written:
+        return spark.createDataFrame([], df.schema)
+    paths = [f"{out}/batch={k}" for k in (sorted(set(written)) if mode != "complete" else [max(written)])]
+    return spark.read.schema(df.schema).parquet(*paths)
 
 
 class IncrementalTrainer:

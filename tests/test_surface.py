@@ -8,7 +8,7 @@ import __spark_entry__ as entry
 from coordloom.plans import catalogue
 from coordloom.sources import features, io
 
-FAST = ("fx_embed_long", "fx_order_sparse", "bk_assign", "bk_choose", "dl_static", "dl_dynamic", "dl_hier", "pl_placement", "pm_affine_trap", "cm_conflict", "sd_ridge_seq", "rp_hier", "ls_lossy_t4", "ev_auc", "bl_gram", "sd_lasso_path", "ss_tumbling", "sql_predict")
+FAST = ("fx_embed_long", "fx_order_sparse", "bk_assign", "bk_choose", "dl_static", "dl_dynamic", "dl_hier", "pl_placement", "pm_affine_trap", "cm_conflict", "sd_ridge_seq", "rp_hier", "rp_sync2", "rp_global", "bl_sag1", "sd_epoch_objective", "ev_certificate", "bl_cap_predictors", "jn_asof_model", "ls_lossy_t4", "ev_auc", "bl_gram", "sd_lasso_path", "ss_tumbling", "sql_predict")
 
 
 @pytest.fixture(scope="module")
@@ -105,5 +105,5 @@ def test_predictor_cap_worsens_the_fit(spark, data_dir):
     from coordloom.operators.solvers import TrainSpec
     from coordloom.plans import workloads
 
-    rows = {r["variant"]: r["objective"] for r in workloads.predictor_cap(spark, data_dir, TrainSpec("logistic", 1e-3, 6), 20).collect()}
-    assert rows["cap 20"] > rows["all"]
+    rows = {r["variant"]: r["objective"] for r in workloads.predictor_cap(spark, data_dir, TrainSpec("logistic", 1e-3), 20).collect()}
+    assert rows["lbfgs cap 20"] > rows["lbfgs all"] and rows["auto cap 20"] > rows["auto all"]

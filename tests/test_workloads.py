@@ -58,7 +58,7 @@ def test_drift_takes_all_threads_and_fixtures(spark, data_dir, asked, monkeypatc
 def test_comparison_has_all_solvers_workers_and_held_out_loss(spark, data_dir):
     examples = features.embed_matrix(spark, data_dir)
     rows = {r["variant"]: r for r in catalogue.QUERIES["wk_compare"](spark, data_dir).collect()}
-    assert set(rows) == {f"ours {k} workers" for k in (1, 2, 4, 8, 16)} | {f"lock-free {k}" for k in (1, 2, 4, 8, 16)} | {"dcd", "lbfgs", "sag", "sgd", "auto"}
+    assert set(rows) == {f"ours {k} workers" for k in (1, 2, 4, 8, 16)} | {f"lock-free {k}" for k in (1, 2, 4, 8, 16)} | {"dcd", "lbfgs", "sag", "sgd", "auto", "ours 16 workers 4 groups"}
     assert {rows[k]["status"] for k in ("ours 1 workers", "ours 16 workers", "dcd", "lbfgs", "sag", "auto")} == {"converged"}
     packed, held = workloads.held_out(examples, 64, 8)
     assert packed.n + held.count() == examples.count() and 0 < held.count() < packed.n
@@ -66,6 +66,26 @@ def test_comparison_has_all_solvers_workers_and_held_out_loss(spark, data_dir):
     assert all(abs(rows[k]["test_loss"] - best) < 1e-3 for k in ("ours 16 workers", "dcd", "lbfgs", "auto"))
 
 
+@pytest.mark.parametrize("fixture", ["line", "order", "wide"])
+def test_ablations_are_registered_on_the_large_tables(fixture):
+    assert {f"wk_{k}_{fixture}" for k in ("dealing", "buckets", "hier")} <= set(catalogue.QUERIES)
+
+
+def test_orderings_on_the_sparse_orders(spark, data_dir):
+    """Fig. 5 on the sparse stand-in: dynamic dealing needs no more epochs than static, every run reaches the tolerance."""
+    rows = {r["variant"]: r for r in catalogue.QUERIES["wk_dealing_order"](spark, data_dir).collect()}
+    assert all(r["status"] == "converged" for r in rows.values())
+    assert all(rows[f"dynamic k{k}"]["epochs"] <= rows[f"static k{k}"]["epochs"] for k in (4, 16))
+    assert max(r["objective"] for r in rows.values()) - min(r["objective"] for r in rows.values()) < 1e-3
+
+
+def test_measures_read_a_history(spark):
+    report = spark.createDataFrame([("static k1", 1, 8, 4.0, 0.5, "converged"), ("dynamic k1", 1, 8, 4.0, 0.5, "converged"), ("static k4", 4, 20, 4.0, 0.2, "converged"), ("dynamic k4", 4, 10, 2.0, 0.2, "wrong")], "variant string, workers int, epochs int, seconds double, seconds_per_epoch double, status string")
+    got = {(r["measure"], r["variant"], r["workers"]): r["value"] for r in workloads.measures(report).collect()}
+    assert got["speed-up", "dynamic", 4] == 2.0 and got["fewer epochs, percent", None, None] == 25.0 and got["efficiency", "dynamic", 4] == 0.625
+    assert got["runs by status", "wrong", None] == 1 and got["best right run, seconds", "static", None] == 4.0
+
+
 @pytest.mark.parametrize("fixture", ["line", "order", "wide"])
 def test_comparison_is_registered_on_the_large_tables(fixture):
     assert f"wk_compare_{fixture}" in catalogue.QUERIES
