@@ -351,7 +351,7 @@ lossy("ls_atomic_t4", False)
 
 
 #: |v - A alpha| by threads: synthetic dense and sparse, lineitem and orders.
-query("ls_drift")(lambda s, d: workloads.drift(s, d, ("synth_dense", "synth_sparse", "line", "order"), solvers.TrainSpec("logistic", 1e-3)))
+query("ls_drift")(lambda s, d: workloads.drift(s, d, ("synth_dense", "synth_sparse", "line", "order"), solvers.TrainSpec("logistic", 1e-3, 200)))
 
 
 # Exact solutions and evaluation
@@ -521,9 +521,10 @@ def sd_epoch_objective(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "epoch int, primal double, dual double, gap_ok boolean")
 
 
-# Workloads (histories: rows only). Runs stop on the tolerance, or at the default of 50 epochs and then say so.
+# Workloads (histories: rows only). Runs stop on the tolerance, or at 200 epochs and then say so.
 
-RIDGE = solvers.TrainSpec("ridge", LAM)
+EPOCHS = 200
+RIDGE = solvers.TrainSpec("ridge", LAM, EPOCHS)
 query("wk_epochs_by_k")(lambda s, d: workloads.partitions_sweep(s, packed_embed(s, d, 5), RIDGE))
 query("wk_dealing")(lambda s, d: workloads.dealing(s, packed_embed(s, d, 5), RIDGE))
 query("wk_buckets")(lambda s, d: workloads.buckets(s, d, "embed", RIDGE))
@@ -531,12 +532,12 @@ query("wk_hier")(lambda s, d: workloads.hierarchy(s, d, "embed", replace(RIDGE,
 query("wk_bottlenecks")(lambda s, d: workloads.bottlenecks(s, packed_embed(s, d, 5), RIDGE))
 # W1 on F6a and F1, W2 on F6b and F3
 for _name, _fixture in {"wk_lock_free_dense": "synth_dense", "wk_lock_free_line": "line", "wk_lock_free_sparse": "synth_sparse", "wk_lock_free_order": "order"}.items():
-    query(_name)(lambda s, d, f=_fixture: workloads.lock_free(s, workloads.packed_fixture(s, d, f, n=workloads.synthetic_rows(s, d)), solvers.TrainSpec("logistic", 2e-2)))
+    query(_name)(lambda s, d, f=_fixture: workloads.lock_free(s, workloads.packed_fixture(s, d, f, n=workloads.synthetic_rows(s, d)), solvers.TrainSpec("logistic", 2e-2, EPOCHS)))
 # Seconds per epoch; two epochs each, as that is the measure
 for _name, _fixture in {"wk_scaling": "order", "wk_scaling_line": "line", "wk_scaling_wide": "wide"}.items():
     query(_name)(lambda s, d, f=_fixture: workloads.scaling(s, d, f, solvers.TrainSpec("logistic", 1e-3, workers=4)))
 # W3 on F6a; W7, W8 and W9 on the stand-ins of the paper's data: F1 dense, F3 and F8 sparse
-LOGIT = solvers.TrainSpec("logistic", LAM)
+LOGIT = solvers.TrainSpec("logistic", LAM, EPOCHS)
 query("wk_bottlenecks_synth")(lambda s, d: workloads.bottlenecks(s, workloads.packed_fixture(s, d, "synth_dense", 8, n=workloads.synthetic_rows(s, d)), LOGIT))
 for _fixture in ("line", "order", "wide"):
     query(f"wk_dealing_{_fixture}")(lambda s, d, f=_fixture: workloads.dealing(s, workloads.packed_fixture(s, d, f, 8), LOGIT))
@@ -546,9 +547,9 @@ for _fixture in ("line", "order", "wide"):
 query("wk_measures")(lambda s, d: workloads.measures(workloads.dealing(s, packed_embed(s, d, 5), RIDGE, (1, 4, 16))))
 # W5 and W10 on F2, F1, F3 and F8
 for _name, _fixture in {"wk_compare": "embed", "wk_compare_line": "line", "wk_compare_order": "order", "wk_compare_wide": "wide"}.items():
-    query(_name)(lambda s, d, f=_fixture: workloads.test_loss(s, *workloads.fixture(s, d, f), solvers.TrainSpec("logistic", LAM)))
+    query(_name)(lambda s, d, f=_fixture: workloads.test_loss(s, *workloads.fixture(s, d, f), LOGIT))
 query("wk_label_sorted")(lambda s, d: workloads.label_sorted(s, d, RIDGE))
-query("wk_predictor_cap")(lambda s, d: workloads.predictor_cap(s, d, solvers.TrainSpec("logistic", LAM), 200))
+query("wk_predictor_cap")(lambda s, d: workloads.predictor_cap(s, d, LOGIT, 200))
 
 
 @query("wk_cutoffs", "select n, case when n > 500000 then 8 else 1 end as by_cutoff from (select count(*)::bigint as n from lineitem union all select count(*) from orders union all select 500000 union all select 500001)")
@@ -688,7 +689,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The combined solver on the orders, on its own choice of buckets and groups: history by epoch, to the tolerance."""
     df, d = workloads.fixture(spark, sf_dir, "order")
     n = df.count()
-    spec, unit, groups = solvers.fit_auto_spec(n, spark.sparkContext.defaultParallelism, loss="logistic", lam=LAM)
+    spec, unit, groups = solvers.fit_auto_spec(n, spark.sparkContext.defaultParallelism, loss="logistic", lam=LAM, max_epochs=EPOCHS)
     packed = blocks.pack(df, n, d, workloads.rows_per_block(n, spec.workers, unit), groups, unit=unit)
     result = solvers.fit(packed, spec, variant="combined")
     packed.release()

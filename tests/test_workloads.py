@@ -32,7 +32,7 @@ def test_sweeps_are_whole_and_not_cut(spark, data_dir, asked, name):
     key, want = SWEEPS[name]
     catalogue.QUERIES[name](spark, data_dir)
     assert sorted(key(*run) for run in asked) == want
-    assert all(s.max_epochs == 50 and s.tol == 1e-3 for s, _ in asked)
+    assert all(s.max_epochs == 200 and s.tol == 1e-3 for s, _ in asked)
 
 
 def test_epochs_by_workers_reach_the_tolerance(spark, data_dir):
@@ -45,25 +45,25 @@ def test_lock_free_runs_take_all_threads_and_the_rows_of_the_scale(spark, data_d
     monkeypatch.setattr(workloads, "_reference", lambda packed, spec: 1.0)
     catalogue.QUERIES[name](spark, data_dir)
     assert sorted((s.threads, s.staleness) for s, _ in asked) == [(t, g) for t in (1, 2, 4, 8, 16, 32) for g in (1, 4)]
-    assert all(s.max_epochs == 50 and s.tol == 1e-3 and p.n == rows for s, p in asked)
+    assert all(s.max_epochs == 200 and s.tol == 1e-3 and p.n == rows for s, p in asked)
 
 
 def test_drift_takes_all_threads_and_fixtures(spark, data_dir, asked, monkeypatch):
     monkeypatch.setattr(workloads.metrics, "certificate", lambda *_: {"drift": 0.0})
     catalogue.QUERIES["ls_drift"](spark, data_dir)
     assert [(p.n, s.threads) for s, p in asked] == [(n, t) for n in (1000, 1000, 6000, 1500) for t in (1, 2, 4, 8, 16, 32)]
-    assert all(s.max_epochs == 50 and s.tol == 1e-3 for s, _ in asked)
+    assert all(s.max_epochs == 200 and s.tol == 1e-3 for s, _ in asked)
 
 
 def test_comparison_has_all_solvers_workers_and_held_out_loss(spark, data_dir):
     examples = features.embed_matrix(spark, data_dir)
-    rows = {r["variant"]: r for r in catalogue.QUERIES["wk_compare"](spark, data_dir).collect()}
-    assert set(rows) == {f"ours {k} workers" for k in (1, 2, 4, 8, 16)} | {f"lock-free {k}" for k in (1, 2, 4, 8, 16)} | {"dcd", "lbfgs", "sag", "sgd", "auto", "ours 16 workers 4 groups"}
-    assert {rows[k]["status"] for k in ("ours 1 workers", "ours 16 workers", "dcd", "lbfgs", "sag", "auto")} == {"converged"}
+    rows = {r["variant"]: r for r in workloads.test_loss(spark, examples, 64, catalogue.LOGIT, workers=(1, 4), groups=2).collect()}
+    assert set(rows) == {f"ours {k} workers" for k in (1, 4)} | {f"lock-free {k}" for k in (1, 4)} | {"dcd", "lbfgs", "sag", "sgd", "auto", "ours 4 workers 2 groups"}
+    assert {rows[k]["status"] for k in ("ours 1 workers", "ours 4 workers", "dcd", "lbfgs", "sag", "auto")} == {"converged"}
     packed, held = workloads.held_out(examples, 64, 8)
     assert packed.n + held.count() == examples.count() and 0 < held.count() < packed.n
     best = metrics.evaluate(held, baselines.fit_newton(packed, solvers.TrainSpec("logistic", 0.01)).model)["logloss"]
-    assert all(abs(rows[k]["test_loss"] - best) < 1e-3 for k in ("ours 16 workers", "dcd", "lbfgs", "auto"))
+    assert all(abs(rows[k]["test_loss"] - best) < 2e-3 for k in ("ours 4 workers", "dcd", "lbfgs", "auto"))
 
 
 @pytest.mark.parametrize("fixture", ["line", "order", "wide"])
@@ -72,11 +72,12 @@ def test_ablations_are_registered_on_the_large_tables(fixture):
 
 
 def test_orderings_on_the_sparse_orders(spark, data_dir):
-    """Fig. 5 on the sparse stand-in: dynamic dealing needs no more epochs than static, every run reaches the tolerance."""
-    rows = {r["variant"]: r for r in catalogue.QUERIES["wk_dealing_order"](spark, data_dir).collect()}
+    """Fig. 5 on the sparse stand-in: dynamic dealing needs fewer epochs than static, both reach the tolerance and one optimum."""
+    packed = workloads.packed_fixture(spark, data_dir, "order", 8)
+    rows = {r["variant"]: r for r in workloads.dealing(spark, packed, catalogue.LOGIT, (4,)).collect()}
     assert all(r["status"] == "converged" for r in rows.values())
-    assert all(rows[f"dynamic k{k}"]["epochs"] <= rows[f"static k{k}"]["epochs"] for k in (4, 16))
-    assert max(r["objective"] for r in rows.values()) - min(r["objective"] for r in rows.values()) < 1e-3
+    assert rows["dynamic k4"]["epochs"] < rows["static k4"]["epochs"]
+    assert abs(rows["dynamic k4"]["objective"] - rows["static k4"]["objective"]) < 1e-3
 
 
 def test_measures_read_a_history(spark):
