@@ -1,11 +1,13 @@
 """Words and shingles of whole Arrow batches as 64-bit hashes, in numpy without an object per word.
 
-A word's hash is a polynomial over random values of its bytes, taken from prefix sums modulo 2**64
-and mixed at the end; equal byte strings have equal hashes wherever they stand.
+A word's bytes are taken eight at a time into a chain of bijective mixes that starts from its length, so words of up to
+eight bytes and one length never collide, and no pattern in longer ones cancels out (as it does in polynomials
+modulo 2**64); words of over ``CHAIN_BYTES`` are hashed by blake2. Equal byte strings have equal hashes wherever they stand.
 """
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -19,7 +21,9 @@ _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[32, *range(9, 14)]] = True
-_BYTE = _rng.integers(1, 1 << 63, 256, dtype=np.uint64) * U(2) + U(1)
+#: Longer words go through blake2 one by one.
+CHAIN_BYTES = 256
+_BYTES_OF = np.array([(1 << (8 * k)) - 1 for k in range(9)], dtype=np.uint64)
 MULTIPLIERS = _rng.integers(1, 1 << 63, 64, dtype=np.uint64) * U(2) + U(1)
 _powers: dict[str, np.ndarray] = {}
 
@@ -78,15 +82,27 @@ def word_spans(texts, lower: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray,
     return data, starts, stops, np.searchsorted(starts, offsets)
 
 
+def _chained(data: np.ndarray, starts: np.ndarray, stops: np.ndarray) -> np.ndarray:
+    sizes = stops - starts
+    out = mix(sizes.astype(np.uint64) * MULTIPLIERS[20] + MULTIPLIERS[21])
+    padded = np.concatenate((data, np.zeros(8, np.uint8)))
+    eight = np.ndarray((len(data) + 1,), dtype=np.uint64, buffer=padded.data, strides=(1,))  # the eight bytes from each place on
+    live = np.flatnonzero(sizes <= CHAIN_BYTES)
+    done = 0
+    while len(live):
+        chunk = eight[starts[live] + done] & _BYTES_OF[np.minimum(sizes[live] - done, 8)]
+        out[live] = mix(out[live] ^ chunk)
+        done += 8
+        live = live[sizes[live] > done]
+    for k in np.flatnonzero(sizes > CHAIN_BYTES).tolist():
+        out[k] = int.from_bytes(hashlib.blake2b(data[starts[k] : stops[k]].tobytes(), digest_size=8).digest(), "little")
+    return out
+
+
 def word_hashes(texts, lower: bool) -> tuple[np.ndarray, np.ndarray]:
     """(hash of each word, bounds of each text's words)."""
     data, starts, stops, bounds = word_spans(texts, lower)
-    if not len(starts):
-        return np.empty(0, np.uint64), bounds
-    up, down = _power_table(len(data) + 1)
-    sums = np.zeros(len(data) + 1, dtype=np.uint64)
-    np.cumsum(_BYTE[data] * up[: len(data)], dtype=np.uint64, out=sums[1:])
-    return mix((sums[stops] - sums[starts]) * down[starts] + (stops - starts).astype(np.uint64)), bounds
+    return (_chained(data, starts, stops) if len(starts) else np.empty(0, np.uint64)), bounds
 
 
 def spans_of(words: np.ndarray, width: int) -> np.ndarray:
@@ -99,6 +115,7 @@ def spans_of(words: np.ndarray, width: int) -> np.ndarray:
         for k in range(width):
             total += words[k : k + n] * MULTIPLIERS[k]
         return mix(total)
+    # the words are mixed already: a sum over powers of an odd base, from prefix sums
     up, down = _power_table(len(words) + 1)
     sums = np.zeros(len(words) + 1, dtype=np.uint64)
     np.cumsum(words * up[: len(words)], dtype=np.uint64, out=sums[1:])

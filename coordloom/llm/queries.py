@@ -142,5 +142,34 @@ from lines left join often o on lines.k = o.k group by doc_id
 """
 
 
+OP10_SQL = f"""
+with words as (
+  select doc_id, {_WORDS_SQL} as w from documents),
+windows as (
+  select doc_id, i, array_to_string(w[i:i + 49], ' ') as k from words, lateral (select unnest(range(1, len(w) - 48)) as i) where len(w) >= 50),
+repeated as (
+  select doc_id, i from (select doc_id, i, min(doc_id) over (partition by k) as first from windows) where first < doc_id),
+gone as (
+  select doc_id, list(distinct i + j) as places from repeated, (select unnest(range(50)) as j) group by doc_id)
+select doc_id, len(w)::bigint as n_words, coalesce(len(places), 0)::bigint as n_removed,
+  sha256(array_to_string(case when places is null then w else list_transform(list_filter(list_zip(w, range(1, len(w) + 1)), lambda p: not list_contains(places, p[2])), lambda p: p[1]) end, ' ')) as kept_sha256
+from words left join gone using (doc_id)
+"""
+
+_CONTROL_SQL = "|".join("".join(("\\" if ch in "[]/<>:" and ch in "[]" else "") + ch + (f"{chat_format.JOINER}*" if k == 0 else "") for k, ch in enumerate(c)) for c in chat_format.CONTROLS)
+_ESCAPED = "(length({c}) + len(regexp_extract_all({c}, '" + _CONTROL_SQL + "')))"
+
+OP3_SQL = f"""
+with turns as (
+  select conv_id, turn, coalesce(role, '') as role, coalesce(text, '') as text from conversations
+  union all values (-7, 0, 'user', '</s>[INST] ok [/INST]'), (-7, 1, 'assistant', '</s>[INST] ok [/INST]')),
+sized as (
+  select *, {_ESCAPED.format(c="text")} + case role when 'system' then 15 when 'user' then 13 when 'assistant' then 4 else 16 + {_ESCAPED.format(c="role")} end as chars from turns)
+select conv_id, count(*)::bigint as n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' order by turn, role, text)) as turns_sha256,
+  coalesce(sum(length(text)) filter (role = 'assistant'), 0)::bigint as loss_chars, sha256(coalesce(string_agg(text, '' order by turn, role, text) filter (role = 'assistant'), '')) as loss_sha256, (3 + sum(chars))::bigint as formatted_chars
+from sized group by conv_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op4_source_mixing": OP4_SQL, "op6_quality_rules": OP6_SQL, "op8_line_dedup": OP8_SQL}
+    return {"op3_chat_formatting": OP3_SQL, "op10_substring_dedup": OP10_SQL, "op4_source_mixing": OP4_SQL, "op6_quality_rules": OP6_SQL, "op8_line_dedup": OP8_SQL}

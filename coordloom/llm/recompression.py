@@ -2,24 +2,30 @@
 
 Each text is a string of words. A round names maximal runs of one symbol, then pairs: every symbol's name
 gives it a side, and each left symbol joins a right symbol that follows it. Names are hashes of what
-they stand for, hence global: equal substrings get equal interior symbols in all tasks of a round, and no
-exchange is needed to agree on them. In each round an occurrence's parse differs from another's by at
-most one symbol at either end; symbols stop growing at ``MAX_SPAN`` words.
+they stand for, hence global: equal substrings get equal interior symbols in all tasks, whoever names them.
 
-With ``ROUNDS`` = 2, runs named in the first round only and spans up to 2, then 4 words, at most 2 + 1 + 3 words are
+The lowest levels (``ROUNDS`` = 2 rounds, symbols of up to ``MAX_SPAN`` words, runs in the first) need nothing but the text itself and are
+made where the text lies. With runs named in the first round only and spans up to 2, then 4 words, at most 2 + 1 + 3 words are
 lost at each end, so that two equal windows of 50 words share an interior of 38 words or more: 10 whole symbols at
-least, which hold 7 groups of 4 symbols in a row. Such a group is a high-level symbol; of each ``NEIGHBOURS`` = 7 groups in a row
-the one with the smallest name is an *anchor*: equal windows always share one, with all its words. Anchors that
-stand in two texts reveal the candidates, and only windows around them are hashed, exchanged and verified. The top of
-the hierarchy, the name of a whole text, settles exact copies without looking inside. Runs that would stand for
-more words than the limit stay as they are, in every occurrence.
+least, which hold 7 groups of 4 symbols in a row. Such a group is a symbol of the third level; of each ``NEIGHBOURS`` = 7 of them in a row
+the one with the smallest name is an *anchor*: equal windows always share one, with all its words. From there on a level is a Spark round:
 
-Both exchanges settle what they can within a slice of texts first, so that a passage in a third of all texts
-is sent once per slice and not once per text.
+1. *Groups.* Anchors are brought together by name. One that stands in a single text is no part of a repeat and goes no further.
+2. *Windows.* Around what is left, the runs of 50 words are named and brought together; each one that a text with a smaller id has
+   too gets that text's place as its witness.
+3. *Passages.* Neighbouring windows whose witnesses are neighbours are one symbol, a maximal repeat. Its words are compared with those at its
+   witness, by a 128-bit digest of the words themselves, once for each passage and not for each of its places. A passage whose
+   words differ (a collision of names below) is not removed.
+
+The name of a whole text, the top of the hierarchy, settles exact copies without looking inside; it is a 128-bit digest of the words too.
+
+Both exchanges of names settle what they can within a task's texts first, so that a passage in a third of all texts is
+sent once per task and not once per text; what arrives is sorted by Spark and streamed, so no task holds a partition.
 
 Defined cases: null or empty text: no words, nothing removed, empty kept text; repeated rows (same id):
 a smaller id is asked for, so they don't remove each other; null ids sort before all others; an empty table
-gives an empty result; other columns aren't read.
+gives an empty result; other columns aren't read, whatever their names. Two different passages of one 64-bit name (a chance of
+about n * n / 2**65 for n windows that were named) stay unless one has another witness.
 """
 
 from __future__ import annotations
@@ -104,6 +110,8 @@ def anchors(names: np.ndarray, start: np.ndarray, span: np.ndarray, owner: np.nd
 
 
 NULL_ID = -(1 << 62)
+#: Names that a task remembers to have sent; more than that and the oldest are forgotten.
+MEMORY = 1 << 18
 
 
 def _slices(batches: Iterator):
@@ -120,20 +128,39 @@ def _slices(batches: Iterator):
             yield part, np.asarray(part.column(0).cast(pa.int64()).fill_null(NULL_ID)), words, bounds, ends
 
 
-def _top(words: np.ndarray) -> tuple[int, int]:
-    digest = hashlib.blake2b(words.tobytes(), digest_size=16).digest()
+def _digest(words: list[bytes]) -> bytes:
+    return hashlib.blake2b(b" ".join(words), digest_size=16).digest()
+
+
+def _top(words: list[bytes]) -> tuple[int, int]:
+    digest = _digest(words)
     return int.from_bytes(digest[:8], "big", signed=True), int.from_bytes(digest[8:], "big", signed=True)
 
 
+def _tag(words: list[bytes]) -> int:
+    """31 bits of a text's name: tells rows with the same id apart."""
+    return _top(words)[0] & 0x7FFFFFFF
+
+
+def _texts(column) -> Iterator[bytes]:
+    import pyarrow as pa
+
+    for text in column.cast(pa.large_binary()):
+        yield text.as_py() or b""
+
+
 def text_names(docs: DataFrame) -> DataFrame:
-    """(doc_id, n, t1, t2): the number of words and the name of the whole text, the last symbol of its recompression."""
+    """(id, n, t1, t2): the number of words and the name of the whole text, the last symbol of its recompression."""
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
-        for _, ids, words, bounds, _ in _slices(batches):
-            tops = [_top(words[a:b]) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array(np.diff(bounds).astype(np.int64)), *(pa.array([t[k] for t in tops], pa.int64()) for k in (0, 1))], names=["id", "n", "t1", "t2"])
+        from coordloom.llm import hashing
+
+        for batch in batches:
+            for part in hashing.slices(batch):
+                rows = [(len(w), *_top(w)) for w in (t.split() for t in _texts(part.column(1)))]
+                yield pa.RecordBatch.from_arrays([part.column(0).cast(pa.int64()).fill_null(NULL_ID), *(pa.array([r[k] for r in rows], pa.int64()) for k in range(3))], names=["id", "n", "t1", "t2"])
 
     return docs.mapInArrow(run, "id long, n long, t1 long, t2 long")
 
@@ -151,11 +178,12 @@ SPAN_BITS = 64
 
 
 def anchor_hits(docs: DataFrame, window: int = WINDOW) -> DataFrame:
-    """(id, hit) of the anchors that stand in two texts or more."""
+    """The first Spark round: (id, hit) of the anchors that stand in two texts or more."""
 
     def emit(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
+        told = np.empty(0, np.int64)  # names that this task knows to be shared and has told so
         for _, ids, words, bounds, ends in _slices(batches):
             symbols, start, span = parse(words, ends)
             name, who, first_word, length = anchors(symbols, start, span, np.searchsorted(bounds, start, side="right") - 1)
@@ -169,35 +197,44 @@ def anchor_hits(docs: DataFrame, window: int = WINDOW) -> DataFrame:
             first = np.flatnonzero(head)
             last = np.append(first[1:], len(name)) - 1
             many = (who[first] != who[last])[np.cumsum(head) - 1]
-            # met in two texts of this slice: settled, and one row tells the others; all else goes on as it is
-            signal = np.flatnonzero(many & head)
-            yield pa.RecordBatch.from_arrays([pa.array(name, mask=many), pa.array(ids[who]), pa.array(hit)], names=["name", "id", "hit"])
+            known = np.isin(name, told)
+            # met in two texts of this task: settled, and one row tells the others; all else goes on as it is
+            signal = np.flatnonzero(many & head & ~known)
+            settled = many | known
+            yield pa.RecordBatch.from_arrays([pa.array(name, mask=settled), pa.array(ids[who]), pa.array(hit)], names=["name", "id", "hit"])
             yield pa.RecordBatch.from_arrays([pa.array(name[signal]), pa.nulls(len(signal), pa.int64()), pa.nulls(len(signal), pa.int64())], names=["name", "id", "hit"])
+            told = np.concatenate((name[signal], told))[:MEMORY]
 
     def settle(batches: Iterator) -> Iterator:
+        """Rows come sorted by name and id, those of settled names first. Of a name at most one text's rows are held back."""
         import pyarrow as pa
 
-        parts = []
+        def out(owner: np.ndarray, hit: np.ndarray):
+            return pa.RecordBatch.from_arrays([pa.array(owner), pa.array(hit)], names=["id", "hit"])
+
+        held = [np.empty(0, np.int64)] * 3
         for batch in batches:
             done = np.asarray(batch.column(0).is_null())
             if done.any():
                 part = batch.filter(pa.array(done))
-                yield pa.RecordBatch.from_arrays([part.column(1), part.column(2)], names=["id", "hit"])
-            part = batch.filter(pa.array(~done))
-            if part.num_rows:
-                parts.append((np.asarray(part.column(0)), np.asarray(part.column(1).fill_null(NULL_ID - 1)), np.asarray(part.column(2).fill_null(0))))
-        if parts:
-            name, owner, hit = (np.concatenate(c) for c in zip(*parts, strict=True))
-            order = np.lexsort((owner, name))
-            name, owner, hit = name[order], owner[order], hit[order]
+                yield out(part.column(1), part.column(2))
+                batch = batch.filter(pa.array(~done))
+            if not batch.num_rows:
+                continue
+            fresh = (np.asarray(batch.column(0)), np.asarray(batch.column(1).fill_null(NULL_ID - 1)), np.asarray(batch.column(2).fill_null(0)))
+            name, owner, hit = (np.concatenate(c) for c in zip(held, fresh, strict=True))
             head = _heads(name)
             first = np.flatnonzero(head)
             last = np.append(first[1:], len(name)) - 1
-            met = (owner[first] != owner[last])[np.cumsum(head) - 1] & (owner != NULL_ID - 1)
-            yield pa.RecordBatch.from_arrays([pa.array(owner[met]), pa.array(hit[met])], names=["id", "hit"])
+            several = owner[first] != owner[last]
+            met = several[np.cumsum(head) - 1] & (owner != NULL_ID - 1)
+            if met.any():
+                yield out(owner[met], hit[met])
+            # the last name may go on: one row that marks it as shared, or its rows so far
+            held = [name[-1:], np.array([NULL_ID - 1]), np.zeros(1, np.int64)] if several[-1] else [c[first[-1] :] for c in (name, owner, hit)]
 
     rows = docs.mapInArrow(emit, "name long, id long, hit long")
-    return rows.repartition(F.coalesce("name", "id")).mapInArrow(settle, "id long, hit long")
+    return rows.repartition(F.coalesce("name", "id")).sortWithinPartitions("name", "id").mapInArrow(settle, "id long, hit long")
 
 
 def _starts_near(hits: np.ndarray, n: int, window: int) -> np.ndarray:
@@ -211,27 +248,27 @@ def _starts_near(hits: np.ndarray, n: int, window: int) -> np.ndarray:
     return np.flatnonzero(np.cumsum(marks[: max(0, n - window + 1)]) > 0)
 
 
-def _tag(words: np.ndarray) -> int:
-    """31 bits of a text's name: tells rows with the same id apart."""
-    return _top(words)[0] & 0x7FFFFFFF
+WITNESSED = "id long, tag int, start int, w_id long, w_tag int, w_start int"
 
 
 def repeated_windows(texts: DataFrame, window: int = WINDOW) -> DataFrame:
-    """(id, tag, start): windows near hits that a text with a smaller id has too. ``texts``: (doc_id, text, id, hits, copies)."""
+    """The second Spark round: windows near hits that a text with a smaller id has too, with that text and place. ``texts``: (doc_id, text, id, hits, copies)."""
+    names = [c.split()[0] for c in WITNESSED.split(", ")]
 
     def emit(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
         from coordloom.llm import hashing
 
+        memory = [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.int32), np.empty(0, np.int32)]  # name, smallest id sent, tag, start; sorted
         for batch in batches:
             for part in hashing.slices(batch):
                 words, bounds = hashing.word_hashes(part.column(1), lower=False)
                 ids, tags, spans = np.asarray(part.column(2)), np.zeros(part.num_rows, dtype=np.int32), hashing.spans_of(words, window)
                 starts, who = [], []
-                for k, (hits, copies) in enumerate(zip(part.column(3), part.column(4), strict=True)):
+                for k, (text, hits, copies) in enumerate(zip(_texts(part.column(1)), part.column(3), part.column(4), strict=True)):
                     lo, n = bounds[k], bounds[k + 1] - bounds[k]
-                    tags[k] = _tag(words[lo : lo + n])
+                    tags[k] = _tag(text.split())
                     if tags[k] in (copies.as_py() or ()):
                         continue  # an exact copy of a text with a smaller id has nothing that one doesn't
                     near = _starts_near(np.asarray(hits.values.to_numpy(), dtype=np.int64), n, window)
@@ -242,77 +279,150 @@ def repeated_windows(texts: DataFrame, window: int = WINDOW) -> DataFrame:
                     continue
                 who = np.concatenate(who)
                 name, owner, place = spans[at].view(np.int64), ids[who], (at - bounds[who]).astype(np.int32)
-                order = np.lexsort((owner, name))
+                order = np.lexsort((place, owner, name))
                 name, owner, place, tag = name[order], owner[order], place[order], tags[who][order]
                 head = _heads(name)
-                met = owner > owner[np.flatnonzero(head)][np.cumsum(head) - 1]
-                yield pa.RecordBatch.from_arrays([pa.array(name, mask=met), pa.array(owner), pa.array(tag), pa.array(place)], names=["name", "id", "tag", "start"])
+                first = np.flatnonzero(head)
+                group = np.cumsum(head) - 1
+                w_owner, w_tag, w_place = owner[first][group], tag[first][group], place[first][group]
+                at = np.minimum(np.searchsorted(memory[0], name), max(0, len(memory[0]) - 1))
+                if len(memory[0]):  # this task has sent the name with a smaller id
+                    known = (memory[0][at] == name) & (memory[1][at] < w_owner)
+                    w_owner, w_tag, w_place = (np.where(known, m[at], w) for m, w in zip(memory[1:], (w_owner, w_tag, w_place), strict=True))
+                met = owner > w_owner
+                witness = [pa.array(c, t, mask=~met) for c, t in ((w_owner, pa.int64()), (w_tag, pa.int32()), (w_place, pa.int32()))]
+                yield pa.RecordBatch.from_arrays([pa.array(name, mask=met), pa.array(owner), pa.array(tag), pa.array(place), *witness], names=["name", *names])
+                several = np.flatnonzero(np.bincount(group[met], minlength=len(first)) > 0)  # names met in two texts: likely to come again
+                pick = first[several]
+                pool = [np.concatenate((a, b)) for a, b in zip((name[pick], w_owner[pick], w_tag[pick], w_place[pick]), memory, strict=True)]
+                order = np.lexsort((pool[1], pool[0]))
+                pool = [c[order] for c in pool]
+                keep = _heads(pool[0])
+                memory = [c[keep] for c in pool] if keep.sum() <= MEMORY else [c[np.argsort(name[pick], kind="stable")] for c in (name[pick], w_owner[pick], w_tag[pick], w_place[pick])]
 
     def settle(batches: Iterator) -> Iterator:
+        """Rows come sorted by name, id and start, settled ones first; of a name only its first row is held."""
         import pyarrow as pa
 
-        parts = []
+        held = None
         for batch in batches:
             done = np.asarray(batch.column(0).is_null())
             if done.any():
                 part = batch.filter(pa.array(done))
-                yield pa.RecordBatch.from_arrays(part.columns[1:], names=["id", "tag", "start"])
-            part = batch.filter(pa.array(~done))
-            if part.num_rows:
-                parts.append([np.asarray(c) for c in part.columns])
-        if parts:
-            name, owner, tag, place = (np.concatenate(c) for c in zip(*parts, strict=True))
-            order = np.lexsort((owner, name))
-            name, owner, tag, place = name[order], owner[order], tag[order], place[order]
+                yield pa.RecordBatch.from_arrays(part.columns[1:], names=names)
+                batch = batch.filter(pa.array(~done))
+            if not batch.num_rows:
+                continue
+            name, owner, tag, place = (np.asarray(c) for c in batch.columns[:4])
+            if held is not None:
+                name, owner, tag, place = (np.concatenate((h, c)) for h, c in zip(held, (name, owner, tag, place), strict=True))
             head = _heads(name)
-            met = owner > owner[np.flatnonzero(head)][np.cumsum(head) - 1]
-            yield pa.RecordBatch.from_arrays([pa.array(owner[met]), pa.array(tag[met]), pa.array(place[met])], names=["id", "tag", "start"])
+            first = np.flatnonzero(head)
+            group = np.cumsum(head) - 1
+            met = owner > owner[first][group]
+            if met.any():
+                w = first[group[met]]
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in (owner[met], tag[met], place[met], owner[w], tag[w], place[w])], names=names)
+            held = [c[first[-1] : first[-1] + 1] for c in (name, owner, tag, place)]
+
+    rows = texts.mapInArrow(emit, f"name long, {WITNESSED}")
+    return rows.repartition(F.coalesce("name", "id")).sortWithinPartitions("name", "id", "start").mapInArrow(settle, WITNESSED)
+
 
-    rows = texts.mapInArrow(emit, "name long, id long, tag int, start int")
-    return rows.repartition(F.coalesce("name", "id")).mapInArrow(settle, "id long, tag int, start int")
+def _passages(starts: list[dict], tag: int) -> list[tuple[int, int, int, int, int]]:
+    """(start, windows, w_id, w_tag, w_start): windows in a row whose witnesses are in a row, as one symbol."""
+    out: list[list[int]] = []
+    for s in sorted((s for s in starts if s["tag"] == tag), key=lambda s: s["start"]):
+        if out and s["start"] == out[-1][0] + out[-1][1] and (s["w_id"], s["w_tag"], s["w_start"]) == (out[-1][2], out[-1][3], out[-1][4] + out[-1][1]):
+            out[-1][1] += 1
+        elif not (out and s["start"] < out[-1][0] + out[-1][1]):
+            out.append([s["start"], 1, s["w_id"], s["w_tag"], s["w_start"]])
+    return [tuple(p) for p in out]
+
+
+CLAIM = "w_id long, w_tag int, w_start int, size int, words binary"
+
+
+def _claims(texts: DataFrame, window: int) -> DataFrame:
+    """(w_id, w_tag, w_start, size, words): what each passage says its witness holds, as a digest of its words; once for each different claim."""
+
+    def run(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+
+        for batch in batches:
+            rows = set()
+            for text, starts in zip(_texts(batch.column(0)), batch.column(1), strict=True):
+                words = text.split()
+                rows |= {(w, t, at, n, _digest(words[lo : lo + n + window - 1])) for lo, n, w, t, at in _passages(starts.as_py(), _tag(words))}
+            rows = sorted(rows)
+            kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)], names=[c.split()[0] for c in CLAIM.split(", ")])
+
+    return texts.select("text", "starts").mapInArrow(run, CLAIM).distinct()
+
+
+def _refuted(claims: DataFrame, texts: DataFrame, window: int) -> DataFrame:
+    """The claims that the witness's words don't bear out. ``texts``: (id, text)."""
+
+    def run(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+
+        for batch in batches:
+            bad = []
+            for text, claims in zip(_texts(batch.column(0)), batch.column(1), strict=True):
+                words = text.split()
+                tag = _tag(words)
+                bad += [c for c in claims.as_py() if c["w_tag"] == tag and _digest(words[c["w_start"] : c["w_start"] + c["size"] + window - 1]) != c["words"]]
+            columns = [c.split()[0] for c in CLAIM.split(", ")]
+            kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array([c[k] for c in bad], t) for k, t in zip(columns, kinds, strict=True)], names=columns)
+
+    by_text = claims.groupBy("w_id").agg(F.collect_list(F.struct("w_id", "w_tag", "w_start", "size", "words")).alias("claims"))
+    asked = texts.join(by_text.hint("merge"), texts["id"] == by_text["w_id"]).select("text", "claims")
+    return asked.mapInArrow(run, CLAIM)
 
 
 RESULT = "doc_id long, n_words long, n_removed long, kept string"
 
 
-def _kept(rows: DataFrame, window: int) -> DataFrame:
-    """From (doc_id, text, copies, starts): the words outside the windows at ``starts``; none of an exact copy."""
+def _kept(rows: DataFrame, window: int, refuted: set[tuple]) -> DataFrame:
+    """From (doc_id, text, copies, starts): the words outside the passages that were borne out; none of an exact copy."""
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
         from coordloom.llm import hashing
 
-        def one(text: bytes, hashes: np.ndarray, copies: list | None, starts: list | None) -> tuple[int, int, str]:
+        def one(text: bytes, copies: list | None, starts: list | None) -> tuple[int, int, str]:
             words = text.split()
             n = len(words)
-            tag = _tag(hashes) if copies or starts else 0
+            tag = _tag(words) if copies or starts else 0
             if n >= window and tag in (copies or ()):
                 return n, n, ""
-            own = [s["start"] for s in starts or () if s["tag"] == tag]
-            if not own:
-                return n, 0, b" ".join(words).decode()
             marks = np.zeros(n + 1, dtype=np.int64)
-            np.add.at(marks, own, 1)
-            np.add.at(marks, np.minimum(n, np.asarray(own) + window), -1)
+            for lo, size, w, t, at in _passages(starts or [], tag):
+                if lo + size + window - 1 <= n and not (refuted and (w, t, at, size, _digest(words[lo : lo + size + window - 1])) in refuted):
+                    marks[lo] += 1
+                    marks[lo + size + window - 1] -= 1
+            if not marks.any():
+                return n, 0, b" ".join(words).decode()
             gone = (np.cumsum(marks[:-1]) > 0).tolist()
             return n, sum(gone), b" ".join(w for w, g in zip(words, gone, strict=True) if not g).decode()
 
         for batch in batches:
             for part in hashing.slices(batch):
-                hashes, bounds = hashing.word_hashes(part.column(1), lower=False)
-                texts = part.column(1).cast(pa.large_binary())
-                out = [one(t.as_py() or b"", hashes[a:b], c.as_py(), s.as_py()) for t, a, b, c, s in zip(texts, bounds[:-1], bounds[1:], part.column(2), part.column(3), strict=True)]
+                out = [one(t, c.as_py(), s.as_py()) for t, c, s in zip(_texts(part.column(1)), part.column(2), part.column(3), strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array([o[k] for o in out], t) for k, t in enumerate((pa.int64(), pa.int64(), pa.string())))], names=["doc_id", "n_words", "n_removed", "kept"])
 
     return rows.mapInArrow(run, RESULT)
 
 
-def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", window: int = WINDOW) -> DataFrame:
-    """(doc_id, n_words, n_removed, kept) per row.
+#: Refuted claims that the driver may carry; so many collisions mean that the names are broken.
+MAX_REFUTED = 100_000
 
-    The texts are exchanged by id once; both uses of that exchange are in one plan, where Spark reuses it.
-    """
+
+def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", window: int = WINDOW) -> DataFrame:
+    """(doc_id, n_words, n_removed, kept) per row."""
     if window < WINDOW:
         raise ValueError("the anchors are proven for windows of 50 words or more")
     rows = docs.select(F.col(f"`{doc_id}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text"))
@@ -323,6 +433,12 @@ def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     notes = materialise(hits.join(copies, "id", "full"), "notes")
     keyed = rows.withColumn("id", F.coalesce("doc_id", F.lit(NULL_ID)))
     noted = keyed.join(notes.hint("merge"), "id", "left").select("doc_id", "text", "id", "hits", "copies")
-    starts = repeated_windows(noted.filter("hits is not null"), window).groupBy("id").agg(F.collect_set(F.struct("tag", "start")).alias("starts"))
-    final = noted.join(starts.hint("merge"), "id", "left").select("doc_id", "text", "copies", "starts")
-    return _kept(final, window)
+    found = repeated_windows(noted.filter("hits is not null"), window)
+    starts = materialise(found.groupBy("id").agg(F.collect_list(F.struct("tag", "start", "w_id", "w_tag", "w_start")).alias("starts")), "windows")
+    claims = _claims(keyed.join(starts.hint("merge"), "id").select("text", "starts"), window)
+    bad = _refuted(claims, keyed.select("id", "text"), window).limit(MAX_REFUTED + 1).collect()
+    if len(bad) > MAX_REFUTED:
+        raise ValueError("too many names stand for different words")
+    refuted = {(r["w_id"], r["w_tag"], r["w_start"], r["size"], bytes(r["words"])) for r in bad}
+    final = keyed.join(notes.select("id", "copies").hint("merge"), "id", "left").join(starts.hint("merge"), "id", "left").select("doc_id", "text", "copies", "starts")
+    return _kept(final, window, refuted)

@@ -143,6 +143,51 @@ def test_recompression(spark, texts):
     assert got == repeats_brute(dict(enumerate(texts)))
 
 
+def _thue_morse(n, a, b):
+    x, y = a, b
+    for _ in range(n):
+        x, y = x + y, y + x
+    return x, y
+
+
+def test_words_that_cancel_out_in_polynomials_are_told_apart(spark):
+    """Two different words of 1,024 letters before the same 49 words: no window repeats, nothing goes."""
+    x, y = _thue_morse(9, "ab", "ba")
+    tail = " ".join(f"w{k}" for k in range(49))
+    rows = recompression.remove_repeats(docs_of(spark, [f"{x} {tail}", f"{y} {tail}"])).collect()
+    assert [r["n_removed"] for r in rows] == [0, 0]
+    assert len({int(h) for h in hashing.word_hashes(__import__("pyarrow").array([f"{x} {y} {x * 3} {y * 3}"]), False)[0]}) == 4
+
+
+def test_words_are_compared_before_anything_goes(spark):
+    """A claim that a witness's words don't bear out is found, and its passage stays."""
+    a, b = ([f"{x}{k}".encode() for k in range(60)] for x in "ab")
+    text = lambda w: b" ".join(w).decode()
+    known = spark.createDataFrame([(0, text(a))], "id long, text string")
+    claim = lambda words: (0, recompression._tag(a), 0, 2, recompression._digest(words[:51]))
+    bad = [tuple(r) for r in recompression._refuted(spark.createDataFrame([claim(a), claim(b)], recompression.CLAIM), known, 50).collect()]
+    assert [(*r[:4], bytes(r[4])) for r in bad] == [claim(b)]
+    starts = [(recompression._tag(b), k, 0, recompression._tag(a), k) for k in range(2)]
+    rows = spark.createDataFrame([(7, text(b), None, starts)], "doc_id long, text string, copies array<int>, starts array<struct<tag:int,start:int,w_id:long,w_tag:int,w_start:int>>")
+    assert recompression._kept(rows, 50, set()).first()["n_removed"] == 51
+    assert recompression._kept(rows, 50, {claim(b)}).first()["n_removed"] == 0
+
+
+def test_passages_join_neighbouring_windows():
+    row = lambda start, w, at: {"tag": 1, "start": start, "w_id": w, "w_tag": 5, "w_start": at}
+    assert recompression._passages([row(3, 0, 10), row(2, 0, 9), row(4, 1, 11), row(9, 0, 16), {**row(5, 1, 12), "tag": 2}], 1) == [(2, 2, 0, 5, 9), (4, 1, 1, 5, 11), (9, 1, 0, 5, 16)]
+
+
+def test_recompression_ids(spark):
+    """Null and repeated ids, clashing columns."""
+    p = " ".join(f"p{k}" for k in range(60))
+    q = " ".join(f"q{k}" for k in range(60))
+    docs = docs_of(spark, [(None, f"{p} a", "s"), (None, f"b {p}", "s"), (4, f"c {p}", "s"), (4, q, "s"), (4, f"{q} d", "s"), (5, f"e {q}", "s")])
+    docs = docs.withColumn("id", F.lit("x")).withColumn("hits", F.lit(1)).withColumn("starts", F.lit(2)).withColumn("n", F.lit(3)).withColumn("kept", F.lit(4))
+    got = sorted((r["n_removed"], r["kept"].split(" ")[0]) for r in recompression.remove_repeats(docs).collect())
+    assert got == [(0, "b"), (0, "p0"), (0, "q0"), (0, "q0"), (60, "c"), (60, "e")]
+
+
 def test_equal_windows_share_an_anchor():
     rng = np.random.default_rng(3)
     for trial in range(300):
