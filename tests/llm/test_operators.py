@@ -122,6 +122,48 @@ def test_jaccard_join_large_near_group(spark):
     assert got == jaccard_brute(dict(enumerate(texts)))
 
 
+def test_pairs_need_their_matches_before_sets_are_compared(spark, monkeypatch):
+    """Counting is exact in any slicing of the tokens, and pairs under min(l, l') are never compared; with the counts broken links are lost."""
+    rng = np.random.default_rng(4)
+    prefixes = [np.unique(rng.integers(0, 60, rng.integers(0, 40))) for _ in range(30)]
+    want = np.array([[len(np.intersect1d(a, b)) for b in prefixes[10:]] for a in prefixes[:10]])
+    for columns in (7, 1 << 14):
+        monkeypatch.setattr(jaccard_join, "COLUMNS", columns)
+        assert np.array_equal(jaccard_join.shared_prefix_tokens(prefixes, np.arange(10), np.arange(10, 30)), want)
+    number = (0, False, 0)
+    row = lambda node, tokens, matches, prefix: (1, number, number, 0, False, node, len(tokens), tokens, matches, prefix)
+    schema = "pivot long, i struct<band:int,linked:boolean,part:long>, j struct<band:int,linked:boolean,part:long>, side int, linked boolean, node long, n long, tokens array<long>, matches int, prefix array<long>"
+    same = list(range(20))
+    found = lambda rows: [tuple(r) for r in jaccard_join.block_links(spark.createDataFrame(rows, schema)).collect()]
+    assert found([row(1, same, 2, [1, 2]), row(2, same, 3, [1, 2, 3])]) == [(1, 2)]
+    assert found([row(1, same, 2, [1, 5]), row(2, same, 3, [1, 2, 3])]) == []
+
+
+def test_jaccard_join_blocks_bound_tokens(spark, texts, monkeypatch):
+    """Blocks so small that every group is cut: the result is the same."""
+    monkeypatch.setattr(jaccard_join, "BLOCK", 3)
+    monkeypatch.setattr(jaccard_join, "BLOCK_TOKENS", 500)
+    got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.jaccard_components(docs_of(spark, texts)).collect()}
+    assert got == jaccard_brute(dict(enumerate(texts)))
+
+
+def test_jaccard_join_hot_classes(spark, texts, monkeypatch):
+    monkeypatch.setattr(jaccard_join, "HOT_ROWS", 2)
+    many = [*texts, *[texts[3]] * 9, *[""] * 5]
+    for limit in (10, 0):
+        monkeypatch.setattr(jaccard_join, "HOT_CLASSES", limit)
+        docs = docs_of(spark, many).withColumn("n", F.lit(1)).withColumn("label", F.lit("x")).withColumn("token", F.lit(2))
+        got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in jaccard_join.jaccard_components(docs).collect()}
+        assert got == jaccard_brute(dict(enumerate(many)))
+
+
+def test_jaccard_join_null_ids_and_long_texts(spark):
+    long = " ".join(f"l{k % 70000}" for k in range(120_000))
+    near = long[:-6] + " end"
+    rows = jaccard_join.jaccard_components(docs_of(spark, [(None, long, "s"), (7, near, "s"), (None, "", "s"), (9, None, "s")])).collect()
+    assert sorted(((r["doc_id"], r["component_id"]) for r in rows), key=str) == [(7, 7), (9, 9), (None, 7), (None, None)]
+
+
 def test_jaccard_join_repeated_ids(spark):
     a, b = " ".join(f"a{k}" for k in range(30)), " ".join(f"b{k}" for k in range(30))
     rows = jaccard_join.jaccard_components(docs_of(spark, [(1, a, "s"), (1, b, "s"), (2, a, "s"), (3, b, "s"), (4, "", "s")])).collect()
