@@ -6,12 +6,14 @@ A binary tree over the output shards splits the vector of block quotas: at each
 draws its share without replacement, so that every source's blocks are used up exactly at the leaves.
 A shard takes the next blocks of each source's permuted sequence (disjoint ranges) and shuffles them locally.
 
-The plan (one row per source, and sources times shards counts) is made on the driver; blocks never
-leave the executors. Ranks come from two levels of 4096 hash buckets, so that no window holds a whole source.
+What a document gives to the mix is the sum of the draws of all shards; a block that no shard draws isn't taken. The plan (one
+row per source, up to ``MAX_SOURCES``, and sources times shards counts) is made on the driver; blocks never
+leave the executors. Ranks come from two levels of 4096 hash buckets, so that no window holds a whole source. The number of shards
+follows from the words (``SHARD_WORDS`` each, ``N_SHARDS`` at least).
 
 Defined cases: null text has size 0 and is never taken; a null source is one source, last in order;
-rows that repeat an id are numbered and mixed one by one; an empty table gives empty results; other
-columns pass through ``mix_documents``.
+rows that repeat an id (null ids among them) are numbered by source, size and text and mixed one by one; equal rows are interchangeable;
+an empty table gives empty results; other columns aren't read, whatever their names.
 """
 
 from __future__ import annotations
@@ -28,6 +30,11 @@ from coordloom.llm.common import SPACE_RUN, SPACE, materialise, text_or_empty
 
 BLOCK_WORDS = 256
 N_SHARDS = 64
+SHARD_WORDS = 200_000_000
+#: Sources that the driver plans for; a table with more has to be grouped into fewer first.
+MAX_SOURCES = 1_000_000
+#: Cells of the plan's tables that are broadcast; larger ones are joined.
+BROADCAST_ROWS = 200_000
 MAX_REPEATS = 3
 SEED = 17
 LEVEL_BITS = 12
@@ -118,9 +125,12 @@ def plan_sources(rows: list, max_repeats: int = MAX_REPEATS, weights: dict | Non
 
 
 def sized(docs: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
-    """(doc_id, source, size, _row) per input row; ``_row`` numbers rows that share an id."""
+    """(doc_id, source, size, _row) per input row; ``_row`` numbers rows that share an id. Rows without an id are numbered in groups of equal text, apart by its hash."""
     flat = docs.select("doc_id", "source", n_words(text_or_empty("text")).alias("size"), F.xxhash64("text").alias("_h"), *keep)
-    return flat.withColumn("_row", F.row_number().over(Window.partitionBy("doc_id").orderBy("source", "size", "_h"))).drop("_h")
+    # a null id is spread by the text: its rows' numbers only have to differ, so they start from the hash
+    apart = F.when(F.col("doc_id").isNull(), F.col("_h"))
+    number = F.row_number().over(Window.partitionBy("doc_id", apart).orderBy("source", "size", "_h")).cast("string")
+    return flat.withColumn("_row", F.when(F.col("doc_id").isNull(), F.concat_ws("/", F.col("_h"), number)).otherwise(number)).drop("_h")
 
 
 def _key(seed: int) -> Column:
@@ -131,12 +141,15 @@ def _key(seed: int) -> Column:
 class Mix:
     """A planned mixture: ``sources`` (driver), ``counts`` (shards times sources) and ``draws`` (DataFrame)."""
 
-    def __init__(self, docs: DataFrame, n_shards: int = N_SHARDS, seed: int = SEED, block_words: int = BLOCK_WORDS, max_repeats: int = MAX_REPEATS, weights: dict | None = None):
-        self.sizes, self.n_shards, self.seed, self.block_words = materialise(sized(docs), "mix-sizes"), n_shards, seed, block_words
+    def __init__(self, docs: DataFrame, n_shards: int | None = None, seed: int = SEED, block_words: int = BLOCK_WORDS, max_repeats: int = MAX_REPEATS, weights: dict | None = None):
+        self.sizes, self.seed, self.block_words = materialise(sized(docs), "mix-sizes"), seed, block_words
         blocks = F.ceil(F.col("size") / block_words)
-        stats = self.sizes.groupBy("source").agg(F.sum("size").cast("long").alias("size"), F.sum(blocks).cast("long").alias("n_blocks")).collect()
+        stats = self.sizes.groupBy("source").agg(F.sum("size").cast("long").alias("size"), F.sum(blocks).cast("long").alias("n_blocks")).limit(MAX_SOURCES + 1).collect()
+        if len(stats) > MAX_SOURCES:
+            raise ValueError("too many sources for one plan; group them first")
         stats.sort(key=lambda r: (r["source"] is None, (r["source"] or "").encode()))
         self.sources = plan_sources([tuple(r) for r in stats], max_repeats, weights)
+        self.n_shards = n_shards or max(N_SHARDS, -(-sum(p.quota for p in self.sources) // SHARD_WORDS))
         self._rank_blocks()
 
     def plan_frame(self) -> DataFrame:
@@ -169,11 +182,11 @@ class Mix:
 
     def _with_plan(self) -> DataFrame:
         plan = self.plan_frame().withColumnRenamed("source", "_source")
-        return self.sizes.join(F.broadcast(plan), F.col("source").eqNullSafe(F.col("_source"))).drop("_source")
+        return self.sizes.join(F.broadcast(plan) if len(self.sources) <= BROADCAST_ROWS else plan, F.col("source").eqNullSafe(F.col("_source"))).drop("_source")
 
     def draws(self) -> DataFrame:
         """(doc_id, _row, pass, block, words, shard, rank): blocks dealt to shards by the tree, in their local shuffled order."""
-        used = {r["sid"]: r["n"] for r in self.ranked.groupBy("sid").agg(F.count("*").alias("n")).collect()}
+        used = {r["sid"]: r["n"] for r in self.ranked.groupBy("sid").agg(F.count("*").alias("n")).collect()}  # a row per source
         quotas = [used.get(k, 0) for k in range(len(self.sources))]
         self.counts = splitting_tree(quotas, self.n_shards, self.seed)
         bounds, at = [], [0] * len(quotas)
@@ -183,13 +196,20 @@ class Mix:
                     bounds.append((k, shard, at[k], at[k] + n))
                     at[k] += n
         spark = self.sizes.sparkSession
+        small = lambda df, n: F.broadcast(df) if n <= BROADCAST_ROWS else df
         ends = spark.createDataFrame(bounds, "sid int, shard int, lo long, hi long").groupBy("sid").agg(F.sort_array(F.collect_list(F.struct("hi", "shard"))).alias("ends"))
-        per_pass = F.broadcast(spark.createDataFrame([(k, p.n_blocks) for k, p in enumerate(self.sources)], "sid int, per_pass long"))
-        dealt = self.ranked.join(per_pass, "sid").join(F.broadcast(ends), "sid")
+        per_pass = spark.createDataFrame([(k, p.n_blocks) for k, p in enumerate(self.sources)], "sid int, per_pass long")
+        dealt = self.ranked.join(small(per_pass, len(self.sources)), "sid").join(small(ends, len(bounds)), "sid")
         place = F.col("pass") * F.col("per_pass") + F.col("place")
-        shard = F.element_at(F.filter("ends", lambda e: e["hi"] > place), 1)["shard"]
+        shard = F.try_element_at(F.filter("ends", lambda e: e["hi"] > place), F.lit(1))["shard"]
         dealt = dealt.select("doc_id", "_row", "sid", "pass", "block", "words", shard.alias("shard"), F.xxhash64(F.lit(self.seed), "key", "pass").alias("local_key"))
-        return dealt
+        return dealt.filter("shard is not null")  # drawn by a shard
+
+    def shard_counts(self) -> DataFrame:
+        """(shard, source, n_blocks, n_words): what the shards draw, counted from the draws; equals the tree's counts."""
+        names = self.plan_frame().select("sid", "source")
+        counted = self.draws().groupBy("shard", "sid").agg(F.count("*").alias("n_blocks"), F.sum("words").alias("n_words"))
+        return counted.join(names, "sid").select("shard", "source", "n_blocks", "n_words")
 
     def taken(self) -> DataFrame:
         """One row per input row: size, its source's size and target, and the words that all shards take of it."""
@@ -200,12 +220,11 @@ class Mix:
 
 
 def write_shards(mix: Mix, docs: DataFrame, path: str) -> None:
-    """Write the mixed blocks as text, one folder per shard, each in its locally shuffled order."""
-    numbered = docs.select("doc_id", "source", "text", n_words(text_or_empty("text")).alias("size"), F.xxhash64("text").alias("_h"))
-    numbered = numbered.withColumn("_row", F.row_number().over(Window.partitionBy("doc_id").orderBy("source", "size", "_h")))
+    """Write the mixed blocks as text, one folder per shard, each in its locally shuffled order: files follow one another by name. A shard
+    is cut into ranges of its order, so that its size is bound by no task."""
     words = F.split(F.btrim(text_or_empty("text"), F.lit(SPACE)), SPACE_RUN)
-    d = mix.draws().withColumnRenamed("doc_id", "_d").withColumnRenamed("_row", "_r")
-    joined = d.join(numbered.select("doc_id", "_row", "source", words.alias("_w")), F.col("_d").eqNullSafe(F.col("doc_id")) & (F.col("_r") == F.col("_row")))
+    numbered = sized(docs, ("text",)).select(F.col("doc_id").alias("_d"), F.col("_row").alias("_r"), "source", words.alias("_w"))
+    joined = mix.draws().join(numbered, F.col("_d").eqNullSafe(F.col("doc_id")) & (F.col("_r") == F.col("_row")))
     piece = F.array_join(F.slice("_w", (F.col("block") * mix.block_words + 1).cast("int"), F.col("words").cast("int")), " ")
     rows = joined.select("shard", "local_key", "doc_id", "source", "pass", "block", piece.alias("text"))
-    rows.repartition("shard").sortWithinPartitions("shard", "local_key").write.partitionBy("shard").parquet(path)
+    rows.repartitionByRange("shard", "local_key").sortWithinPartitions("shard", "local_key").write.partitionBy("shard").parquet(path)

@@ -90,7 +90,7 @@ quota as (
   select *, least(3 * source_size, floor(target + 0.5))::bigint as q from plan),
 passes as (select *, case when source_size > 0 then q // source_size else 0 end as full_passes, case when source_size > 0 then q % source_size else 0 end as rest from quota),
 numbered as (
-  select d.doc_id, d.source, d.size, row_number() over (partition by doc_id order by source, size) as rn from sized d),
+  select d.doc_id, d.source, d.size, row_number() over (partition by doc_id order by source, size)::varchar as rn from sized d),
 blocks as (
   select n.doc_id, n.rn, n.source, p.rest, b.block, least(256, n.size - b.block * 256) as words,
     ('0x' || substr(md5('17:' || n.doc_id || ':' || n.rn || ':' || b.block || ':' || p.full_passes), 1, 15))::bigint as key

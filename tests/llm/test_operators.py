@@ -406,6 +406,32 @@ def test_mixing(spark, texts):
     assert again == {(r["doc_id"], r["size"]): r["taken"] for r in rows}
 
 
+def test_what_is_taken_comes_through_the_tree(spark, texts, monkeypatch):
+    """The draws follow the tree's counts shard by shard; a tree that loses a shard loses what it would have drawn."""
+    docs = docs_of(spark, texts).withColumn("_h", F.lit(1)).withColumn("_row", F.lit(2)).withColumn("size", F.lit(3)).withColumn("shard", F.lit(4))
+    mix = mixing.Mix(docs, n_shards=8, block_words=16)
+    drawn = {(r["shard"], r["source"]): (r["n_blocks"], r["n_words"]) for r in mix.shard_counts().collect()}
+    tree = {(k, p.source): n for k, row in enumerate(mix.counts) for p, n in zip(mix.sources, row, strict=True) if n}
+    assert {k: n for k, (n, _) in drawn.items()} == tree
+    before = sum(r["taken"] for r in mix.taken().collect())
+    assert before == sum(w for _, w in drawn.values())
+    whole = mixing.splitting_tree
+    monkeypatch.setattr(mixing, "splitting_tree", lambda quotas, n, seed: [[0] * len(quotas) if k == n - 1 else row for k, row in enumerate(whole(quotas, n, seed))])
+    after = sum(r["taken"] for r in mix.taken().collect())
+    lost = sum(n for (k, _), n in tree.items() if k == 7)
+    assert 0 < before - after and sum(r["n_blocks"] for r in mix.shard_counts().collect()) == sum(tree.values()) - lost
+
+
+def test_write_shards(spark, texts, tmp_path):
+    docs = docs_of(spark, [*texts[:20], (None, "n1 n2 n3", "s1"), (None, "n4 n5", "s1"), (3, "same id", "s2")])
+    mix = mixing.Mix(docs, n_shards=4, block_words=8)
+    mixing.write_shards(mix, docs, f"file://{tmp_path}/mix")
+    back = spark.read.parquet(f"file://{tmp_path}/mix").collect()
+    assert Counter(r["shard"] for r in back) == Counter({k: sum(row) for k, row in enumerate(mix.counts) if sum(row)})
+    assert sum(len(WORD.findall(r["text"])) for r in back) == sum(r["taken"] for r in mix.taken().collect())
+    assert mixing.Mix(docs).n_shards == mixing.N_SHARDS
+
+
 def test_splitting_tree_is_exact_and_unbiased():
     quotas = [100, 7, 0, 900]
     totals = np.zeros((8, 4))
