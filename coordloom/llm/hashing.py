@@ -48,14 +48,14 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> U(33))
 
 
-def slices(batch) -> Iterator:
-    """Parts of a record batch (text in column 1) of about SLICE_BYTES."""
+def slices(batch, column: int = 1, limit: int = SLICE_BYTES) -> Iterator:
+    """Parts of a record batch of about ``limit`` bytes of text."""
     if not batch.num_rows:
         return
     import pyarrow.compute as pc
 
-    sizes = np.asarray(pc.fill_null(pc.binary_length(batch.column(1)), 0), dtype=np.int64)
-    part = np.cumsum(sizes) // SLICE_BYTES
+    sizes = np.asarray(pc.fill_null(pc.binary_length(batch.column(column)), 0), dtype=np.int64)
+    part = np.cumsum(sizes) // limit
     cuts = [0, *(np.flatnonzero(np.diff(part)) + 1).tolist(), batch.num_rows]
     for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
         if hi > lo:

@@ -149,6 +149,38 @@ def _texts(column) -> Iterator[bytes]:
         yield text.as_py() or b""
 
 
+PACK_BYTES = 1 << 20
+
+
+def packed_texts(docs: DataFrame) -> DataFrame:
+    """(id, z): texts as zstd frames, for the exchanges by id."""
+
+    def run(batches: Iterator) -> Iterator:
+        import pyarrow as pa
+        import zstandard
+
+        press = zstandard.ZstdCompressor(level=1)
+        for batch in batches:
+            frames = pa.array([press.compress(t) if t else None for t in _texts(batch.column(1))], pa.binary())
+            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()).fill_null(NULL_ID), frames], names=["id", "z"])
+
+    return docs.mapInArrow(run, "id long, z binary")
+
+
+def unpacked(batches: Iterator) -> Iterator:
+    """Parts of the batches with the first column's frames as texts, about PACK_BYTES of frames at a time."""
+    import pyarrow as pa
+    import zstandard
+
+    from coordloom.llm import hashing
+
+    press = zstandard.ZstdDecompressor()
+    for batch in batches:
+        for part in hashing.slices(batch, 0, PACK_BYTES):
+            texts = pa.array([press.decompress(z) if z else b"" for z in part.column(0).to_pylist()], pa.large_binary())
+            yield pa.RecordBatch.from_arrays([texts, *part.columns[1:]], names=part.schema.names)
+
+
 def text_names(docs: DataFrame) -> DataFrame:
     """(id, n, t1, t2): the number of words and the name of the whole text, the last symbol of its recompression."""
 
@@ -252,7 +284,7 @@ WITNESSED = "id long, tag int, start int, w_id long, w_tag int, w_start int"
 
 
 def repeated_windows(texts: DataFrame, window: int = WINDOW) -> DataFrame:
-    """The second Spark round: windows near hits that a text with a smaller id has too, with that text and place. ``texts``: (doc_id, text, id, hits, copies)."""
+    """The second Spark round: windows near hits that a text with a smaller id has too, with that text and place. ``texts``: (z, id, hits, copies)."""
     names = [c.split()[0] for c in WITNESSED.split(", ")]
 
     def emit(batches: Iterator) -> Iterator:
@@ -261,12 +293,12 @@ def repeated_windows(texts: DataFrame, window: int = WINDOW) -> DataFrame:
         from coordloom.llm import hashing
 
         memory = [np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0, np.int32), np.empty(0, np.int32)]  # name, smallest id sent, tag, start; sorted
-        for batch in batches:
-            for part in hashing.slices(batch):
-                words, bounds = hashing.word_hashes(part.column(1), lower=False)
-                ids, tags, spans = np.asarray(part.column(2)), np.zeros(part.num_rows, dtype=np.int32), hashing.spans_of(words, window)
+        for batch in unpacked(batches):
+            for part in hashing.slices(batch, 0):
+                words, bounds = hashing.word_hashes(part.column(0), lower=False)
+                ids, tags, spans = np.asarray(part.column(1)), np.zeros(part.num_rows, dtype=np.int32), hashing.spans_of(words, window)
                 starts, who = [], []
-                for k, (text, hits, copies) in enumerate(zip(_texts(part.column(1)), part.column(3), part.column(4), strict=True)):
+                for k, (text, hits, copies) in enumerate(zip(_texts(part.column(0)), part.column(2), part.column(3), strict=True)):
                     lo, n = bounds[k], bounds[k + 1] - bounds[k]
                     tags[k] = _tag(text.split())
                     if tags[k] in (copies.as_py() or ()):
@@ -349,7 +381,7 @@ def _claims(texts: DataFrame, window: int) -> DataFrame:
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
-        for batch in batches:
+        for batch in unpacked(batches):
             rows = set()
             for text, starts in zip(_texts(batch.column(0)), batch.column(1), strict=True):
                 words = text.split()
@@ -358,16 +390,16 @@ def _claims(texts: DataFrame, window: int) -> DataFrame:
             kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)], names=[c.split()[0] for c in CLAIM.split(", ")])
 
-    return texts.select("text", "starts").mapInArrow(run, CLAIM).distinct()
+    return texts.select("z", "starts").mapInArrow(run, CLAIM).distinct()
 
 
 def _refuted(claims: DataFrame, texts: DataFrame, window: int) -> DataFrame:
-    """The claims that the witness's words don't bear out. ``texts``: (id, text)."""
+    """The claims that the witness's words don't bear out. ``texts``: (id, z)."""
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
-        for batch in batches:
+        for batch in unpacked(batches):
             bad = []
             for text, claims in zip(_texts(batch.column(0)), batch.column(1), strict=True):
                 words = text.split()
@@ -378,7 +410,7 @@ def _refuted(claims: DataFrame, texts: DataFrame, window: int) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array([c[k] for c in bad], t) for k, t in zip(columns, kinds, strict=True)], names=columns)
 
     by_text = claims.groupBy("w_id").agg(F.collect_list(F.struct("w_id", "w_tag", "w_start", "size", "words")).alias("claims"))
-    asked = texts.join(by_text.hint("merge"), texts["id"] == by_text["w_id"]).select("text", "claims")
+    asked = texts.join(by_text.hint("merge"), texts["id"] == by_text["w_id"]).select("z", "claims")
     return asked.mapInArrow(run, CLAIM)
 
 
@@ -386,13 +418,11 @@ RESULT = "doc_id long, n_words long, n_removed long, kept string"
 
 
 def _kept(rows: DataFrame, window: int, refuted: set[tuple]) -> DataFrame:
-    """From (doc_id, text, copies, starts): the words outside the passages that were borne out; none of an exact copy."""
+    """From (z, id, copies, starts): the words outside the passages that were borne out; none of an exact copy."""
 
     def run(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
-        from coordloom.llm import hashing
-
         def one(text: bytes, copies: list | None, starts: list | None) -> tuple[int, int, str]:
             words = text.split()
             n = len(words)
@@ -409,10 +439,10 @@ def _kept(rows: DataFrame, window: int, refuted: set[tuple]) -> DataFrame:
             gone = (np.cumsum(marks[:-1]) > 0).tolist()
             return n, sum(gone), b" ".join(w for w, g in zip(words, gone, strict=True) if not g).decode()
 
-        for batch in batches:
-            for part in hashing.slices(batch):
-                out = [one(t, c.as_py(), s.as_py()) for t, c, s in zip(_texts(part.column(1)), part.column(2), part.column(3), strict=True)]
-                yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array([o[k] for o in out], t) for k, t in enumerate((pa.int64(), pa.int64(), pa.string())))], names=["doc_id", "n_words", "n_removed", "kept"])
+        for part in unpacked(batches):
+            out = [one(t, c.as_py(), s.as_py()) for t, c, s in zip(_texts(part.column(0)), part.column(2), part.column(3), strict=True)]
+            ids = pa.array([None if i == NULL_ID else i for i in part.column(1).to_pylist()], pa.int64())
+            yield pa.RecordBatch.from_arrays([ids, *(pa.array([o[k] for o in out], t) for k, t in enumerate((pa.int64(), pa.int64(), pa.string())))], names=["doc_id", "n_words", "n_removed", "kept"])
 
     return rows.mapInArrow(run, RESULT)
 
@@ -431,14 +461,15 @@ def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     copies = names.join(firsts, ["t1", "t2"]).filter("id > first").groupBy("id").agg(F.collect_set(F.col("t1").bitwiseAND(0x7FFFFFFF).cast("int")).alias("copies"))
     hits = anchor_hits(rows, window).groupBy("id").agg(F.collect_set("hit").alias("hits"))
     notes = materialise(hits.join(copies, "id", "full"), "notes")
-    keyed = rows.withColumn("id", F.coalesce("doc_id", F.lit(NULL_ID)))
-    noted = keyed.join(notes.hint("merge"), "id", "left").select("doc_id", "text", "id", "hits", "copies")
-    found = repeated_windows(noted.filter("hits is not null"), window)
+    keyed = packed_texts(rows)
+    noted = keyed.join(notes.filter("hits is not null").hint("merge"), "id").select("z", "id", "hits", "copies")
+    found = repeated_windows(noted, window)
     starts = materialise(found.groupBy("id").agg(F.collect_list(F.struct("tag", "start", "w_id", "w_tag", "w_start")).alias("starts")), "windows")
-    claims = _claims(keyed.join(starts.hint("merge"), "id").select("text", "starts"), window)
-    bad = _refuted(claims, keyed.select("id", "text"), window).limit(MAX_REFUTED + 1).collect()
+    claims = _claims(keyed.join(starts.hint("merge"), "id").select("z", "starts"), window)
+    bad = _refuted(claims, keyed, window).limit(MAX_REFUTED + 1).collect()
     if len(bad) > MAX_REFUTED:
         raise ValueError("too many names stand for different words")
     refuted = {(r["w_id"], r["w_tag"], r["w_start"], r["size"], bytes(r["words"])) for r in bad}
-    final = keyed.join(notes.select("id", "copies").hint("merge"), "id", "left").join(starts.hint("merge"), "id", "left").select("doc_id", "text", "copies", "starts")
+    found = notes.select("id", "copies").filter("copies is not null").join(starts, "id", "full")
+    final = keyed.join(found.hint("merge"), "id", "left").select("z", "id", "copies", "starts")
     return _kept(final, window, refuted)

@@ -205,12 +205,13 @@ def test_words_are_compared_before_anything_goes(spark):
     """A claim that a witness's words don't bear out is found, and its passage stays."""
     a, b = ([f"{x}{k}".encode() for k in range(60)] for x in "ab")
     text = lambda w: b" ".join(w).decode()
-    known = spark.createDataFrame([(0, text(a))], "id long, text string")
+    known = recompression.packed_texts(spark.createDataFrame([(0, text(a))], "id long, text string"))
     claim = lambda words: (0, recompression._tag(a), 0, 2, recompression._digest(words[:51]))
     bad = [tuple(r) for r in recompression._refuted(spark.createDataFrame([claim(a), claim(b)], recompression.CLAIM), known, 50).collect()]
     assert [(*r[:4], bytes(r[4])) for r in bad] == [claim(b)]
     starts = [(recompression._tag(b), k, 0, recompression._tag(a), k) for k in range(2)]
-    rows = spark.createDataFrame([(7, text(b), None, starts)], "doc_id long, text string, copies array<int>, starts array<struct<tag:int,start:int,w_id:long,w_tag:int,w_start:int>>")
+    notes = spark.createDataFrame([(7, None, starts)], "id long, copies array<int>, starts array<struct<tag:int,start:int,w_id:long,w_tag:int,w_start:int>>")
+    rows = recompression.packed_texts(spark.createDataFrame([(7, text(b))], "id long, text string")).join(notes, "id").select("z", "id", "copies", "starts")
     assert recompression._kept(rows, 50, set()).first()["n_removed"] == 51
     assert recompression._kept(rows, 50, {claim(b)}).first()["n_removed"] == 0
 
