@@ -49,7 +49,7 @@ def op7_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
 
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    out = line_dedup.drop_lines(docs, line_dedup.build_runs(docs))
+    out = line_dedup.drop_lines(docs, line_dedup.build_runs(docs), counts=("n_lines", "n_dropped"))
     return out.select("doc_id", "n_lines", "n_dropped", F.sha2("text", 256).alias("kept_sha256"))
 
 
@@ -135,7 +135,7 @@ OP8_SQL = f"""
 with lines as (
   select doc_id, p.i, p.line, translate(trim(p.line, {_SPACE_SQL}), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') as k
   from documents, lateral (select unnest(list_transform(string_split(coalesce(text, ''), chr(10)), lambda x, j: struct_pack(i := j, line := x))) as p)),
-often as (select k from lines where k <> '' group by k having count(distinct doc_id) >= 10)
+often as (select k from lines where k <> '' group by k having count(distinct coalesce(doc_id::varchar, '')) >= 10)
 select doc_id, count(*)::bigint as n_lines, count(o.k)::bigint as n_dropped,
   sha256(coalesce(string_agg(line, chr(10) order by i) filter (o.k is null), '')) as kept_sha256
 from lines left join often o on lines.k = o.k group by doc_id
