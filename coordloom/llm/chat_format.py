@@ -11,8 +11,8 @@ texts without such strings stay as they are, and every text comes back exactly.
 
 Defined cases: null text or role: empty string; ties in ``turn`` are ordered by role, then text; a
 conversation without rows doesn't exist; a null conv_id is one conversation; records with an unknown
-fingerprint or broken JSON give one row in ``unmapped`` and no turns; extra columns of a turn table
-don't change its layout.
+fingerprint or broken JSON give one row in ``unmapped`` and no turns (a row with a negative turn is never formatted); ids keep all
+their 64 bits beside null ones; extra columns of a turn table don't change its layout, whatever their names.
 """
 
 from __future__ import annotations
@@ -177,24 +177,38 @@ def turns_of_record(record) -> tuple[str, str | None, list[tuple[str, str]]]:
 TURNS = "conv_id long, turn long, role string, text string"
 
 
-def turns_from_json(records: DataFrame, conv_id: str = "conv_id", record: str = "record") -> DataFrame:
-    """Heterogeneous JSON records to (conv_id, turn, role, text, layout, fingerprint); unknown layouts give one row with layout null."""
+MAPPED = TURNS + ", layout string, fingerprint string"
+
+
+def mapped_records(records: DataFrame, conv_id: str = "conv_id", record: str = "record") -> DataFrame:
+    """Heterogeneous JSON records to (conv_id, turn, role, text, layout, fingerprint); a record of unknown layout gives one row with turn -1 and layout null."""
 
-    def convert(frames: Iterator) -> Iterator:
-        import pandas as pd
+    def convert(batches: Iterator) -> Iterator:
+        import pyarrow as pa
 
-        for frame in frames:
+        kinds = (pa.int64(), pa.int64(), *[pa.string()] * 4)
+        for batch in batches:
             rows = []
-            for cid, raw in zip(frame["conv_id"], frame["record"], strict=True):
+            for cid, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 try:
                     key, name, turns = turns_of_record(json.loads(raw))
-                except (TypeError, ValueError):
+                except (TypeError, ValueError, RecursionError):
                     key, name, turns = "", None, []
                 rows += [(cid, k, *t, name, key) for k, t in enumerate(turns)] if name else [(cid, -1, "", "", None, key)]
-            yield pd.DataFrame(rows, columns=["conv_id", "turn", "role", "text", "layout", "fingerprint"])
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)], names=[c.split()[0] for c in MAPPED.split(", ")])
 
     source = records.select(F.col(f"`{conv_id}`").cast("long").alias("conv_id"), F.col(f"`{record}`").alias("record"))
-    return source.mapInPandas(convert, TURNS + ", layout string, fingerprint string")
+    return source.mapInArrow(convert, MAPPED)
+
+
+def turns_from_json(records: DataFrame, conv_id: str = "conv_id", record: str = "record") -> DataFrame:
+    """The canonical turns of the records whose layout is known."""
+    return mapped_records(records, conv_id, record).filter("layout is not null")
+
+
+def unmapped(records: DataFrame, conv_id: str = "conv_id", record: str = "record") -> DataFrame:
+    """(conv_id, fingerprint) of the records whose layout isn't known; an empty fingerprint is broken JSON."""
+    return mapped_records(records, conv_id, record).filter("layout is null").select("conv_id", "fingerprint")
 
 
 def turns_from_table(table: DataFrame, columns: tuple[str, ...] = ("conv_id", "turn", "role", "text")) -> DataFrame:
@@ -212,7 +226,7 @@ FORMATTED = "conv_id long, formatted string, loss_mask array<struct<start:int,st
 
 def format_turns(turns: DataFrame) -> DataFrame:
     """(conv_id, formatted, loss_mask). A conversation is one row of the result, so its turns meet in one row."""
-    grouped = turns.groupBy("conv_id").agg(F.collect_list(F.struct("turn", "role", "text")).alias("turns"))
+    grouped = turns.filter("turn is null or turn >= 0").select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text")).groupBy("conv_id").agg(F.collect_list(F.struct("turn", "role", "text")).alias("turns"))
 
     def convert(batches: Iterator) -> Iterator:
         import pyarrow as pa

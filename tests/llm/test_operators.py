@@ -367,6 +367,41 @@ def test_no_gate_hides_a_match():
         assert scanner.scan(f"a {text} b".encode())[7] > 0, rule
 
 
+def test_gates_come_from_the_book():
+    rule = license_scan.Rule("z", "zed", "zebra", "zebra (?:crossing )?license", 0)
+    assert license_scan.Scanner((rule,)).scan(b"the Zebra license of 2020")[5] == "zed"
+    open_rule = license_scan.Rule("any", "any", "", "q[0-9]+", 0)
+    assert license_scan.Scanner((rule, open_rule)).scan(b"a q17 b")[5] == "any"
+
+
+def test_suppression_equals_brute_force_and_is_not_quadratic():
+    rng = random.Random(6)
+    for _ in range(200):
+        spans = [(a := rng.randrange(30), a + rng.randrange(1, 9)) for _ in range(40)]
+        cover, kept, want = license_scan._Cover([a for a, _ in spans]), [], []
+        for a, b in spans:
+            inside = any(x <= a and b <= y for x, y in kept)
+            assert cover.holds(a, b) == inside
+            if not inside:
+                kept.append((a, b))
+                cover.add(a, b)
+    import time
+
+    seconds = []
+    for n in (2000, 16000):
+        text = b"licensed under the apache license version 2 0 and so on " * n
+        began = time.time()
+        license_scan.Scanner().scan(text)
+        seconds.append(time.time() - began)
+    assert seconds[1] < 30 * seconds[0] + 1
+
+
+def test_license_scan_repeated_rows_and_clashing_columns(spark):
+    docs = docs_of(spark, [(1, "mit license", "s"), (1, "mit license", "s"), (None, "gpl", "s")]).withColumn("n_words", F.lit(9)).withColumn("label", F.lit("x"))
+    rows = license_scan.scan_licenses(docs).collect()
+    assert sorted((r["doc_id"] or 0, r["n_words"], r["n_base"]) for r in rows) == [(0, 1, 0), (1, 2, 1), (1, 2, 1)]
+
+
 def test_overlaps_are_suppressed():
     rows = license_scan.Scanner().scan(b"licensed under the Apache License, Version 2.0")[8]
     spans = [(a, a + n, name) for name, _, a, n in rows if not name.startswith("base")]
@@ -411,12 +446,25 @@ def test_layouts(spark):
     ]
     df = spark.createDataFrame([(k, json.dumps(r)) for k, r in enumerate(records)] + [(7, "{broken"), (8, None)], "conv_id long, record string")
     got = defaultdict(list)
-    for r in chat_format.turns_from_json(df).orderBy("conv_id", "turn").collect():
+    for r in chat_format.mapped_records(df).orderBy("conv_id", "turn").collect():
         got[r["conv_id"]].append((r["layout"], r["role"], r["text"]))
     assert [x[1:] for x in got[0]] == [("user", "p"), ("assistant", "r")] and got[1][0] == ("instruction", "user", "i\n\nx")
     assert [x[1:] for x in got[2]] == [x[1:] for x in got[3]] == [("user", "a"), ("assistant", "b")]
     assert [x[1] for x in got[4]] == ["system", "user", "assistant"] and got[5][0][0] == "nested-chat"
     assert all(got[k][0][0] is None for k in (6, 7, 8))
+    assert {r["conv_id"] for r in chat_format.unmapped(df).collect()} == {6, 7, 8}
+    assert {r["conv_id"] for r in chat_format.format_turns(chat_format.turns_from_json(df)).collect()} == set(range(6))
+    assert chat_format.format_turns(chat_format.mapped_records(df)).count() == 6
+    ids = spark.createDataFrame([(1152921504606846977, '{"prompt": "p", "response": "r"}'), (None, '{"prompt": "p", "response": "r"}'), (-5, "{")], "conv_id long, record string")
+    assert {r["conv_id"] for r in chat_format.mapped_records(ids).collect()} == {1152921504606846977, None, -5}
+
+
+def test_chat_edge_cases(spark):
+    """Null texts and roles, ties of turns, null turns and ids, clashing columns."""
+    rows = [(1, 0, "user", "b"), (1, 0, "user", "a"), (1, 0, None, None), (1, None, "system", "first"), (None, 0, "user", "x"), (None, 1, "assistant", None)]
+    table = spark.createDataFrame(rows, chat_format.TURNS).withColumn("turns", F.lit(1)).withColumn("formatted", F.lit("x")).withColumn("layout", F.lit(2))
+    out = {r["conv_id"]: chat_format.read_back(r["formatted"]) for r in chat_format.format_turns(chat_format.turns_from_table(table)).collect()}
+    assert out == {1: [("system", "first"), ("", ""), ("user", "a"), ("user", "b")], None: [("user", "x"), ("assistant", "")]}
 
 
 def test_mixing(spark, texts):
@@ -624,6 +672,42 @@ def test_warc(spark, tmp_path):
     assert warc.as_warc_members(warc.derivatives(read)).count() == 8
 
 
+def test_warc_broken_records_and_encodings(spark, tmp_path):
+    """Wrong lengths, other record types, chunked and compressed payloads, a file that breaks off."""
+    import gzip
+    import io
+    import zlib
+
+    body = b"<p>Hello <b>there</b></p>"
+    chunked = b"%x\r\n%s\r\n%x;x=1\r\n%s\r\n0\r\n\r\n" % (10, body[:10], len(body) - 10, body[10:])
+    http = lambda extra, payload: b"HTTP/1.1 200 OK\r\nContent-Type: text/html\r\n" + extra + b"\r\n" + payload
+    blocks = [
+        http(b"", body), http(b"Transfer-Encoding: chunked\r\n", chunked), http(b"Content-Encoding: gzip\r\n", gzip.compress(body)), http(b"Content-Encoding: deflate\r\n", zlib.compress(body)),
+        http(b"Transfer-Encoding: chunked\r\nContent-Encoding: gzip\r\n", body), http(b"Transfer-Encoding: chunked\r\n", b"zz\r\n" + body),
+    ]
+    lengths = [str(len(b)).encode() for b in blocks]
+    lengths[0] = b"many"
+    record = lambda k, kind=b"response": b"WARC/1.0\r\nWARC-Type: %s\r\nWARC-Record-ID: <urn:uuid:%d>\r\nContent-Length: %s\r\n\r\n%s\r\n\r\n" % (kind, k, lengths[k], blocks[k])
+    raw = b"".join(map(record, range(len(blocks)))) + record(1, b"metadata") + b"WARC/1.0\r\nWARC-Type: response\r\nContent-Length: 99999\r\n\r\nHTTP/1.1 200 OK\r\n\r\n<p>cut"
+    assert len(list(warc.records(io.BytesIO(raw)))) == len(blocks) + 2
+    (tmp_path / "a.warc").write_bytes(raw)
+    (tmp_path / "b.warc.gz").write_bytes(b"".join(gzip.compress(record(k)) for k in range(4))[:-30])
+    (tmp_path / "c.warc").write_bytes(b"")
+    got = warc.derivatives(warc.read_responses(spark, f"file://{tmp_path}/*.warc*")).filter("record_type = 'conversion'").collect()
+    texts = Counter(r["content"] for r in got)
+    assert texts["Hello there"] >= 4 + 3 and texts["cut"] == 1 and sum(texts.values()) >= len(blocks) + 4
+    assert all(r["source_headers"].startswith("HTTP/1.1 200 OK") for r in got)
+    fields, _ = next(warc.records(io.BytesIO(warc.serialise(got[0].asDict()))))
+    assert "warc-source-headers" in fields
+
+
+def test_warc_repeated_and_very_long_pages(spark):
+    long = "<p>" + "word " * 200_000 + "</p>"
+    pages = spark.createDataFrame([(1, "u", "<p>x</p>"), (1, "u", "<p>x</p>"), (2, "v", long)], "page_id long, url string, html string").withColumn("content", F.lit(1)).withColumn("record_id", F.lit("x"))
+    rows = warc.derivatives(warc.responses_from_pages(pages), "page_id").filter("record_type = 'conversion'").collect()
+    assert sorted((r["source_key"], r["content_length"]) for r in rows) == [(1, 1), (1, 1), (2, 999_999)]
+
+
 @pytest.mark.parametrize("name", ["op2_license_scans", "op4_source_mixing", "op5_jaccard_join", "op6_quality_rules", "op7_benchmark_decontamination", "op8_line_dedup", "op10_substring_dedup", "pipeline"])
 def test_empty_tables(spark, tmp_path, name):
     import __spark_entry__ as entry
