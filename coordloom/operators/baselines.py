@@ -10,9 +10,9 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from coordloom.operators import kernels, losses
+from coordloom.operators import kernels, losses, permute
 from coordloom.operators.blocks import Packed, regroup
-from coordloom.operators.solvers import FitResult, Model, TrainSpec, _plan, _run, fit, sweep_frame
+from coordloom.operators.solvers import FitResult, Model, TrainSpec, _plan, _run, fit, resident, run_resident, sweep_frame
 from coordloom.storage import CO_LOCATED, settings
 
 GRAM_FEATURES = 2000
@@ -128,28 +128,53 @@ def largest_norm(packed: Packed) -> float:
     return packed.plain().select(F.array_max(per).alias("q")).agg(F.max("q")).first()[0] or 0.0
 
 
+def sag_loop(n: int, d: int, unit: int, bucket: int, spec: TrainSpec, rate: float, run_pass) -> tuple[np.ndarray, list[tuple], str]:
+    """Passes to the tolerance; ``run_pass(sweep, epoch, w, average)`` gives the moves of w and of the average direction."""
+    w, average, rows = np.zeros(d), np.zeros(d), []
+    for epoch in range(spec.max_epochs):
+        began = time.time()
+        sweep = kernels.Sweep(spec.loss, spec.lam, n, d, 1, kind="sag", rate=rate, unit=unit, seed=1009 * spec.seed + epoch)
+        move, turn = run_pass(sweep, epoch, w, average)
+        w, average = w + move, average + turn
+        rel = float(np.linalg.norm(move) / max(1e-300, np.linalg.norm(w)))
+        rows.append(("sag", 1, 1, bucket, epoch + 1, time.time() - began, rel, "converged" if rel < spec.tol else "running", 16 * d, 16 * d, 0, 0))
+        if rel < spec.tol:
+            return w, rows, "converged"
+    return w, rows, "max_epochs"
+
+
 def fit_sag(packed: Packed, spec: TrainSpec) -> FitResult:
-    """Sequential, in one task per epoch: step 1 / (L + lam) with L the largest curvature."""
-    one = regroup(packed, 1)
-    top = largest_norm(packed) * (0.25 if spec.loss == "logistic" else 1.0)
-    w, average, alpha, held, rows, status = np.zeros(packed.d), np.zeros(packed.d), None, None, [], "max_epochs"
-    own = replace(spec, deal="dynamic")
+    """Sequential, in one task: step 1 / (L + lam) with L the largest curvature."""
+    one, own = regroup(packed, 1), replace(spec, deal="dynamic")
+    rate = 1.0 / (largest_norm(packed) * (0.25 if spec.loss == "logistic" else 1.0) + spec.lam)
+    n, d, unit, bucket, n_blocks = packed.n, packed.d, packed.unit, packed.bucket, packed.n_blocks
     with settings(packed.frame.sparkSession, CO_LOCATED):
-        for epoch in range(spec.max_epochs):
-            began = time.time()
-            sweep = kernels.Sweep(spec.loss, spec.lam, packed.n, packed.d, 1, kind="sag", rate=1.0 / (top + spec.lam), unit=packed.unit, seed=1009 * spec.seed + epoch)
-            table, alpha, moves = _run(one, _plan(one, alpha, own, epoch, 1), sweep, w, "sag", average)
-            if held:
-                held.drop()
-            held, moves = table, {r["kind"]: np.array(r["vec"]) for r in moves}
-            w, average = w + moves[0], average + moves[2]
-            rel = float(np.linalg.norm(moves[0]) / max(1e-300, np.linalg.norm(w)))
-            status = "converged" if rel < spec.tol else status
-            rows.append(("sag", 1, 1, packed.bucket, epoch + 1, time.time() - began, rel, "converged" if rel < spec.tol else "running", 16 * packed.d, 16 * packed.d, 0, 0))
-            if rel < spec.tol:
-                break
-    if held:
-        held.drop()
+        if resident(one, own):
+
+            def train(rows: kernels.Resident, w: np.ndarray) -> tuple:
+                def run_pass(sweep, epoch, w, average):
+                    keys = lambda bids: permute.keys_of(bids, epoch, spec.seed, spec.order, n_blocks)
+                    moves = {r[0]: r[4] for r in rows.run(sweep, keys, w, average)}
+                    return moves[0], moves[2]
+
+                w, history, outcome = sag_loop(n, d, unit, bucket, own, rate, run_pass)
+                return w, [history, outcome]
+
+            table, _, out = run_resident(one, None, np.zeros(d), "sag", train)
+            table.drop()
+            return FitResult(Model(out["w"], None, {"solver": "sag"}), [tuple(r) for r in out["report"][0]], out["report"][1])
+        state = {"alpha": None, "held": None}
+
+        def run_pass(sweep, epoch, w, average):
+            table, state["alpha"], moves = _run(one, _plan(one, state["alpha"], own, epoch, 1), sweep, w, "sag", average)
+            if state["held"]:
+                state["held"].drop()
+            state["held"], found = table, {r["kind"]: np.array(r["vec"]) for r in moves}
+            return found[0], found[2]
+
+        w, rows, status = sag_loop(n, d, unit, bucket, own, rate, run_pass)
+    if state["held"]:
+        state["held"].drop()
     return FitResult(Model(w, None, {"solver": "sag"}), rows, status)
 
 

@@ -28,6 +28,7 @@ class Packed:
     slots: tuple[int, ...] = (0,)
     unit: int = 0
     table: Bucketed | None = None
+    cells: int = 0  # stored values
 
     def group_first(self, gid) -> int:
         """The first block of a group: gid = floor(bid * G / nb)."""
@@ -93,9 +94,10 @@ def pack(df: DataFrame, n: int, d: int, bucket: int = 1, groups: int = 1, store:
     if not store:
         return out
     out = _stored(out, out.frame)
-    if n and out.plain().count() != n_blocks:
+    stored, cells = out.plain().agg(F.count("*"), F.sum(F.size("val"))).first()
+    if n and stored != n_blocks:
         raise ValueError("some of the numbers 0..n-1 have no example")
-    return out
+    return replace(out, cells=cells or 0)
 
 
 def _stored(packed: Packed, grouped: DataFrame) -> Packed:

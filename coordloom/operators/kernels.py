@@ -422,3 +422,45 @@ def run_sweep(sweep: Sweep, w0: np.ndarray, extra: np.ndarray | None, batches: I
         yield from sgd_sweep(sweep, w0, blocks)
     else:
         yield from coordinate_sweep(sweep, w0, blocks)
+
+
+# Whole runs inside one task, for groups that fit in memory
+
+
+class Resident:
+    """All rows of a group, kept between passes; ``order`` says how the next one takes them."""
+
+    def __init__(self, batches: Iterator):
+        self.batches = list(batches)  # the rows are views of them
+        self.blocks = list(blocks_of(iter(self.batches)))
+
+    def ordered(self, sweep: Sweep, keys: Callable[[np.ndarray], list]) -> Iterator[Block]:
+        bids = np.array([b.bid for b in self.blocks])
+        key = dict(zip(bids.tolist(), keys(bids), strict=True))
+        if sweep.deal == "static":
+            first = _share(0, sweep.groups, sweep.n_blocks)
+            nb = _share(1, sweep.groups, sweep.n_blocks) - first
+            for b in self.blocks:
+                b.wid = b.gid * sweep.workers + (b.bid - first) * sweep.workers // nb
+            return iter(sorted(self.blocks, key=lambda b: (b.wid, key[b.bid], b.bid)))
+        return iter(sorted(self.blocks, key=lambda b: (key[b.bid], b.bid)))
+
+    def run(self, sweep: Sweep, keys: Callable[[np.ndarray], list], w: np.ndarray, extra: np.ndarray | None = None) -> list[tuple]:
+        """One pass: the rows of all kinds but 1, whose alphas stay here."""
+        by_bid, out = {b.bid: b for b in self.blocks}, []
+        blocks = self.ordered(sweep, keys)
+        rows = lossy_sweep(sweep, w, blocks) if sweep.kind == "lossy" else sag_sweep(sweep, w, extra, blocks) if sweep.kind == "sag" else coordinate_sweep(sweep, w, blocks)
+        new = {}
+        for row in rows:
+            if row[0] == 1:
+                new[row[3]] = row[4]
+            else:
+                out.append(row)
+        for bid, alpha in new.items():
+            by_bid[bid].old = np.array(alpha)
+            by_bid[bid].alpha = by_bid[bid].old.copy()
+        return out
+
+    def alphas(self) -> Iterator[tuple]:
+        for b in self.blocks:
+            yield _row(b, b.old)

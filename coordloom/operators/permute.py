@@ -80,3 +80,15 @@ def key(number: Column, epoch: int, seed: int, order: str, n: int) -> Column:
     if order == "none":
         return number
     raise ValueError(f"unknown order {order!r}")
+
+
+def keys_of(numbers: np.ndarray, epoch: int, seed: int, order: str, n: int) -> list:
+    """The keys of ``key`` in numpy and Python."""
+    if order == "md5":
+        return [hashlib.md5(f"{k}:{epoch}:{seed}".encode()).hexdigest() for k in numbers.tolist()]
+    if order == "feistel":
+        return feistel(numbers, n, epoch, seed).tolist()
+    if order == "affine":
+        a, c = affine_constants(n, epoch, seed)
+        return [(k * a + c) % n for k in numbers.tolist()]
+    return numbers.tolist()

@@ -4,14 +4,14 @@ from __future__ import annotations
 
 import json
 import time
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import asdict, dataclass, field, replace
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from coordloom.operators import kernels, topology
+from coordloom.operators import kernels, permute, topology
 from coordloom.operators.blocks import Packed, by_group, with_slots
 from coordloom.operators.deal import busy_workers, global_ranks, own_worker
 from coordloom.operators.permute import key
@@ -42,6 +42,7 @@ class TrainSpec:
     nodes: int = 1  # of the emulator's threads
     dual_pass: bool = False  # the libraries' dual descent instead of ours
     shrinking: bool = False
+    resident: bool = True  # a single small group may stay in its task for the whole run
 
     def scales(self, busy: int) -> tuple[float, float]:
         """(sigma, gamma) for so many workers that have data."""
@@ -106,35 +107,68 @@ class FitResult:
         return spark.createDataFrame(self.rows, HISTORY)
 
 
+def arrow_rows(rows: Iterator[tuple]) -> Iterator:
+    """Rows of kernels.OUT as record batches of about two megabytes."""
+    import pyarrow as pa
+
+    kinds = (pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.list_(pa.float64()), *[pa.float64()] * 4)
+    names, held, cells = [c.split()[0] for c in kernels.OUT.split(", ")], [], 0
+
+    def pack() -> pa.RecordBatch:
+        flat = np.concatenate([r[4] for r in held])
+        bounds = np.concatenate(([0], np.cumsum([len(r[4]) for r in held]))).astype(np.int32)
+        columns = [pa.ListArray.from_arrays(pa.array(bounds), pa.array(flat)) if k == 4 else pa.array([r[k] for r in held], t) for k, t in enumerate(kinds)]
+        return pa.RecordBatch.from_arrays(columns, names=names)
+
+    for row in rows:
+        held.append(row)
+        cells += len(row[4]) + 8
+        if cells >= 1 << 18:
+            yield pack()
+            held, cells = [], 0
+    if held:
+        yield pack()
+
+
 def sweep_frame(planned: DataFrame, sweep: kernels.Sweep, w: np.ndarray, extra: np.ndarray | None = None) -> DataFrame:
     """One task per group over rows in their order; w goes out as a broadcast of 8 d bytes, d bound by MAX_DRIVER_FEATURES."""
     shared = planned.sparkSession.sparkContext.broadcast((w, extra))
 
     def run(batches: Iterator) -> Iterator:
-        import pyarrow as pa
-
         w0, more = shared.value
-        kinds = (pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.list_(pa.float64()), *[pa.float64()] * 4)
-        names, rows, cells = [c.split()[0] for c in kernels.OUT.split(", ")], [], 0
-
-        def pack() -> pa.RecordBatch:
-            flat = np.concatenate([r[4] for r in rows])
-            bounds = np.concatenate(([0], np.cumsum([len(r[4]) for r in rows]))).astype(np.int32)
-            columns = [pa.ListArray.from_arrays(pa.array(bounds), pa.array(flat)) if k == 4 else pa.array([r[k] for r in rows], t) for k, t in enumerate(kinds)]
-            return pa.RecordBatch.from_arrays(columns, names=names)
-
-        for row in kernels.run_sweep(sweep, w0, more, batches):
-            rows.append(row)
-            cells += len(row[4]) + 8
-            if cells >= 1 << 18:
-                yield pack()
-                rows, cells = [], 0
-        if rows:
-            yield pack()
+        yield from arrow_rows(kernels.run_sweep(sweep, w0, more, batches))
 
     return planned.mapInArrow(run, kernels.OUT)
 
 
+#: A single group of so many stored values or fewer stays in its task for the whole run: the same passes, without a job for each.
+RESIDENT_CELLS = 8 << 20
+
+
+def resident(packed: Packed, spec: TrainSpec) -> bool:
+    return spec.resident and packed.groups == 1 and packed.table is not None and packed.cells + packed.n <= RESIDENT_CELLS and spec.deal != "global"
+
+
+def run_resident(packed: Packed, alpha: DataFrame | None, w: np.ndarray, tag: str, train: Callable) -> tuple[Bucketed, DataFrame, dict]:
+    """``train(rows, w)`` in the one task that holds all rows: (its table, the new alpha, what it returned: (w, anything that JSON can say))."""
+    shared = packed.frame.sparkSession.sparkContext.broadcast(w)
+    frame = packed.frame.drop("eids")
+    frame = frame.withColumn("alpha", F.lit(None).cast("array<double>")) if alpha is None else frame.join(alpha.hint("merge"), ["slot", "bid"], "left")
+
+    def run(batches: Iterator) -> Iterator:
+        rows = kernels.Resident(batches)
+        w_new, report = train(rows, shared.value.copy())
+        text = np.frombuffer(json.dumps(report).encode(), dtype=np.uint8).astype(float)
+        slot = rows.blocks[0].slot if rows.blocks else 0
+        last = [(0, slot, 0, -1, w_new, 0.0, 0.0, 0.0, 0.0), (2, slot, 0, -1, text, 0.0, 0.0, 0.0, 0.0)]
+        yield from arrow_rows(iter([*rows.alphas(), *last]))
+
+    table = Bucketed(frame.mapInArrow(run, kernels.OUT), tag, 1, ("kind",))
+    found = {r["kind"]: np.array(r["vec"]) for r in table.plain().filter("kind <> 1").collect()}  # two rows
+    report = json.loads(found[2].astype(np.uint8).tobytes().decode())
+    return table, table.frame().filter("kind = 1").select("slot", "bid", F.col("vec").alias("alpha")), {"w": found[0], "report": report}
+
+
 def _plan(packed: Packed, alpha: DataFrame | None, spec: TrainSpec, epoch: int, per_group: int) -> DataFrame:
     """The rows of an epoch in the order in which their tasks take them.
 
@@ -183,56 +217,93 @@ def fit(packed: Packed, spec: TrainSpec, warm: Model | None = None, variant: str
         return _fit(packed, spec, warm, variant)
 
 
-def _fit(packed: Packed, spec: TrainSpec, warm: Model | None, variant: str | None) -> FitResult:
-    per_group = max(1, spec.workers // packed.groups)
-    busy = packed.groups if spec.threads else busy_workers(packed.n_blocks, packed.groups, per_group, spec.deal)
+@dataclass(frozen=True)
+class _Shape:
+    """What a run needs to know of its data; goes to the task when the run stays there."""
+
+    n: int
+    d: int
+    n_blocks: int
+    groups: int
+    bucket: int
+    unit: int
+
+    @staticmethod
+    def of(packed: Packed) -> _Shape:
+        return _Shape(packed.n, packed.d, packed.n_blocks, packed.groups, packed.bucket, packed.unit)
+
+
+def epoch_loop(shape: _Shape, spec: TrainSpec, w: np.ndarray, name: str, run_pass: Callable) -> tuple[np.ndarray, list[tuple], str]:
+    """Epochs to the tolerance, wherever the passes run: ``run_pass(sweep, epoch, w)`` gives the groups' rows of kind 0. Returns (w, history, status)."""
+    per_group = max(1, spec.workers // shape.groups)
+    busy = shape.groups if spec.threads else busy_workers(shape.n_blocks, shape.groups, per_group, spec.deal)
     sigma, gamma = spec.scales(busy) if busy > 1 else (1.0, 1.0)
-    w = np.zeros(packed.d) if warm is None else warm.w.copy()
-    alpha, held = (None, None) if warm is None else (warm.alpha, None)
-    result = FitResult(Model(w, alpha, asdict(spec)))
-    name = variant or ("lock-free" if spec.threads else f"{spec.deal}")
     kind = "lossy" if spec.threads else "dcd" if spec.dual_pass else "coordinate"
     full = None if spec.loss == "logistic" else (np.inf, -np.inf)  # leaves nothing out
-    shrink = full
+    shrink, rows, outcome = full, [], "max_epochs"
     for epoch in range(spec.max_epochs):
         began, w_before, change, norm, collisions, lost, reduced = time.time(), w.copy(), 0.0, 0.0, 0, 0, 0
         for part in range(spec.syncs_per_epoch):
             sweep = kernels.Sweep(
-                spec.loss, spec.lam, packed.n, packed.d, per_group, sigma, gamma, spec.shared_updates, kind, spec.threads or 1, spec.lost, spec.loss_rate, spec.staleness, spec.nodes,
-                shrink if spec.shrinking else None, 0.0, (part, spec.syncs_per_epoch), spec.deal, packed.n_blocks, packed.groups, packed.unit, 1009 * spec.seed + epoch, spec.order == "none",
+                spec.loss, spec.lam, shape.n, shape.d, per_group, sigma, gamma, spec.shared_updates, kind, spec.threads or 1, spec.lost, spec.loss_rate, spec.staleness, spec.nodes,
+                shrink if spec.shrinking else None, 0.0, (part, spec.syncs_per_epoch), spec.deal, shape.n_blocks, shape.groups, shape.unit, 1009 * spec.seed + epoch, spec.order == "none",
             )
-            table, alpha, deltas = _run(packed, _plan(packed, alpha, spec, epoch, per_group), sweep, w, "epoch")
-            if held:
-                held.drop()
-            held = table
-            w = w + gamma * sum((np.array(r["vec"]) for r in deltas), np.zeros(packed.d))
-            reduced += 8 * packed.d * len(deltas)
-            change, norm = change + sum(r["s0"] for r in deltas), sum(r["s1"] for r in deltas)
+            deltas = run_pass(sweep, epoch, w)
+            w = w + gamma * sum((np.asarray(r[4]) for r in deltas), np.zeros(shape.d))
+            reduced += 8 * shape.d * len(deltas)
+            change, norm = change + sum(r[5] for r in deltas), sum(r[6] for r in deltas)
             if spec.threads:
-                collisions, lost = collisions + int(sum(r["s2"] for r in deltas)), lost + int(sum(r["s3"] for r in deltas))
+                collisions, lost = collisions + int(sum(r[7] for r in deltas)), lost + int(sum(r[8] for r in deltas))
         if spec.tol_on == "w":
             change, norm = float(((w - w_before) ** 2).sum()), float((w**2).sum())
         rel = float(np.sqrt(change / norm)) if norm > 0 else 0.0
         bad = not np.all(np.isfinite(w))
         status = "diverged" if bad else "converged" if rel < spec.tol else "running"
-        result.rows.append((name, spec.threads or per_group * packed.groups, packed.groups, packed.bucket, epoch + 1, time.time() - began, rel if not bad else float("inf"), status, 8 * packed.d * spec.syncs_per_epoch, reduced, collisions, lost))
+        rows.append((name, spec.threads or per_group * shape.groups, shape.groups, shape.bucket, epoch + 1, time.time() - began, rel if not bad else float("inf"), status, 8 * shape.d * spec.syncs_per_epoch, reduced, collisions, lost))
         if status == "converged" and spec.shrinking and shrink != full:
             shrink = full  # look at all examples once more before stopping
             continue
         if status != "running":
-            result.status = status
+            outcome = status
             break
         if spec.shrinking:
             shrink = _next_shrink(spec.loss, deltas)
-    result.model = Model(w, alpha, asdict(spec) | {"epochs": result.epochs, "status": result.status, "groups": packed.groups}, held)
-    return result
+    return w, rows, outcome
+
+
+def _fit(packed: Packed, spec: TrainSpec, warm: Model | None, variant: str | None) -> FitResult:
+    shape, name = _Shape.of(packed), variant or ("lock-free" if spec.threads else f"{spec.deal}")
+    w = np.zeros(packed.d) if warm is None else warm.w.copy()
+    state = {"alpha": None if warm is None else warm.alpha, "held": None}
+    if resident(packed, spec):
+
+        def train(rows: kernels.Resident, w: np.ndarray) -> tuple:
+            keys = lambda epoch: lambda bids: permute.keys_of(bids, epoch, spec.seed, spec.order, shape.n_blocks)
+            w, history, outcome = epoch_loop(shape, spec, w, name, lambda sweep, epoch, w: rows.run(sweep, keys(epoch), w))
+            return w, [history, outcome]
+
+        table, alpha, out = run_resident(packed, state["alpha"], w, "run", train)
+        state = {"alpha": alpha, "held": table}
+        w, rows, status = out["w"], [tuple(r) for r in out["report"][0]], out["report"][1]
+    else:
+
+        def run_pass(sweep: kernels.Sweep, epoch: int, w: np.ndarray) -> list[tuple]:
+            table, state["alpha"], deltas = _run(packed, _plan(packed, state["alpha"], spec, epoch, sweep.workers), sweep, w, "epoch")
+            if state["held"]:
+                state["held"].drop()
+            state["held"] = table
+            return [tuple(r[c.split()[0]] for c in kernels.OUT.split(", ")) for r in deltas]
+
+        w, rows, status = epoch_loop(shape, spec, w, name, run_pass)
+    meta = asdict(spec) | {"epochs": len(rows), "status": status, "groups": packed.groups}
+    return FitResult(Model(w, state["alpha"], meta, state["held"]), rows, status)
 
 
-def _next_shrink(loss: str, deltas: list) -> tuple[float, float]:
+def _next_shrink(loss: str, deltas: list[tuple]) -> tuple[float, float]:
     """What the next pass leaves out: logistic: slopes under a tenth of the worst; else beyond the extremes of this pass."""
     if loss == "logistic":
-        return (0.1 * max(r["s2"] for r in deltas), 0.0)
-    high, low = max(r["s2"] for r in deltas), min(r["s3"] for r in deltas)
+        return (0.1 * max(r[7] for r in deltas), 0.0)
+    high, low = max(r[7] for r in deltas), min(r[8] for r in deltas)
     return (high if np.isfinite(high) else np.inf, low if np.isfinite(low) else -np.inf)
 
 

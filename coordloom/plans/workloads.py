@@ -193,7 +193,7 @@ def scaling(spark: SparkSession, sf_dir: str, fixture: str, spec: TrainSpec, gro
     first = blocks.pack(df, n, d, rows_per_block(n, spec.workers * max(groups), unit), 1, unit=unit)
     for g in groups:
         p = blocks.regroup(first, g)
-        runs.append((f"groups {g}", p, solvers.fit(p, replace(spec, workers=spec.workers * g, max_epochs=epochs, tol=0.0))))
+        runs.append((f"groups {g}", p, solvers.fit(p, replace(spec, workers=spec.workers * g, max_epochs=epochs, tol=0.0, resident=False))))
     out = summary(spark, runs, spec.loss, spec.lam)
     base = out.filter("groups = 1").agg(F.first("seconds_per_epoch").alias("base"))  # one row
     return out.join(F.broadcast(base)).withColumn("speedup", F.col("base") / F.col("seconds_per_epoch")).withColumn("efficiency", F.col("speedup") / F.col("groups")).drop("base")

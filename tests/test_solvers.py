@@ -107,6 +107,21 @@ def test_epochs_move_no_blocks(spark, packed, how, groups):
             assert plan.rdd.getNumPartitions() == groups
 
 
+@pytest.mark.parametrize("spec", [
+    replace(SPEC, workers=4), replace(SPEC, workers=4, deal="static", loss="logistic"), replace(SPEC, workers=3, syncs_per_epoch=2, merge="average"), replace(SPEC, workers=2, order="feistel"), replace(SPEC, threads=4, loss="logistic"),
+    replace(SPEC, dual_pass=True, shrinking=True, loss="logistic"), replace(SPEC, order="affine", tol_on="w"),
+])
+def test_a_run_in_one_task_is_the_run_by_jobs(packed, spec):
+    """Small single groups stay in their task: the same weights, history and dual model as one job a pass."""
+    spec = replace(spec, max_epochs=4)
+    inside, jobs = solvers.fit(packed[1], spec), solvers.fit(packed[1], replace(spec, resident=False))
+    assert np.allclose(inside.model.w, jobs.model.w, atol=1e-13) and inside.status == jobs.status
+    for a, b in zip(inside.rows, jobs.rows, strict=True):
+        assert a[:5] == b[:5] and a[6] == pytest.approx(b[6]) and a[7:] == b[7:]
+    sides = [{r["bid"]: r["alpha"] for r in m.model.alpha.collect()} for m in (inside, jobs)]
+    assert sides[0].keys() == sides[1].keys() and all(np.allclose(sides[0][k], sides[1][k], atol=1e-13) for k in sides[0])
+
+
 def test_settings_of_the_session_come_back(spark, packed):
     before = {k: spark.conf.get(k) for k in ("spark.sql.autoBroadcastJoinThreshold", "spark.sql.requireAllClusterKeysForCoPartition")}
     solvers.fit(packed[1], replace(SPEC, max_epochs=1))
