@@ -5,11 +5,13 @@ and a few measures of shape. A bidirectional LSTM in numpy reads the whole seque
 labels every block as main text or not. Pages are labelled in batches of similar length.
 
 The model is trained when it is first asked for, on ``TRAIN_PAGES`` pages that ``sample_page`` makes up with
-known labels: articles under several kinds of markup beside menus, headers, footers, sidebars, notices,
+known labels: articles under several kinds of markup (semantic elements, named, oddly named and bare containers, tables for the
+layout) beside menus, headers, footers, sidebars, notices,
 adverts, forms and comments. Training is seeded and takes seconds; nothing is stored.
 
 Defined cases: null or empty html: empty text; pages without main blocks: empty text; repeated rows are
-labelled one by one; an empty table gives an empty result; other columns aren't read.
+labelled one by one, with null or repeated ids too; a very long page is one sequence of its own (its vectors are held at once, 512
+bytes a block); blocks of equal text are judged by their places; an empty table gives an empty result; other columns aren't read, whatever their names.
 """
 
 from __future__ import annotations
@@ -27,7 +29,9 @@ from coordloom.llm.html_blocks import Block, blocks_of
 
 PATH_DIM, WORD_DIM, SHAPE_DIM, HIDDEN = 96, 24, 8, 16
 DIM = PATH_DIM + WORD_DIM + SHAPE_DIM
-TRAIN_PAGES = 700
+TRAIN_PAGES = 1000
+#: Share of the training pages without semantic elements.
+LOOSE_SHARE = 0.35
 EPOCHS = 14
 BATCH = 32
 SEED = 11
@@ -196,6 +200,12 @@ def sample_page(rng: random.Random) -> str:
             main.append("<table><tr>" + "".join(f"<td>{mark}{_words(rng, 1)[0]}</td>" for _ in range(3)) + "</tr></table>")
         else:
             main.append(side(rng.choice(("ad", "notice", "form"))))
+    def box(*names: str) -> tuple[str, str]:
+        """A container under names of its kind, under made-up ones, or without any."""
+        roll, tag = rng.random(), rng.choice(("div", "div", "div", "section"))
+        name = rng.choice(("-", " ", "_")).join(rng.sample(names, rng.randint(1, 2))) if roll < 0.6 else _words(rng, 1)[0] if roll < 0.75 else ""
+        return (f'<{tag} {rng.choice(("class", "class", "id"))}="{name}">' if name else f"<{tag}>", f"</{tag}>")
+
     opening, closing = rng.choice((("<article>", "</article>"), ("<article>", "</article>"), ("<article>", "</article>"), ("<main>", "</main>"), ("<main><article>", "</article></main>"), ('<div class="content">', "</div>"), ('<div id="post"><div class="entry body">', "</div></div>"), ('<section class="article text">', "</section>")))
     before = [side(rng.choice(("ad", "notice", "header", "aside", "form"))) for _ in range(rng.choice((0, 1, 1, 2)))]
     after = [side(rng.choice(("ad", "comments", "comments", "aside", "notice", "form"))) for _ in range(rng.choice((0, 0, 1, 2)))]
@@ -203,6 +213,18 @@ def sample_page(rng: random.Random) -> str:
         before.insert(rng.randint(0, len(before)), link_list("nav"))
     if rng.random() < 0.9:
         after.append(side("footer"))
+    if rng.random() < LOOSE_SHARE:  # pages without semantic elements: bare or oddly named containers, or a table for the layout
+        opening, closing = box("story", "content", "post", "text", "entry", "body", "main", "article", "copy", "prose", "page")
+        if rng.random() < 0.4:
+            outer = box("wrap", "container", "main", "page", "layout", "column", "inner")
+            opening, closing = outer[0] + opening, closing + outer[1]
+        items = lambda: "".join(rng.choice((f'<a href="/{w}">{w}</a> ', f'<li><a href="/{w}">{w}</a></li>')) for w in _words(rng, rng.randint(2, 9)))
+        menu = box("menu", "nav", "top", "links", "site", "bar", "header")
+        bottom = box("footer", "bottom", "copyright", "legal", "site", "foot")
+        before = [menu[0] + items() + menu[1], *before] if rng.random() < 0.8 else before
+        after = [*after, f"{bottom[0]}&copy; {_sentence(rng, rng.randint(2, 9))}{bottom[1]}"] if rng.random() < 0.8 else after
+        if rng.random() < 0.3:
+            opening, closing = "<table><tr><td>" + items() + "</td><td>" + (opening if rng.random() < 0.5 else ""), "</td>" + (f"<td>{items()}</td>" if rng.random() < 0.5 else "") + "</tr></table>"
     page = f'<!DOCTYPE html><html lang="xx"><head><meta charset="utf-8"><title>{title}</title><style>p{{margin:0}}</style><script>var t="</p>";</script></head><body>' + "".join(before) + opening + "".join(main) + closing + "".join(after)
     return page + "</body></html>" if rng.random() < 0.8 else page
 

@@ -627,6 +627,35 @@ def test_labeller_on_held_out_pages():
     assert np.concatenate(right).mean() > 0.99 and np.mean([r.all() for r in right]) > 0.93
 
 
+def _foreign_page(rng):
+    """Pages of another generator than the training one: other class names, tables, bare containers."""
+    mark = "\x01"
+    sentence = lambda a, b: html_labeller._sentence(rng, rng.randint(a, b))
+    paragraph = lambda: " ".join(sentence(6, 25) for _ in range(rng.randint(2, 6)))
+    nav = "".join(f'<span><a href="/{w}">{w}</a></span> | ' for w in html_labeller._words(rng, 6))
+    body = f"<h1>{mark}{sentence(3, 9)}</h1>" + "".join(rng.choice((f"<p>{mark}{paragraph()}</p>", f"<p>{mark}{paragraph()}</p>", f"<h3>{mark}{sentence(2, 5)}</h3>", f"<blockquote>{mark}{sentence(5, 20)}</blockquote>")) for _ in range(rng.randint(2, 12)))
+    foot = f'<div class="colophon">&copy; 2020 {sentence(2, 5)} <a href="/p">{sentence(1, 2)}</a></div>'
+    read = "".join(f'<li><a href="/{w}">{sentence(3, 6)}</a></li>' for w in html_labeller._words(rng, 4))
+    return "<html><body>" + rng.choice((
+        f'<div class="masthead">{nav}</div><div class="story-content">{body}</div><div class="most-read"><ul>{read}</ul></div>{foot}', f"<table width=100%><tr><td valign=top>{nav}</td><td>{body}</td></tr></table>{foot}",
+        f'<div id="hd">{nav}</div><div id="bd"><div class="yui-main">{body}</div></div>{foot}', f'<nav>{nav}</nav><main role="main"><div class="longform">{body}</div></main><aside><p>{sentence(3, 8)}</p></aside>{foot}',
+    ))
+
+
+def test_labeller_on_pages_of_another_generator():
+    rng = random.Random(777)
+    data = [html_labeller.labelled(_foreign_page(rng)) for _ in range(200)]
+    found = np.concatenate(html_labeller.trained().label([x for x, _ in data])) >= 0.5
+    true = np.concatenate([y for _, y in data]) >= 0.5
+    assert (found & true).sum() >= 0.95 * true.sum() and (found & true).sum() >= 0.95 * found.sum()
+
+
+def test_html_very_long_pages(spark):
+    page = "<body><nav><a href=/>m</a></nav><article><h1>Title here.</h1>" + "<p>Some words of a paragraph, one after the other.</p>" * 20_000 + "</article></body>"
+    rows = html_labeller.extract_main_text(spark.createDataFrame([(1, "u", page)], "page_id long, url string, html string").withColumn("text", F.lit(1))).collect()
+    assert rows[0]["n_blocks"] == 20_002 and rows[0]["n_main"] == 20_001
+
+
 def test_labeller_gradient():
     rng = np.random.default_rng(0)
     m = html_labeller.Labeller(rng)
