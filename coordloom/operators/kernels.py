@@ -163,11 +163,14 @@ def step_block(sweep: Sweep, b: Block, w: np.ndarray, step: Callable) -> None:
         inside = None
         if b.idx is None:
             x = b.val.reshape(len(b.y), -1)[take]
+        elif len(take) == 1:
+            _one_by_one(sweep, b, w, step, take, scale)
+            continue
         else:
             starts, sizes = b.indptr[take], b.indptr[take + 1] - b.indptr[take]
             flat = np.repeat(starts - np.cumsum(sizes) + sizes, sizes) + np.arange(int(sizes.sum()))
             inside, where = np.unique(b.idx[flat], return_inverse=True)
-            if len(take) * len(inside) > CHUNK_CELLS or len(take) == 1:
+            if len(take) * len(inside) > CHUNK_CELLS:
                 _one_by_one(sweep, b, w, step, take, scale)
                 continue
             x = np.zeros((len(take), len(inside)))
@@ -304,15 +307,12 @@ def lossy_sweep(sweep: Sweep, w0: np.ndarray, blocks: Iterator[Block]) -> Iterat
     threads, nodes = sweep.threads, max(1, min(sweep.nodes, sweep.threads))
     node_of = [r * nodes // threads for r in range(threads)]
     views = np.repeat(w[None, :], nodes, axis=0)
-    step = losses.scalar_step(sweep.loss)
+    step, plain = losses.scalar_step(sweep.loss), sweep.loss_rate >= 1.0 or not sweep.lost
     waiting: list[tuple[Block, int]] = []
 
-    def run() -> None:
-        nonlocal done, collisions, lost
-        if nodes == 1 or done % sweep.staleness == 0:
-            views[:] = w
+    def together(turn: int) -> tuple:
+        """The round's writes, in the order of writing: (columns, changes, thread of each, threads in order)."""
         cols, moves, owner, seats = [], [], [], []
-        turn = done % len(waiting) if nodes > 1 else 0  # no node is always the last to write
         for r, (b, k) in [*enumerate(waiting)][turn:] + [*enumerate(waiting)][:turn]:
             x = b.val[b.indptr[k] : b.indptr[k + 1]]
             c = np.arange(len(x)) if b.idx is None else b.idx[b.indptr[k] : b.indptr[k + 1]]
@@ -325,7 +325,58 @@ def lossy_sweep(sweep: Sweep, w0: np.ndarray, blocks: Iterator[Block]) -> Iterat
             moves.append((scale * delta) * x[here])
             owner.append(np.full(int(here.sum()), r))
             seats.append(r)
-        col, move, who = np.concatenate(cols), np.concatenate(moves), np.concatenate(owner)
+        return np.concatenate(cols), np.concatenate(moves), np.concatenate(owner), seats, cols, moves
+
+    def run_dense() -> None:
+        """``run`` for dense examples: the same writes as whole columns."""
+        nonlocal done, collisions, lost
+        turn = done % len(waiting) if nodes > 1 else 0
+        order = waiting[turn:] + waiting[:turn]
+        x = np.stack([b.val[b.indptr[k] : b.indptr[k + 1]] for b, k in order])
+        if nodes > 1:
+            if done % sweep.staleness == 0:
+                views[:] = w
+            node = np.asarray(node_of)[np.roll(np.arange(len(waiting)), -turn)]
+            z = np.einsum("ij,ij->i", x, views[node]).tolist()
+        else:
+            z = (x @ w).tolist()
+        q = np.einsum("ij,ij->i", x, x).tolist()
+        deltas = np.empty(len(order))
+        for r, (b, k) in enumerate(order):
+            deltas[r] = delta = step(z[r], q[r], float(b.y[k]), float(b.alpha[k]), q[r] * scale)
+            b.alpha[k] += delta
+        move, written = (scale * deltas)[:, None] * x, x != 0
+        writers = written.sum(axis=0)
+        collisions += int(writers.sum() - np.count_nonzero(writers))
+        column = np.arange(x.shape[1])
+        if sweep.lost:
+            last = len(order) - 1 - np.argmax(written[::-1], axis=0)
+            kept = move[last, column]  # 0 where nobody writes
+            lost += int(np.count_nonzero(move) - np.count_nonzero(kept))
+            if nodes > 1:
+                base = views[node[last], column]
+                stale = (base != w) & (writers > 0)
+                lost += int(stale.sum())
+                w[stale] = base[stale]
+            np.add(w, kept, out=w)
+        else:
+            np.add(w, move.sum(axis=0), out=w)
+        if nodes > 1:
+            for g in np.unique(node).tolist():
+                mine = np.flatnonzero(node == g)
+                own = written[mine]
+                views[g] += move[mine[len(mine) - 1 - np.argmax(own[::-1], axis=0)], column]  # 0 where the node writes nothing
+        done += 1
+        waiting.clear()
+
+    def run() -> None:
+        nonlocal done, collisions, lost
+        if plain and waiting[0][0].idx is None:
+            run_dense()
+            return
+        if nodes == 1 or done % sweep.staleness == 0:
+            views[:] = w
+        col, move, who, seats, cols, moves = together(done % len(waiting) if nodes > 1 else 0)  # no node is always the last to write
         back, first = np.unique(col[::-1], return_index=True)
         last = len(col) - 1 - first  # the last writer of each component
         collisions += len(col) - len(back)
@@ -361,6 +412,10 @@ def lossy_sweep(sweep: Sweep, w0: np.ndarray, blocks: Iterator[Block]) -> Iterat
 
     for b in blocks:
         slot, gid = b.slot, b.gid
+        if threads == 1:  # nobody to race with
+            step_block(sweep, b, w, step)
+            yield out(b)
+            continue
         held.append(b)
         for take in b.order(sweep):
             for k in take.tolist():
