@@ -4,8 +4,10 @@ from __future__ import annotations
 
 import contextlib
 import tempfile
+import threading
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -38,17 +40,34 @@ def discard(spark: SparkSession, path: str) -> None:
     where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
+_lock = threading.Lock()
+_held: dict[tuple, list] = {}
+
+
 @contextlib.contextmanager
 def settings(spark: SparkSession, values: dict[str, str]) -> Iterator[None]:
-    """Runtime SQL settings for what is planned and run inside; the session's own come back afterwards."""
-    before = {k: spark.conf.get(k, None) for k in values}
-    for k, v in values.items():
-        spark.conf.set(k, v)
+    """Runtime SQL settings for what is planned and run inside; the session's own come back afterwards, with the last of several threads that ask for the same."""
+    who = (id(spark._jsparkSession), frozenset(values.items()))
+    with _lock:
+        if who not in _held:
+            _held[who] = [0, {k: spark.conf.get(k, None) for k in values}]
+            for k, v in values.items():
+                spark.conf.set(k, v)
+        _held[who][0] += 1
     try:
         yield
     finally:
-        for k, v in before.items():
-            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+        with _lock:
+            _held[who][0] -= 1
+            if not _held[who][0]:
+                for k, v in _held.pop(who)[1].items():
+                    spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
+def at_once(jobs: list[Callable], threads: int) -> list:
+    """The results of independent jobs, so many at a time: for runs of one task each, which a cluster can do side by side."""
+    with ThreadPoolExecutor(max(1, threads)) as pool:
+        return [f.result() for f in [pool.submit(j) for j in jobs]]
 
 
 #: What keeps a join and a sort of bucketed tables within their buckets: one file a bucket, already sorted, joined as it lies.
