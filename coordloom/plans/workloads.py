@@ -181,15 +181,6 @@ def measures(report: DataFrame) -> DataFrame:
     return out.unionByName(rows(reports.status_counts(report).withColumnRenamed("status", "variant"), "runs by status", F.col("n")))
 
 
-def predictor_cap(spark: SparkSession, sf_dir: str, spec: TrainSpec, cap: int = 200) -> DataFrame:
-    """L-BFGS with all columns and with the strongest ``cap`` only."""
-    df = features.text_hash(spark, sf_dir).drop("y_toxic")
-    full = blocks.pack(df, n := df.count(), features.TEXT_DIM, 16)
-    few = baselines.keep_columns(df, baselines.top_predictors(full, cap, spec.loss))
-    small = blocks.pack(few, n, cap, 16)
-    return summary(spark, [("all", full, baselines.fit_lbfgs(full, spec)), (f"cap {cap}", small, baselines.fit_lbfgs(small, spec))], spec.loss, spec.lam)
-
-
 def scaling(spark: SparkSession, sf_dir: str, fixture: str, spec: TrainSpec, groups: tuple[int, ...] = (1, 2, 4, 8), unit: int = 8, epochs: int = 2) -> DataFrame:
     """Seconds per epoch by groups, each a task of its own, with speed-up and efficiency."""
     df, d = fixture_of(spark, sf_dir, fixture)
