@@ -6,7 +6,7 @@ verified along the whole diagonal. Items are of three kinds, each with masks tha
 
 * ``LONG_ITEM`` words or more: three masks of 8 of 12 or 13 words. The best run with +1 for an equal and -2 for an unequal word must reach
   ``MIN_SCORE``, or half the words of an item of under twice as many.
-* ``MIDDLE_ITEM`` to ``LONG_ITEM`` - 1 words: masks of 5 of 7 words, the same rule from 12 words on.
+* ``MIDDLE_ITEM`` to ``LONG_ITEM`` - 1 words: masks of 5 of 7 words; from 12 words on the run must reach more than half of the words.
 * ``MIN_ITEM_WORDS`` to ``MIDDLE_ITEM`` - 1 words: masks of 3 of 4 words. Below 12 words a document has to hold the item whole, with one word
   replaced at most, or two in an item of 11; none in an item of five.
 
@@ -34,7 +34,7 @@ SPANS = tuple(m[-1] + 1 for m in MASKS)
 MIN_SCORE = 12
 MIN_ITEM_WORDS = 5
 MIDDLE_ITEM = 10
-LONG_ITEM = 16
+LONG_ITEM = 15
 #: Masks of the shorter kinds: of every item at least one placement of one of them is free of any substitution that is allowed.
 SHORT_MASKS = ((0, 1, 3), (0, 2, 3))
 MIDDLE_MASKS = ((0, 1, 2, 4, 6), (0, 2, 4, 5, 6), (0, 1, 2, 3, 4))
@@ -74,12 +74,15 @@ def seeds(rows: DataFrame, keep: list[str]) -> DataFrame:
 
 def masked_seeds(rows: DataFrame, keep: list[str], masks: tuple[tuple[int, ...], ...]) -> DataFrame:
     """Like ``seeds`` for any masks: (``keep``, pos, seed)."""
-    hashed = rows.select(*keep, F.transform("_w", lambda w: F.xxhash64(w)).alias("_h"))
+    n = F.col("_n")
+    hashed = rows.select(*keep, F.size("_w").alias("_n"), F.transform("_w", lambda w: F.xxhash64(w)).alias("_h"))
 
     def of(number: int, mask: tuple[int, ...]) -> Column:
-        last = F.size("_h") - mask[-1] - 1
-        places = F.when(last >= 0, F.sequence(F.lit(0), last)).otherwise(F.array().cast("array<int>"))
-        return F.transform(places, lambda i: F.struct(i.alias("pos"), F.xxhash64(F.lit(number), *[F.get(F.col("_h"), i + o) for o in mask]).alias("seed")))
+        # whole arrays, shifted and hashed together: an index into _h inside a lambda would make all of _h again for every word
+        joint = F.zip_with("_h", _shift(F.col("_h"), mask[1], n), lambda x, y: F.xxhash64(F.lit(number), x, y))
+        for offset in mask[2:]:
+            joint = F.zip_with(joint, _shift(F.col("_h"), offset, n), lambda x, y: F.xxhash64(x, y))
+        return F.transform(F.slice(joint, F.lit(1), F.greatest(n - mask[-1], F.lit(0))), lambda s, i: F.struct(i.alias("pos"), s.alias("seed")))
 
     found = hashed.select(*keep, F.concat(*[of(k, m) for k, m in enumerate(masks)]).alias("_s"))
     return found.select(*keep, F.explode("_s").alias("_s")).select(*keep, "_s.pos", "_s.seed")
@@ -147,7 +150,7 @@ def _verified(docs: DataFrame, benchmark: DataFrame, min_score: int) -> DataFram
     scored = scored.select("doc_id", "_doc", "item_id", "_key", "item_words", "doc_first", _score(F.col("_e")).alias("score"), F.size(F.filter("_e", lambda e: e)).alias("n_equal"), F.size("_e").alias("n_compared"))
     n = F.col("item_words")
     missing = F.when(n > MIDDLE_ITEM, 2).when(n > MIN_ITEM_WORDS, 1).otherwise(0)
-    good = scored.filter(F.when(n < MIN_SCORE, F.col("n_equal") >= n - missing).otherwise(F.col("score") >= F.least(F.lit(min_score), F.ceil(n / 2))))
+    good = scored.filter(F.when(n < MIN_SCORE, F.col("n_equal") >= n - missing).otherwise(F.col("score") >= F.least(F.lit(min_score), F.when(n < LONG_ITEM, F.floor(n / 2) + 1).otherwise(F.ceil(n / 2)))))
     best = F.max(F.struct("score", "n_equal", (-F.col("doc_first")).alias("minus_first"), "n_compared")).alias("b")
     return good.groupBy("doc_id", "_doc", "item_id", "_key").agg(best).select("doc_id", "_doc", "item_id", "_key", F.col("b.score").cast("long").alias("score"), F.col("b.n_equal").cast("long").alias("n_equal"), (-F.col("b.minus_first")).cast("long").alias("doc_first"), F.col("b.n_compared").cast("long").alias("n_compared"))
 

@@ -562,7 +562,7 @@ def overlap_brute(texts, items):
                 for e in equal:
                     score = max(0, score + (1 if e else -2))
                     best = max(best, score)
-                if (sum(equal) >= n - (2 if n > 10 else 1 if n > 5 else 0)) if n < 12 else best >= min(12, -(-n // 2)):
+                if (sum(equal) >= n - (2 if n > 10 else 1 if n > 5 else 0)) if n < 12 else best >= (n // 2 + 1 if n < decontaminate.LONG_ITEM else min(12, -(-n // 2))):
                     found.add((d, i))
                     break
     return found
