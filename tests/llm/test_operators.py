@@ -757,7 +757,8 @@ def test_oracles(spark, data_dir):
     import duckdb
 
     con = duckdb.connect()
-    con.execute(f"create view documents as select * from read_parquet('{data_dir}/documents.parquet')")
+    for name in ("documents", "conversations"):
+        con.execute(f"create view {name} as select * from read_parquet('{data_dir}/{name}.parquet')")
     for name, sql in queries.oracle_sql().items():
         mine, theirs = queries.queries()[name](spark, data_dir).toPandas(), con.execute(sql).df()
         cols = sorted(mine.columns)
